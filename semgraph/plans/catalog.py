@@ -1,6 +1,715 @@
-"""Queries of the graph engine by name, and their SQL."""
+"""Queries of the graph engine by name, and their SQL for DuckDB."""
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLE_SQL: dict = {}
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from ..functions.scores import psi_hat
+from ..model import KG, Params, QueryEdge, QueryGraph, QueryNode, SubQuery
+from ..operators import assembly as A
+from ..operators import baselines as BL
+from ..operators import library as L
+from ..operators import metrics as M
+from ..operators import predicate_space as P
+from ..operators import search as S
+from ..sources import builders as G
+from ..sources.tables import load
+from . import decompose as D
+from . import engine as E
+from . import oracle as O
+from . import surround
+from . import workloads as W
+
+Query = Callable[[SparkSession, str], DataFrame]
+QUERIES: dict[str, Query] = {}
+ORACLE_SQL: dict[str, str] = {}
+
+
+def query(name: str, sql: str | None = None):
+    def add(f: Query) -> Query:
+        QUERIES[name] = f
+        if sql:
+            ORACLE_SQL[name] = sql
+        return f
+
+    return add
+
+
+def _space(spark: SparkSession) -> dict[str, list[float]]:
+    return {p: [float(x) for x in v] for p, v in P.AUTHORED.items()}
+
+
+def _rounded(df: DataFrame, *cols: str) -> DataFrame:
+    return df.withColumns({c: F.round(c, 6) for c in cols})
+
+
+def _answers(df: DataFrame) -> DataFrame:
+    return _rounded(df.select("rank", "pivot_id", "score"), "score")
+
+
+def _sub(i: int, path: list[QueryNode], predicates: list[str], pivot_pos: int) -> SubQuery:
+    return SubQuery(i, tuple(path), tuple(predicates), pivot_pos)
+
+
+ORDER, SUPPLIER, NATION, PART, CUSTOMER = (QueryNode(k, (t,)) for k, t in (("o", "Order"), ("s", "Supplier"), ("n", "Nation"), ("p", "Part"), ("c", "Customer")))
+N7, N3 = QueryNode("n7", ("Nation",), "N7"), QueryNode("n3", ("Nation",), "NATION_3")
+
+# ---- the graph ----
+
+
+@query("kg_node_counts", f"WITH {O.STAR_NODES} SELECT types[1] AS type, count(*) AS n FROM nodes GROUP BY 1")
+def kg_node_counts(spark, d):
+    return G.star_kg(spark, d).nodes.groupBy(F.get("types", F.lit(0)).alias("type")).agg(F.count("*").alias("n"))
+
+
+@query("kg_edge_counts", f"WITH {O.STAR_NODES},{O.STAR_EDGES} SELECT predicate, count(*) AS n FROM edges GROUP BY 1")
+def kg_edge_counts(spark, d):
+    return G.star_kg(spark, d).edges.groupBy("predicate").agg(F.count("*").alias("n"))
+
+
+@query("kg_homogeneous_counts", f"WITH {O.STAR_NODES},{O.STAR_EDGES.replace(' WHERE o_orderkey % 4 <> 0', '').replace(' WHERE o_orderkey % 4 = 0', '')} SELECT predicate, count(*) AS n FROM edges GROUP BY 1")
+def kg_homogeneous_counts(spark, d):
+    return G.star_kg(spark, d, heterogeneous=False).edges.groupBy("predicate").agg(F.count("*").alias("n"))
+
+
+@query("kg_degree_by_type", f"WITH {O.STAR}, deg AS (SELECT node, count(*) AS n FROM adj GROUP BY node) SELECT types[1] AS type, max(n) AS max_degree, CAST(sum(n) AS BIGINT) AS total FROM deg JOIN nodes ON node = node_id GROUP BY 1")
+def kg_degree_by_type(spark, d):
+    kg = G.star_kg(spark, d)
+    deg = G.adjacency(kg.edges).groupBy("node").agg(F.count("*").alias("n"))
+    typed = deg.join(kg.nodes.select(F.col("node_id").alias("node"), F.get("types", F.lit(0)).alias("type")), "node")
+    return typed.groupBy("type").agg(F.max("n").alias("max_degree"), F.sum("n").alias("total"))
+
+
+@query("kg_type_predicate_cube", f"WITH {O.STAR} SELECT types[1] AS type, predicate, count(*) AS n FROM adj JOIN nodes ON node = node_id GROUP BY CUBE (types[1], predicate)")
+def kg_type_predicate_cube(spark, d):
+    kg = G.star_kg(spark, d)
+    first = kg.nodes.select(F.col("node_id").alias("node"), F.get("types", F.lit(0)).alias("type"))
+    return G.adjacency(kg.edges).join(first, "node").cube("type", "predicate").agg(F.count("*").alias("n"))
+
+
+@query("kg_rollup_types", f"WITH {O.STAR_NODES} SELECT types[1] AS kind, types[2] AS detail, count(*) AS n FROM nodes GROUP BY ROLLUP (types[1], types[2])")
+def kg_rollup_types(spark, d):
+    t = G.star_kg(spark, d).nodes.select(F.get("types", F.lit(0)).alias("kind"), F.get("types", F.lit(1)).alias("detail"))
+    return t.rollup("kind", "detail").agg(F.count("*").alias("n"))
+
+
+@query("kg_adjacency_both", f"WITH {O.STAR} SELECT node, nbr, predicate, forward FROM adj WHERE predicate IN ('inRegion', 'supplierNation')")
+def kg_adjacency_both(spark, d):
+    return G.adjacency(G.star_kg(spark, d).edges).filter(F.col("predicate").isin("inRegion", "supplierNation"))
+
+
+@query("kg_stats", f"WITH {O.STAR} SELECT types[1] AS type, predicate, CASE WHEN forward THEN 'out' ELSE 'in' END AS direction, count(DISTINCT node) AS nodes, count(*) AS edges, round(count(*) / count(DISTINCT node), 6) AS mean_fanout FROM adj JOIN nodes ON node = node_id GROUP BY 1, 2, 3")
+def kg_stats(spark, d):
+    return _rounded(D.stats_table(G.star_kg(spark, d)), "mean_fanout")
+
+
+@query("kg_activity_counts", f"WITH {O.ACTIVITY} SELECT predicate, count(*) AS n, count(DISTINCT src) AS users, count(DISTINCT dst) AS topics FROM edges GROUP BY 1")
+def kg_activity_counts(spark, d):
+    return G.activity_kg(spark, d).edges.groupBy("predicate").agg(F.count("*").alias("n"), F.countDistinct("src").alias("users"), F.countDistinct("dst").alias("topics"))
+
+
+@query("kg_content_counts", """
+WITH links AS (SELECT DISTINCT page_id, unnest(regexp_extract_all(html, 'href="([^"]+)"', 1)) AS href FROM pages)
+SELECT 'fromSource' AS predicate, count(*) AS n FROM documents WHERE source IS NOT NULL
+UNION ALL SELECT 'writtenIn', count(*) FROM documents WHERE lang IS NOT NULL
+UNION ALL SELECT 'onHost', count(*) FROM pages
+UNION ALL SELECT 'linksTo', count(*) FROM links
+UNION ALL SELECT 'quotes', count(*) FROM documents d JOIN benchmark b ON contains(d.text, b.text)""")
+def kg_content_counts(spark, d):
+    return G.content_kg(spark, d).edges.groupBy("predicate").agg(F.count("*").alias("n"))
+
+
+@query("kg_dialog_counts", """
+WITH role_names AS (SELECT DISTINCT role FROM conversations)
+SELECT 'partOf' AS predicate, count(*) AS n FROM conversations
+UNION ALL SELECT 'spokenBy', count(*) FROM conversations WHERE role IS NOT NULL
+UNION ALL SELECT 'follows', count(*) FROM conversations a JOIN conversations b ON a.conv_id = b.conv_id AND a.turn = b.turn - 1""")
+def kg_dialog_counts(spark, d):
+    return G.dialog_kg(spark, d).edges.groupBy("predicate").agg(F.count("*").alias("n"))
+
+
+@query("kg_vector_counts", """
+WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: CAST(x AS DOUBLE)) AS e FROM embeddings)
+SELECT count(*) AS edges, CAST(sum(a.vec_id) AS BIGINT) AS check_a, CAST(sum(b.vec_id) AS BIGINT) AS check_b FROM v a JOIN v b ON a.vec_id < b.vec_id AND list_sum(list_transform(list_zip(a.e, b.e), lambda p: p[1] * p[2])) >= 0.35""")
+def kg_vector_counts(spark, d):
+    e = G.vector_kg(spark, d).edges
+    base = G.KINDS["vector"] * G.BASE
+    return e.agg(F.count("*").alias("edges"), F.sum(F.col("src") - base).alias("check_a"), F.sum(F.col("dst") - base).alias("check_b"))
+
+
+@query("kg_restrict_entities", f"WITH {O.STAR}, kept AS (SELECT node_id FROM nodes WHERE name LIKE 'NATION%' OR name LIKE 'Supplier%') SELECT predicate, count(*) AS n FROM edges WHERE src IN (SELECT node_id FROM kept) AND dst IN (SELECT node_id FROM kept) GROUP BY 1")
+def kg_restrict_entities(spark, d):
+    kg = G.star_kg(spark, d)
+    names = kg.nodes.select("name").filter("name LIKE 'NATION%' OR name LIKE 'Supplier%'").distinct()
+    return G.restrict_entities(kg, names).edges.groupBy("predicate").agg(F.count("*").alias("n"))
+
+
+@query("kg_core_portion", f"WITH {O.STAR} SELECT predicate, count(*) AS n FROM edges WHERE src // {O.B} NOT IN (5, 7) AND dst // {O.B} NOT IN (5, 7) GROUP BY 1")
+def kg_core_portion(spark, d):
+    return G.core_portion(G.star_kg(spark, d), ["part", "brand"]).edges.groupBy("predicate").agg(F.count("*").alias("n"))
+
+
+@query("subgraph_counts", f"WITH {O.STAR} SELECT p AS percent, (SELECT count(*) FROM nodes WHERE node_id % 100 < p) AS nodes, (SELECT count(*) FROM edges WHERE src % 100 < p AND dst % 100 < p) AS edges FROM (VALUES (44), (67), (100)) t(p)")
+def subgraph_counts(spark, d):
+    kg = G.star_kg(spark, d)
+    out = None
+    for percent in (44, 67, 100):
+        part = G.induced_subgraph(kg, percent)
+        own = part.nodes.agg(F.lit(percent).alias("percent"), F.count("*").alias("nodes")).crossJoin(part.edges.agg(F.count("*").alias("edges")))
+        out = own if out is None else out.unionByName(own)
+    return out
+
+
+# ---- node matching ----
+
+
+def _phi(name: str, node: QueryNode, relations: tuple[str, ...], sql: str) -> None:
+    @query(name, f"WITH {O.STAR_NODES} {sql}")
+    def run(spark, d):
+        kg = G.star_kg(spark, d)
+        return L.match_nodes(kg, L.build_library(kg), node, relations).select("node_id", "relation")
+
+
+ALL = ("identical", "synonym", "abbreviation")
+_phi("phi_identical", QueryNode("x", ("order",)), ("identical",), "SELECT node_id, 'identical' AS relation FROM nodes WHERE list_contains(types, 'Order')")
+_phi("phi_synonym", QueryNode("x", ("Purchase",)), ("identical", "synonym"), "SELECT node_id, 'synonym' AS relation FROM nodes WHERE list_contains(types, 'Order')")
+_phi("phi_abbreviation", QueryNode("x", ("Country",), "N7"), ALL, "SELECT node_id, 'abbreviation' AS relation FROM nodes WHERE name = 'NATION_7'")
+_phi("phi_multitype", QueryNode("x", ("BUILDING",)), ALL, "SELECT node_id, 'identical' AS relation FROM nodes WHERE list_contains(types, 'BUILDING')")
+_phi("phi_union_types", QueryNode("x", ("PROMO", "ECONOMY", "Vendor")), ALL, "SELECT node_id, CASE WHEN list_contains(types, 'Supplier') THEN 'synonym' ELSE 'identical' END AS relation FROM nodes WHERE list_has_any(types, ['PROMO', 'ECONOMY', 'Supplier'])")
+_phi("phi_specific", QueryNode("x", ("Nation",), "EUROPE"), ALL, "SELECT node_id, 'identical' AS relation FROM nodes WHERE list_contains(types, 'Nation') AND name = 'EUROPE'")
+
+
+@query("phi_wildcard", f"WITH {O.STAR_NODES} SELECT count(*) AS n FROM nodes")
+def phi_wildcard(spark, d):
+    kg = G.star_kg(spark, d)
+    return L.match_nodes(kg, L.build_library(kg), QueryNode("x")).agg(F.count("*").alias("n"))
+
+
+@query("library_initials", "SELECT 'N' || n_nationkey AS surface, n_name AS canonical FROM nation UNION ALL SELECT 'ME', 'MIDDLE EAST'")
+def library_initials(spark, d):
+    names = G.star_kg(spark, d).nodes.filter(F.arrays_overlap("types", F.array(F.lit("Nation"), F.lit("Region")))).select("name")
+    return L.initials_rule(names).select("surface", "canonical")
+
+
+TYPING = f"""
+WITH {O.STAR}, firsts AS (SELECT node_id, types[1] AS type, node_id % 10 = 3 AS hidden FROM nodes),
+evidence AS (SELECT node AS node_id, predicate || CASE WHEN forward THEN '>' ELSE '<' END AS sign FROM adj),
+prior AS (SELECT type, count(*) AS members FROM firsts WHERE NOT hidden GROUP BY 1),
+seen AS (SELECT type, sign, count(*) AS n FROM evidence JOIN firsts USING (node_id) WHERE NOT hidden GROUP BY 1, 2),
+totals AS (SELECT type, sum(n) AS total FROM seen GROUP BY 1), signs AS (SELECT DISTINCT sign FROM evidence),
+model AS (
+    SELECT p.type, s.sign, ln(members / (SELECT sum(members) FROM prior)) AS prior, ln((coalesce(n, 0) + 1) / (coalesce(total, 0) + (SELECT count(*) FROM signs))) AS ll
+    FROM prior p CROSS JOIN signs s LEFT JOIN seen USING (type, sign) LEFT JOIN totals USING (type)
+), counts AS (SELECT node_id, sign, count(*) AS times FROM evidence JOIN firsts USING (node_id) WHERE hidden GROUP BY 1, 2),
+scored AS (SELECT node_id, type, first(prior) + sum(times * ll) AS score FROM counts JOIN model USING (sign) GROUP BY 1, 2),
+best AS (SELECT node_id, type, row_number() OVER (PARTITION BY node_id ORDER BY score DESC, type) AS r FROM scored)
+SELECT f.type AS real, b.type AS predicted, count(*) AS n FROM best b JOIN firsts f USING (node_id) WHERE r = 1 GROUP BY 1, 2"""
+
+
+@query("typing_naive_bayes", TYPING)
+def typing_naive_bayes(spark, d):
+    kg = G.star_kg(spark, d)
+    first = F.slice("types", 1, 1)
+    hidden = kg.nodes.withColumn("types", F.when(F.col("node_id") % 10 == 3, F.array().cast("array<string>")).otherwise(first))
+    found = L.infer_types(KG(hidden, kg.edges))
+    real = kg.nodes.select("node_id", F.get("types", F.lit(0)).alias("real"))
+    return found.join(real, "node_id").groupBy("real", F.col("type").alias("predicted")).agg(F.count("*").alias("n"))
+
+
+# ---- the predicate space ----
+
+
+@query("pred_cosine_authored", f"WITH {O.SPACE} SELECT a, b, round(sim, 6) AS sim FROM sims")
+def pred_cosine_authored(spark, d):
+    return _rounded(P.predicate_similarity(P.predicate_space(spark)), "sim")
+
+
+_blend_rows = ", ".join(f"('{p}', {i}, {axis}, {float(x)})" for i, (p, v) in enumerate(P.AUTHORED.items()) for axis, x in [*enumerate(v), (10 + i, 0.2)])
+
+
+@query("pred_cosine_blend", f"""
+WITH parts(predicate, i, vec_id, c) AS (VALUES {_blend_rows}), wide AS (
+    SELECT predicate, pos, sum(c * CAST(embedding[pos] AS DOUBLE)) AS x FROM parts JOIN embeddings USING (vec_id), (SELECT unnest(range(1, 65)) AS pos) GROUP BY 1, 2
+)
+SELECT p.predicate AS a, q.predicate AS b, round(sum(p.x * q.x) / sqrt(sum(p.x * p.x) * sum(q.x * q.x)), 6) AS sim FROM wide p JOIN wide q USING (pos) GROUP BY 1, 2""")
+def pred_cosine_blend(spark, d):
+    return _rounded(P.predicate_similarity(P.predicate_space(spark, "blend", load(spark, d, "embeddings"))), "sim")
+
+
+@query("pred_top10_similar", f"WITH {O.SPACE}, r AS (SELECT a, b, sim, row_number() OVER (PARTITION BY a ORDER BY round(sim, 9) DESC, b) AS rank FROM sims WHERE a <> b) SELECT a, b, round(sim, 6) AS sim, CAST(rank AS INTEGER) AS rank FROM r WHERE rank <= 10")
+def pred_top10_similar(spark, d):
+    from pyspark.sql import Window
+
+    sims = P.predicate_similarity(P.predicate_space(spark)).filter("a != b")
+    order = Window.partitionBy("a").orderBy(F.desc(F.round("sim", 9)), "b")
+    return _rounded(sims.withColumn("rank", F.row_number().over(order)).filter("rank <= 10"), "sim")
+
+
+@query("pred_static_cut", f"WITH {O.SPACE} SELECT b AS predicate, round(sim, 6) AS w FROM sims WHERE a = 'originNation' AND sim >= pow(0.8, 4) - 1e-12")
+def pred_static_cut(spark, d):
+    sub = _sub(0, [N7, ORDER], ["originNation"], 1)
+    kept = S.stage_weights([sub], _space(spark), Params())[0, 0]
+    return _rounded(spark.createDataFrame(list(kept.items()), "predicate string, w double"), "w")
+
+
+@query("pred_weights_rescaled", f"WITH {O.SPACE} SELECT a, b, round((sim + 1) / 2, 6) AS w FROM sims WHERE (sim + 1) / 2 > 0.5")
+def pred_weights_rescaled(spark, d):
+    return _rounded(P.edge_weights(P.predicate_similarity(P.predicate_space(spark)), 0.5, "half"), "w")
+
+
+# ---- semantic graph, estimates, paths ----
+
+Q1_SUB = _sub(0, [N7, ORDER], ["originNation"], 1)
+Q2_SUBS = [Q1_SUB, _sub(1, [N3, SUPPLIER, ORDER], ["supplierNation", "fulfilledBy"], 2)]
+
+
+def _q1(tau: float = 0.8, root: int = 4) -> str:
+    return O.walk(0, O.nation(7), [("originNation", O.ORDER)], 1, tau, root)
+
+
+def _q2(tau: float = 0.8, root: int = 3) -> list[str]:
+    return [_q1(tau, root), O.walk(1, O.nation(3), [("supplierNation", O.SUPPLIER), ("fulfilledBy", O.ORDER)], 2, tau, root)]
+
+
+@query("semgraph_one_hop", O.with_star(f", w AS (SELECT b AS predicate, sim FROM sims WHERE a = 'originNation' AND sim > 0) SELECT nbr, predicate, round(sim, 6) AS w FROM adj JOIN w USING (predicate) WHERE node = 2 * {O.B} + 7").replace("},", "},"))
+def semgraph_one_hop(spark, d):
+    kg = G.star_kg(spark, d)
+    prep = S.prepare(kg, [Q1_SUB], _space(spark), Params(static_cut=False), L.build_library(kg))
+    hop = prep.start.join(prep.adj, "node").join(F.broadcast(prep.weights), ["sub_id", "stage", "predicate"])
+    return _rounded(hop.select("nbr", "predicate", "w"), "w")
+
+
+_reach2 = f"""
+, w AS (SELECT b AS predicate, sim FROM sims WHERE a = 'originNation' AND sim > 0), weighed AS (SELECT node, nbr, predicate, sim FROM adj JOIN w USING (predicate)),
+one AS (SELECT DISTINCT nbr AS node FROM weighed WHERE node = 2 * {O.B} + 7), near AS (SELECT node FROM one UNION SELECT 2 * {O.B} + 7)
+SELECT predicate, count(*) AS n, round(sum(sim), 4) AS total FROM weighed WHERE node IN (SELECT node FROM near) GROUP BY 1"""
+
+
+@query("semgraph_complete", O.with_star(_reach2))
+def semgraph_complete(spark, d):
+    kg = G.star_kg(spark, d)
+    whole = S.semantic_graph(kg, [Q1_SUB], _space(spark), Params(max_hops=2), "complete", L.build_library(kg))
+    return whole.groupBy("predicate").agg(F.count("*").alias("n"), F.round(F.sum("w"), 4).alias("total"))
+
+
+_partial = f"""
+, w AS (SELECT b AS predicate, sim FROM sims WHERE a = 'originNation' AND sim >= pow(0.8, 2) - 1e-12), weighed AS (SELECT node, nbr, predicate, sim FROM adj JOIN w USING (predicate)),
+m AS (SELECT node, max(sim) AS m FROM weighed GROUP BY 1),
+one AS (SELECT x.nbr AS node FROM weighed x JOIN m ON m.node = x.nbr WHERE x.node = 2 * {O.B} + 7 AND x.nbr // {O.B} <> 6 AND sqrt(sim * m) >= 0.8 - 1e-12),
+near AS (SELECT node FROM one UNION SELECT 2 * {O.B} + 7)
+SELECT predicate, count(*) AS n, round(sum(sim), 4) AS total FROM weighed WHERE node IN (SELECT node FROM near) GROUP BY 1"""
+
+
+@query("semgraph_partial_touched", O.with_star(_partial))
+def semgraph_partial_touched(spark, d):
+    kg = G.star_kg(spark, d)
+    part = S.semantic_graph(kg, [Q1_SUB], _space(spark), Params(max_hops=2), "partial", L.build_library(kg))
+    return part.groupBy("predicate").agg(F.count("*").alias("n"), F.round(F.sum("w"), 4).alias("total"))
+
+
+@query("max_adjacent_weight", O.with_star(f", m AS (SELECT node, max(sim) AS m FROM adj JOIN sims ON b = predicate AND a = 'originNation' AND sim >= pow(0.8, 4) - 1e-12 GROUP BY 1) SELECT node // {O.B} AS kind, round(m, 6) AS m, count(*) AS n FROM m GROUP BY 1, 2"))
+def max_adjacent_weight(spark, d):
+    kg = G.star_kg(spark, d)
+    prep = S.prepare(kg, [Q1_SUB], _space(spark), Params(), L.build_library(kg))
+    m = prep.info.filter("preds IS NOT NULL").select(F.col("nbr").alias("node"), F.lit(0).alias("sub_id"), F.lit(0).alias("stage"), "preds").withColumn("m", S._best_weight(prep))
+    return m.groupBy(F.expr(f"node div {G.BASE}").alias("kind"), F.round("m", 6).alias("m")).agg(F.count("*").alias("n"))
+
+
+@query("psi_hat_first_hop", O.with_star(f""", w AS (SELECT b AS predicate, sim FROM sims WHERE a = 'originNation' AND sim >= pow(0.8, 4) - 1e-12), m AS (SELECT node, max(sim) AS m FROM adj JOIN w USING (predicate) GROUP BY 1)
+SELECT x.nbr AS node, x.nbr // {O.B} = 6 AS done, round(CASE WHEN x.nbr // {O.B} = 6 THEN sim ELSE pow(sim * m, 0.25) END, 6) AS psi_hat
+FROM adj x JOIN w USING (predicate) JOIN m ON m.node = x.nbr WHERE x.node = 2 * {O.B} + 7 AND CASE WHEN x.nbr // {O.B} = 6 THEN sim ELSE pow(sim * m, 0.25) END >= 0.8 - 1e-12"""))
+def psi_hat_first_hop(spark, d):
+    kg = G.star_kg(spark, d)
+    prep = S.prepare(kg, [Q1_SUB], _space(spark), Params(), L.build_library(kg))
+    return _rounded(S.expand(prep, prep.start).select("node", "done", "psi_hat"), "psi_hat")
+
+
+def _edge_matches(hops: int) -> None:
+    sql = O.with_star(f""", found(node, hops, path, preds) AS (
+        SELECT 2 * {O.B} + 7, 0, [2 * {O.B} + 7], '' UNION ALL
+        SELECT a.nbr, hops + 1, list_append(path, a.nbr), preds || ' ' || a.predicate FROM found JOIN adj a ON a.node = found.node WHERE hops < {hops} AND found.node // {O.B} <> 6 AND NOT list_contains(path, a.nbr)
+    ) SELECT hops AS n, trim(preds) AS preds, count(*) AS paths, count(DISTINCT node) AS ends FROM found WHERE node // {O.B} = 6 GROUP BY 1, 2""")
+
+    @query(f"edge_matches_{hops}hop", sql)
+    def run(spark, d):
+        kg = G.star_kg(spark, d)
+        found = S.enumerate_edge_matches(kg, Q1_SUB, Params(max_hops=hops), L.build_library(kg))
+        return found.groupBy("n", F.array_join("path_preds", " ").alias("preds")).agg(F.count("*").alias("paths"), F.countDistinct("end_id").alias("ends"))
+
+
+_edge_matches(2)
+_edge_matches(3)
+
+# ---- exact search ----
+
+
+def _exact(name: str, gq: QueryGraph, params: Params, sql: str, builder=G.star_kg, **options) -> None:
+    @query(name, sql)
+    def run(spark, d):
+        kg = builder(spark, d)
+        library = L.build_library(kg) if builder is G.star_kg else L.authored_library(spark)
+        return _answers(E.exact_query(kg, gq, _space(spark), params, library, **options).answers)
+
+
+for _k in (20, 40, 100, 200):
+    _exact(f"exact_origin_k{_k}", W.origin(), Params(k=_k), O.answers([_q1()], _k))
+for _t in (0.6, 0.7, 0.8, 0.9):
+    _exact(f"exact_tau_0{int(_t * 10)}", W.origin(), Params(k=1000, tau=_t, max_hops=3), O.answers([_q1(_t, 3)], 1000))
+for _n in (2, 3, 4, 5):
+    _exact(f"exact_nhat_{_n}", W.origin(), Params(k=1000, max_hops=_n), O.answers([_q1(0.8, _n)], 1000))
+_exact("exact_no_estimate", W.origin(), Params(k=100, max_hops=3, use_estimate=False), O.answers([_q1(0.8, 3)], 100))
+_exact("exact_complete_construction", W.origin(), Params(k=100, max_hops=2), O.answers([_q1(0.8, 2)], 100), construct="complete")
+_exact("exact_tight_bound", W.origin(), Params(k=1000, bound="tight"), O.answers([_q1()], 1000))
+_exact("exact_loose_m", W.origin(), Params(k=100, m_mode="loose"), O.answers([_q1()], 100))
+_exact("exact_topk_prune", W.origin(), Params(k=100, topk_prune=True), O.answers([_q1()], 100))
+_exact("exact_best_first", W.origin(), Params(k=100, batch=500), O.answers([_q1()], 100), engine="best_first")
+_exact("exact_local_heap", W.origin(), Params(k=100, max_hops=3), O.answers([_q1(0.8, 3)], 100), engine="local")
+_exact("exact_two_stage", W.chain(), Params(k=100, max_hops=3), O.answers([O.walk(0, f"SELECT 1 * {O.B} + r_regionkey AS node FROM region WHERE r_name = 'EUROPE'", [("inRegion", O.NATION), ("originNation", O.ORDER)], 2, 0.8, 3)], 100), pivot="o")
+_exact("exact_two_subqueries_complete", W.two_lists(), Params(k=200, max_hops=3), O.answers(_q2(), 200), subs=Q2_SUBS)
+_exact("exact_two_subqueries_partial", W.two_lists(), Params(k=200, max_hops=3), O.answers(_q2(), 200, complete=False), subs=Q2_SUBS, assembly="partial")
+_exact("exact_worst_decomposition", W.two_lists(), Params(k=100, max_hops=3), O.answers(_q2(), 100), subs=list(reversed(Q2_SUBS)))
+
+CYCLE_SUBS = [Q1_SUB, _sub(1, [QueryNode("n7", ("Nation",), "N7"), SUPPLIER, ORDER], ["supplierNation", "fulfilledBy"], 2)]
+_cycle = [_q1(0.8, 3), O.walk(1, O.nation(7), [("supplierNation", O.SUPPLIER), ("fulfilledBy", O.ORDER)], 2, 0.8, 3)]
+_exact("exact_cycle", W.cycle(), Params(k=100, max_hops=3), O.answers(_cycle, 100), subs=CYCLE_SUBS)
+
+STAR_SUBS = [
+    _sub(0, [QueryNode("b", ("Brand",), "Brand#12"), PART], ["hasBrand"], 1), _sub(1, [QueryNode("s", ("Supplier",), "Supplier#000000001"), PART], ["suppliedBy"], 1), _sub(2, [QueryNode("x", ("Order",), "Order#4"), PART], ["containsPart"], 1),
+]
+_star = [O.walk(0, O.named("Brand#12"), [("hasBrand", O.PART)], 1, 0.6, 2), O.walk(1, O.named("Supplier#000000001"), [("suppliedBy", O.PART)], 1, 0.6, 2), O.walk(2, O.named("Order#4"), [("containsPart", O.PART)], 1, 0.6, 2)]
+_exact("exact_star3", W.star(), Params(k=50, max_hops=2, tau=0.6), O.answers(_star, 50, complete=False), subs=STAR_SUBS, assembly="partial")
+
+TREE_SUBS = [Q1_SUB, _sub(1, [N3, SUPPLIER, ORDER, QueryNode("p", ("PROMO",))], ["supplierNation", "fulfilledBy", "containsPart"], 2)]
+_tree = [_q1(0.8, 3), O.walk(1, O.nation(3), [("supplierNation", O.SUPPLIER), ("fulfilledBy", O.ORDER), ("containsPart", O.of_type("PROMO"))], 2, 0.8, 3)]
+_exact("exact_tree", W.tree(), Params(k=100, max_hops=3), O.answers(_tree, 100), subs=TREE_SUBS)
+
+FLOWER_SUBS = [*CYCLE_SUBS, _sub(2, [QueryNode("b", ("Brand",), "Brand#12"), PART, ORDER], ["hasBrand", "containsPart"], 2)]
+_flower = [*_cycle, O.walk(2, O.named("Brand#12"), [("hasBrand", O.PART), ("containsPart", O.ORDER)], 2, 0.8, 3)]
+_exact("exact_flower", W.flower(), Params(k=100, max_hops=3), O.answers(_flower, 100, complete=False), subs=FLOWER_SUBS, assembly="partial")
+
+_wild = QueryGraph((QueryNode("x"), QueryNode("c", ("Customer",), "Customer#000000005")), (QueryEdge("x", "c", "placedBy"),), "wildcard")
+_exact("exact_wildcard", _wild, Params(k=50, max_hops=2), O.answers([O.walk(0, O.named("Customer#000000005"), [("placedBy", "SELECT node_id AS node FROM nodes")], 1, 0.8, 2)], 50))
+_multi = QueryGraph((QueryNode("p", ("PROMO", "ECONOMY")), QueryNode("b", ("Brand",), "Brand#4")), (QueryEdge("p", "b", "hasBrand"),), "several types")
+_exact("exact_multi_type", _multi, Params(k=50, max_hops=2), O.answers([O.walk(0, O.named("Brand#4"), [("hasBrand", f"{O.of_type('PROMO')} UNION {O.of_type('ECONOMY')}")], 1, 0.8, 2)], 50))
+_q3 = QueryGraph((QueryNode("p", ("Part",)), QueryNode("n", ("Nation",), "NATION_7")), (QueryEdge("p", "n", "suppliedBy"),), "part supply")
+_exact("exact_length_padding", _q3, Params(k=50, max_hops=3), O.answers([O.walk(0, O.nation(7), [("suppliedBy", O.PART)], 1, 0.8, 3)], 50))
+_act = QueryGraph((QueryNode("t", ("Topic",)), QueryNode("c", ("Customer",), "Customer#000000008")), (QueryEdge("t", "c", "purchase"),), "activity")
+_exact("exact_activity", _act, Params(k=50, max_hops=1, tau=0.5), O.answers([O.walk(0, f"SELECT 3 * {O.B} + c_custkey AS node FROM customer WHERE c_name = 'Customer#000000008'", [("purchase", O.TOPIC)], 1, 0.5, 1)], 50, O.ACTIVITY), G.activity_kg)
+
+CONTENT_SUBS = [_sub(0, [QueryNode("s", ("Source",), "src3"), QueryNode("d", ("Doc",))], ["fromSource"], 1), _sub(1, [QueryNode("l", ("Language",), "French"), QueryNode("d", ("Doc",))], ["writtenIn"], 1)]
+_content = QueryGraph((QueryNode("d", ("Doc",)), QueryNode("s", ("Source",), "src3"), QueryNode("l", ("Language",), "French")), (QueryEdge("d", "s", "fromSource"), QueryEdge("d", "l", "writtenIn")), "content")
+_exact("exact_content", _content, Params(k=30, max_hops=1), f"SELECT CAST(row_number() OVER (ORDER BY doc_id) AS INTEGER) AS rank, 9 * {O.B} + doc_id AS pivot_id, CAST(2.0 AS DOUBLE) AS score FROM documents WHERE source = 'src3' AND lang = 'fr' QUALIFY rank <= 30", G.content_kg, subs=CONTENT_SUBS)
+_dialog = QueryGraph((QueryNode("t", ("Turn",)), QueryNode("c", ("Conversation",), "Conversation#1")), (QueryEdge("t", "c", "partOf"),), "dialog")
+_exact("exact_dialog", _dialog, Params(k=30, max_hops=1), f"SELECT CAST(row_number() OVER (ORDER BY turn) AS INTEGER) AS rank, 17 * {O.B} + conv_id * 1000 + turn AS pivot_id, CAST(1.0 AS DOUBLE) AS score FROM conversations WHERE conv_id = 1 QUALIFY rank <= 30", G.dialog_kg)
+
+
+@query("exact_dominance", O.answers([_q1(0.8, 3)], 100))
+def exact_dominance(spark, d):
+    kg = G.star_kg(spark, d)
+    return _answers(E.exact_query(kg, W.origin(), _space(spark), Params(k=100, max_hops=3, revisit="dominance"), L.build_library(kg)).answers)
+
+
+@query("brute_force_topk", O.answers([_q1(0.8, 2)], 100))
+def brute_force_topk(spark, d):
+    kg = G.star_kg(spark, d)
+    w = spark.createDataFrame(list(P.weights_for("originNation", _space(spark)).items()), "predicate string, w double")
+    return _answers(BL.brute_force_query(kg, Q1_SUB, w, 100, Params(max_hops=2), L.build_library(kg)))
+
+
+# ---- assembly ----
+
+
+def _lists(spark, d, **changes):
+    kg = G.star_kg(spark, d)
+    return S.search(kg, Q2_SUBS, _space(spark), Params(max_hops=3, **changes), library=L.build_library(kg))
+
+
+@query("assembly_lists", O.answers(_q2(), 1).split("total AS")[0].rstrip().rstrip(",") + " SELECT sub_id, round(psi, 6) AS psi, count(*) AS n FROM (SELECT 0 AS sub_id, psi FROM list_0 UNION ALL SELECT 1, psi FROM list_1) GROUP BY 1, 2")
+def assembly_lists(spark, d):
+    return _lists(spark, d).groupBy("sub_id", F.round("psi", 6).alias("psi")).agg(F.count("*").alias("n"))
+
+
+@query("assembly_full", O.answers(_q2(), 100))
+def assembly_full(spark, d):
+    return _answers(A.assemble(_lists(spark, d), [0, 1], 100, strategy="full"))
+
+
+@query("assembly_threshold", O.answers(_q2(), 100))
+def assembly_threshold(spark, d):
+    return _answers(A.assemble(_lists(spark, d), [0, 1], 100, strategy="threshold", step=200))
+
+
+_depth = O.answers(_q2(), 1).split("total AS")[0].rstrip().rstrip(",") + """,
+heads AS (SELECT * FROM (SELECT 0 AS sub_id, pv, psi, row_number() OVER (ORDER BY round(psi, 9) DESC, pv) AS depth FROM list_0 UNION ALL SELECT 1, pv, psi, row_number() OVER (ORDER BY round(psi, 9) DESC, pv) FROM list_1) WHERE depth <= 200),
+cur AS (SELECT sub_id, CASE WHEN count(*) >= 200 THEN min(psi) ELSE 0 END AS c FROM heads GROUP BY 1),
+wide AS (SELECT pv AS pivot_id, count(*) AS seen, sum(psi) AS lower, max(psi) FILTER (sub_id = 0) AS a, max(psi) FILTER (sub_id = 1) AS b FROM heads GROUP BY 1)
+SELECT pivot_id, seen, round(lower, 6) AS lower, round(coalesce(a, (SELECT c FROM cur WHERE sub_id = 0)) + coalesce(b, (SELECT c FROM cur WHERE sub_id = 1)), 6) AS upper FROM wide"""
+
+
+@query("assembly_bounds_depth_200", _depth)
+def assembly_bounds_depth(spark, d):
+    lists = _lists(spark, d).withColumn("psi", F.round("psi", 9))
+    return _rounded(A.bounds(lists, [0, 1], 200, 50).table, "lower", "upper")
+
+
+# ---- bounded search ----
+
+
+def _bounded(name: str, rounds: int, root: int) -> None:
+    lists = [_q1(0.8, 4).replace("x.hops < 4", f"x.hops < {root}")]
+
+    @query(name, O.answers(lists, 200))
+    def run(spark, d):
+        kg = G.star_kg(spark, d)
+        return _answers(E.bounded_query(kg, W.origin(), _space(spark), Params(k=200), E.LogicalClock(rounds), library=L.build_library(kg)).answers)
+
+
+_bounded("bounded_round1", 1, 1)
+_bounded("bounded_round2", 2, 2)
+_bounded("bounded_converged", 9, 4)
+
+
+@query("bounded_resumed", O.answers([_q1()], 200))
+def bounded_resumed(spark, d):
+    kg = G.star_kg(spark, d)
+    first = E.bounded_query(kg, W.origin(), _space(spark), Params(k=200), E.LogicalClock(1), library=L.build_library(kg))
+    return _answers(first.resume(9).answers)
+
+
+def _jaccard_sql() -> str:
+    tops = []
+    base = O.answers([_q1()], 1).split("total AS")[0].rstrip().rstrip(",")
+    for r in (1, 2, 3):
+        tops.append(f"top_{r} AS (SELECT pv FROM (SELECT pv, row_number() OVER (ORDER BY round(max(pow(wp, 1.0 / hops)), 9) DESC, pv) AS n FROM walk_0 WHERE done AND hops <= {r} AND pow(wp, 1.0 / hops) >= 0.8 - 1e-12 GROUP BY pv) WHERE n <= 200)")
+    tops.append("best AS (SELECT pv FROM (SELECT pv, row_number() OVER (ORDER BY round(psi, 9) DESC, pv) AS n FROM list_0) WHERE n <= 200)")
+    picks = " UNION ALL ".join(f"SELECT {r} AS rounds, round((SELECT count(*) FROM top_{r} JOIN best USING (pv)) / (SELECT count(*) FROM (SELECT pv FROM top_{r} UNION SELECT pv FROM best)), 6) AS jaccard" for r in (1, 2, 3))
+    return f"{base}, {', '.join(tops)} {picks}"
+
+
+@query("jaccard_by_round", _jaccard_sql())
+def jaccard_by_round(spark, d):
+    kg = G.star_kg(spark, d)
+    library = L.build_library(kg)
+    exact = E.exact_query(kg, W.origin(), _space(spark), Params(k=200), library).answers
+    out = None
+    for r in (1, 2, 3):
+        a = E.bounded_query(kg, W.origin(), _space(spark), Params(k=200), E.LogicalClock(r), library=library).answers
+        own = M.jaccard(a, exact).select(F.lit(r).alias("rounds"), F.round("jaccard", 6).alias("jaccard"))
+        out = own if out is None else out.unionByName(own)
+    return out
+
+
+# ---- schemas, baselines, truth, measures ----
+
+
+@query("answer_schemas", f"""
+WITH RECURSIVE {O.STAR},{O.SPACE},{_q1(0.8, 3)}
+SELECT 0 AS sub_id, CASE round(psi, 4) WHEN 1.0 THEN 'Nation-originNation-Order' WHEN 0.9444 THEN 'Nation-customerNation-Customer-placedBy-Order' ELSE 'Nation-supplierNation-Supplier-fulfilledBy-Order' END AS schema, count(*) AS matches, round(max(psi), 6) AS best_psi FROM list_0 GROUP BY 1, 2""")
+def answer_schemas(spark, d):
+    kg = G.star_kg(spark, d)
+    found = S.search(kg, [Q1_SUB], _space(spark), Params(max_hops=3), library=L.build_library(kg))
+    return _rounded(E.answer_schemas(found, kg), "best_psi")
+
+
+def _schema_sql(preds: str, k: int, score: str) -> str:
+    return f"""WITH {O.STAR}, found AS ({preds}) SELECT CAST(row_number() OVER (ORDER BY pivot_id) AS INTEGER) AS rank, pivot_id, CAST({score} AS DOUBLE) AS score FROM found QUALIFY rank <= {k}"""
+
+
+_direct = f"SELECT DISTINCT nbr AS pivot_id FROM adj WHERE node = 2 * {O.B} + 7 AND predicate = 'originNation'"
+
+
+@query("baseline_exact_schema", f"WITH {O.STAR} SELECT CAST(1 AS INTEGER) AS rank, nbr AS pivot_id, CAST(1.0 AS DOUBLE) AS score FROM adj WHERE false")
+def baseline_exact_schema(spark, d):
+    kg = G.star_kg(spark, d)
+    subs = [_sub(0, [N7, QueryNode("o", ("Purchase",))], ["originNation"], 1)]
+    return _answers(BL.exact_schema_query(kg, subs, 100))
+
+
+@query("baseline_exact_schema_known", _schema_sql(_direct, 100, "1.0"))
+def baseline_exact_schema_known(spark, d):
+    kg = G.star_kg(spark, d)
+    return _answers(BL.exact_schema_query(kg, [_sub(0, [QueryNode("n", ("Nation",), "NATION_7"), ORDER], ["originNation"], 1)], 100))
+
+
+@query("baseline_node_library", _schema_sql(_direct, 100, "1.0"))
+def baseline_node_library(spark, d):
+    kg = G.star_kg(spark, d)
+    return _answers(BL.node_library_query(kg, [_sub(0, [N7, QueryNode("o", ("Purchase",))], ["originNation"], 1)], 100, L.build_library(kg)))
+
+
+_pairs = """
+prior AS (SELECT dst AS source, src AS target FROM edges WHERE predicate = 'originNation' ORDER BY src, dst LIMIT 20),
+found(source, target, node, hops, path, preds) AS (
+    SELECT source, target, source, 0, [source], '' FROM prior UNION ALL
+    SELECT source, target, a.nbr, hops + 1, list_append(path, a.nbr), preds || ' ' || a.predicate FROM found JOIN adj a ON a.node = found.node WHERE hops < 2 AND found.node <> target AND NOT list_contains(path, a.nbr)
+), patterns AS (SELECT trim(preds) AS pattern, count(*) AS support FROM (SELECT DISTINCT source, target, preds FROM found WHERE node = target) GROUP BY 1)"""
+
+
+@query("baseline_pattern_mining", O.with_star(f", {_pairs} SELECT pattern, support, round(1 - levenshtein(pattern, 'originNation') / greatest(length(pattern), 12), 6) AS similarity, round(support / 20 * (1 - levenshtein(pattern, 'originNation') / greatest(length(pattern), 12)), 6) AS score FROM patterns"))
+def baseline_pattern_mining(spark, d):
+    kg = G.star_kg(spark, d)
+    return _rounded(BL.mined_patterns(kg, W.prior_pairs(kg, 20).select("source", "target"), "originNation", 2), "similarity", "score")
+
+
+@query("baseline_pattern_miner")
+def baseline_pattern_miner(spark, d):
+    kg = G.star_kg(spark, d)
+    return _answers(BL.pattern_miner_query(kg, Q1_SUB, W.prior_pairs(kg, 20, 20).select("source", "target"), 100, max_hops=2, library=L.build_library(kg)))
+
+
+_hops = O.with_star(f""", target AS ({O.ORDER}), h1 AS (SELECT DISTINCT nbr AS node FROM adj WHERE node = 2 * {O.B} + 7), h2 AS (SELECT DISTINCT nbr AS node FROM adj WHERE node IN (SELECT node FROM h1)),
+best AS (SELECT node AS pivot_id, max(score) AS score FROM (SELECT node, CAST(1.0 AS DOUBLE) AS score FROM h1 UNION ALL SELECT node, 0.5 FROM h2) WHERE node IN (SELECT node FROM target) GROUP BY 1)
+SELECT CAST(row_number() OVER (ORDER BY score DESC, pivot_id) AS INTEGER) AS rank, pivot_id, score FROM best QUALIFY rank <= 300""")
+
+
+@query("baseline_hop_bounded", _hops)
+def baseline_hop_bounded(spark, d):
+    kg = G.star_kg(spark, d)
+    return _answers(BL.hop_bounded_query(kg, [Q1_SUB], 300, 2, L.build_library(kg)))
+
+
+@query("baseline_keyword", O.with_star(f""", a0 AS (SELECT node_id AS node FROM nodes WHERE contains(lower(name), 'nation_7')), b0 AS (SELECT DISTINCT node FROM adj WHERE contains(lower(predicate), 'originnation')),
+a1 AS (SELECT node, 0 AS d FROM a0 UNION ALL SELECT DISTINCT nbr, 1 FROM adj WHERE node IN (SELECT node FROM a0)), b1 AS (SELECT node, 0 AS d FROM b0 UNION ALL SELECT DISTINCT nbr, 1 FROM adj WHERE node IN (SELECT node FROM b0)),
+best AS (SELECT x.node AS pivot_id, min(x.d) + min(y.d) AS score FROM a1 x JOIN b1 y USING (node) WHERE x.node // {O.B} = 6 GROUP BY 1)
+SELECT CAST(row_number() OVER (ORDER BY score, pivot_id) AS INTEGER) AS rank, pivot_id, CAST(score AS DOUBLE) AS score FROM best QUALIFY rank <= 100"""))
+def baseline_keyword(spark, d):
+    kg = G.star_kg(spark, d)
+    return _answers(BL.keyword_query(kg, ["NATION_7", "originNation"], ("Order",), 100, 1, L.build_library(kg)))
+
+
+@query("baseline_homomorphism", O.with_star(f""", s0 AS (SELECT node_id AS node, ((1 - levenshtein(lower(name), 'nation_7') / greatest(length(name), 8)) + list_max(list_transform(types, lambda t: 1 - levenshtein(lower(t), 'nation') / greatest(length(t), 6)))) / 2 AS s FROM nodes),
+src AS (SELECT * FROM s0 WHERE s >= 0.9), t AS (SELECT node_id AS node, list_max(list_transform(types, lambda t: 1 - levenshtein(lower(t), 'order') / greatest(length(t), 5))) AS s FROM nodes),
+best AS (SELECT a.nbr AS pivot_id, max(src.s + t.s) / 2 AS score FROM src JOIN adj a USING (node) JOIN t ON t.node = a.nbr WHERE t.s >= 0.9 GROUP BY 1)
+SELECT CAST(row_number() OVER (ORDER BY round(score, 9) DESC, pivot_id) AS INTEGER) AS rank, pivot_id, round(score, 6) AS score FROM best QUALIFY rank <= 100"""))
+def baseline_homomorphism(spark, d):
+    kg = G.star_kg(spark, d)
+    sub = _sub(0, [QueryNode("n", ("Nation",), "NATION_7"), ORDER], ["originNation"], 1)
+    return _answers(BL.homomorphism_query(kg, sub, 100, 0.9, 1))
+
+
+TRUTH = f"""SELECT 6 * {O.B} + o_orderkey AS node_id FROM orders JOIN customer ON o_custkey = c_custkey WHERE c_nationkey = 7"""
+
+
+@query("truth_union", TRUTH)
+def truth_union(spark, d):
+    return W.origin_truth(G.star_kg(spark, d), 7)
+
+
+def _pr_sql(ks: tuple[int, ...]) -> str:
+    base = O.answers([_q1()], max(ks)).rsplit("SELECT rank, pivot_id", 1)[0]
+    parts = " UNION ALL ".join(f"SELECT {k} AS k, (SELECT count(*) FROM ranked WHERE rank <= {k}) AS returned, (SELECT count(*) FROM ranked JOIN truth ON pivot_id = node_id WHERE rank <= {k}) AS correct, (SELECT count(*) FROM truth) AS total" for k in ks)
+    return f"{base}, truth AS ({TRUTH}), c AS ({parts}) SELECT k, round(correct / returned, 6) AS precision, round(correct / total, 6) AS recall, round(2 / (returned / correct + total / correct), 6) AS f1 FROM c"
+
+
+@query("precision_recall_by_k", _pr_sql((20, 40, 100, 200)))
+def precision_recall_by_k(spark, d):
+    kg = G.star_kg(spark, d)
+    a = E.exact_query(kg, W.origin(), _space(spark), Params(k=200), L.build_library(kg)).answers.select(F.lit(0).alias("query_id"), "rank", F.col("pivot_id").alias("node_id"))
+    truth = W.origin_truth(kg, 7).select(F.lit(0).alias("query_id"), "node_id")
+    out = None
+    for k in (20, 40, 100, 200):
+        own = M.precision_recall(a, truth, k).select(F.lit(k).alias("k"), *[F.round(c, 6).alias(c) for c in ("precision", "recall", "f1")])
+        out = own if out is None else out.unionByName(own)
+    return out
+
+
+@query("effectiveness_methods")
+def effectiveness_methods(spark, d):
+    methods = ("exact", "bounded", "exact_schema", "hop_bounded", "keyword", "homomorphism", "pattern_miner")
+    return W.effectiveness(G.star_kg(spark, d), [7], _space(spark), Params(max_hops=2), (20, 100), methods)
+
+
+@query("f1_report_pivot")
+def f1_report_pivot(spark, d):
+    r = W.effectiveness(G.star_kg(spark, d), [7], _space(spark), Params(max_hops=3), (20, 40, 100, 200), ("exact", "bounded", "exact_schema"))
+    return r.groupBy("method").pivot("k", [20, 40, 100, 200]).agg(F.round(F.first("f1"), 6))
+
+
+@query("component_times")
+def component_times(spark, d):
+    kg = G.star_kg(spark, d)
+    return W.component_times(kg, [W.origin()], _space(spark), Params(max_hops=2), L.build_library(kg))
+
+
+@query("time_bound_sweep")
+def time_bound_sweep(spark, d):
+    kg = G.star_kg(spark, d)
+    return W.time_bound_sweep(kg, W.origin(), _space(spark), Params(k=100, max_hops=3), (1, 2, 3), L.build_library(kg))
+
+
+@query("noise_node")
+def noise_node(spark, d):
+    return W.noise_report(G.star_kg(spark, d), ("node",), (0, 40), 2, _space(spark), P.predicate_space(spark), Params(k=100, max_hops=2))
+
+
+@query("noise_edge")
+def noise_edge(spark, d):
+    return W.noise_report(G.star_kg(spark, d), ("edge",), (0, 40), 2, _space(spark), P.predicate_space(spark), Params(k=100, max_hops=2))
+
+
+@query("sensitivity")
+def sensitivity(spark, d):
+    return W.sensitivity(G.star_kg(spark, d), 7, _space(spark), Params(k=100, max_hops=3), (2, 3), (0.8, 0.9))
+
+
+@query("scale_curve")
+def scale_curve(spark, d):
+    kg = G.star_kg(spark, d)
+    return W.scale_curve(kg, (44, 67, 100), (80, 100), _space(spark), Params(max_hops=2), L.build_library(kg))
+
+
+VOTES = """
+WITH v AS (SELECT CAST(q AS INTEGER) AS query_id, i AS pair_id, (i * 13) % 40 + 1 AS rank_a, (i * 7) % 60 + 2 AS rank_b, (i * i + q) % 11 AS votes_a, 10 - (i * i + q) % 11 AS votes_b FROM range(30) t(i), range(3) u(q))"""
+
+
+@query("correlation_users", VOTES + " SELECT query_id, count(*) AS pairs, round(corr(rank_b - rank_a, votes_a - votes_b), 6) AS pcc FROM v GROUP BY 1")
+def correlation_users(spark, d):
+    i = spark.range(30).select(F.col("id").alias("i"), F.explode(F.array(F.lit(0), F.lit(1), F.lit(2))).alias("query_id"))
+    a = (F.col("i") * F.col("i") + F.col("query_id")) % 11
+    votes = i.select("query_id", F.col("i").alias("pair_id"), ((F.col("i") * 13) % 40 + 1).alias("rank_a"), ((F.col("i") * 7) % 60 + 2).alias("rank_b"), a.alias("votes_a"), (10 - a).alias("votes_b"))
+    return _rounded(M.pcc(votes).select("query_id", "pairs", "pcc"), "pcc")
+
+
+@query("user_study")
+def user_study(spark, d):
+    kg = G.star_kg(spark, d)
+    a = E.exact_query(kg, W.origin(), _space(spark), Params(k=200, max_hops=2), L.build_library(kg)).answers
+    return M.pcc(W.simulate_votes(a))
+
+
+@query("pruning_ratio", O.with_star(_partial.split("SELECT predicate, count(*) AS n, round(sum(sim)")[0] + """, touched AS (SELECT * FROM weighed WHERE node IN (SELECT node FROM near))
+SELECT (SELECT count(*) FROM nodes) AS nodes, (SELECT count(*) FROM edges) AS edges, (SELECT count(*) FROM (SELECT node FROM touched UNION SELECT nbr FROM touched)) AS touched_nodes,
+    (SELECT count(*) FROM (SELECT DISTINCT least(node, nbr), greatest(node, nbr), predicate FROM touched)) AS touched_edges"""))
+def pruning_ratio(spark, d):
+    kg = G.star_kg(spark, d)
+    part = S.semantic_graph(kg, [Q1_SUB], _space(spark), Params(max_hops=2), "partial", L.build_library(kg))
+    return M.pruning(part, kg).select("nodes", "edges", "touched_nodes", "touched_edges")
+
+
+@query("decomposition_costs")
+def decomposition_costs(spark, d):
+    kg = G.star_kg(spark, d)
+    return W.decomposition_gain(kg, [W.origin(), W.two_lists(), W.cycle(), W.star(), W.chain(), W.flower()], _space(spark), Params(), L.build_library(kg))
+
+
+@query("shape_report")
+def shape_report(spark, d):
+    return W.shape_report(spark, G.star_kg(spark, d), _space(spark), Params())
+
+
+@query("embed_train")
+def embed_train(spark, d):
+    from ..operators.embedding import TranslationEmbedding
+
+    kg = G.core_portion(G.star_kg(spark, d), ["order", "part"])
+    model = TranslationEmbedding(dim=8, epochs=2)
+    _, predicates = model.fit(kg.edges)
+    return predicates.select("predicate", F.size("vec").alias("dim"))
+
+
+surround.add_to(QUERIES, ORACLE_SQL)
+
+__all__ = ["ORACLE_SQL", "QUERIES", "psi_hat"]
