@@ -13,6 +13,7 @@ import bisect
 import functools
 import re
 import zlib
+from array import array
 from collections import Counter, defaultdict
 from collections.abc import Iterator
 
@@ -25,8 +26,12 @@ from pyspark.sql import functions as F
 from .common import materialize, spread, text_of
 
 CAPACITY = 2048
-#: Entries of a worker's cache of words.
-CACHE_ENTRIES = 500_000
+#: Entries of a generation of a worker's cache of words.
+CACHE_ENTRIES = 400_000
+#: Words of characters up to this one are lowered and split here; both agree with the library on them.
+PLAIN_UP_TO = "\u012f"
+#: Fixed value: the vocabulary's own split of lower-case text.
+SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 
 Pattern = tuple[int, ...]
 
@@ -170,40 +175,75 @@ def slots(planned: list[tuple[Pattern, int]]) -> tuple[np.ndarray, ...]:
 
 
 class WordIds:
-    """Ids of whole texts by the word-based vocabulary, as little-endian bytes: white space parts words, words are cached."""
+    """Ids of whole texts by the word-based vocabulary, as little-endian bytes.
 
-    def __init__(self, path: str) -> None:
-        self.tok, self.specials, self.odd = _word_library(path)
-        self.cache: dict[str, bytes] = {}
+    White space parts words, words part into pre-tokens, and both are cached; pre-tokens new to the worker are encoded
+    many at a time, joined by spaces. Of words two generations are held: when the young one is full it becomes the old
+    one, so frequent words stay and memory is bounded.
+    """
 
-    def _ids(self, t: str) -> bytes:
-        return np.asarray(self.tok.encode(t, add_special_tokens=False).ids, "<u4").tobytes()
+    def __init__(self, path: str) -> None:
+        self.tok, self.specials, self.odd, self.split = _word_library(path)
+        self.words: dict[str, bytes] = {}
+        self.old: dict[str, bytes] = {}
+        self.parts: dict[str, bytes] = {}
+
+    def _whole(self, text: str) -> bytes:
+        return array("I", self.tok.encode(text, add_special_tokens=False).ids).tobytes()
+
+    def _learn(self, words: set[str]) -> None:
+        """Put all of `words` into the young generation."""
+        if len(self.words) >= CACHE_ENTRIES:
+            self.old, self.words = self.words, {}
+        missing = []
+        for w in words:
+            if w not in self.words:
+                ids = self.old.get(w)
+                if ids is None:
+                    missing.append(w)
+                else:
+                    self.words[w] = ids
+        if len(self.parts) >= CACHE_ENTRIES:
+            self.parts = {}
+        split, parts = self.split, self.parts
+        made = {}
+        for w in missing:
+            if max(w) > PLAIN_UP_TO:  # combining marks and scripts with their own rules go to the library whole
+                self.words[w] = self._whole(w)
+            else:
+                made[w] = split(w.lower())
+        need = list({p for own in made.values() for p in own if p not in parts})
+        for at in range(0, len(need), 2048):
+            some = need[at : at + 2048]
+            coded = self.tok.encode(" ".join(some), add_special_tokens=False)
+            raw = array("I", coded.ids).tobytes()
+            bounds = [0, *((np.flatnonzero(np.diff(coded.word_ids)) + 1) * 4).tolist(), len(raw)]
+            if len(bounds) == len(some) + 1:
+                parts.update(zip(some, (raw[i:j] for i, j in zip(bounds, bounds[1:]))))
+            else:  # a part that the library cuts further
+                parts.update((p, self._whole(p)) for p in some)
+        for w, own in made.items():
+            self.words[w] = parts[own[0]] if len(own) == 1 else b"".join([parts[p] for p in own])
 
     def encode(self, texts: list[str]) -> Iterator[bytes]:
-        for t in texts:
-            if self.odd.search(t) or any(s in t for s in self.specials):
-                yield self._ids(t)
-                continue
-            words = t.split()
-            found = list(map(self.cache.get, words))
-            if None in found:
-                missing = list({w for w, f in zip(words, found) if f is None})
-                if len(self.cache) + len(missing) > CACHE_ENTRIES:
-                    self.cache = {}
-                coded = self.tok.encode_batch(missing, add_special_tokens=False)
-                new = {w: np.asarray(e.ids, "<u4").tobytes() for w, e in zip(missing, coded)}
-                self.cache.update(new)
-                found = [new[w] if f is None else f for w, f in zip(words, found)]
-            yield b"".join(found)
+        for at in range(0, len(texts), 64):
+            some = texts[at : at + 64]
+            odd = [bool(self.odd.search(t)) or any(s in t for s in self.specials) for t in some]
+            words = [[] if o else t.split() for t, o in zip(some, odd)]
+            self._learn(set().union(*words))
+            get = self.words.__getitem__
+            for t, o, own in zip(some, odd, words):
+                yield self._whole(t) if o else b"".join(map(get, own))
 
 
 @functools.lru_cache(2)
 def _word_library(path: str):
+    import regex
     from tokenizers import Tokenizer
 
     t = Tokenizer.from_file(path)
     # separators on which str.split and the library's white space differ
-    return t, [x.content for x in t.get_added_tokens_decoder().values()], re.compile("[\x1c-\x1f]")
+    return t, [x.content for x in t.get_added_tokens_decoder().values()], re.compile("[\x1c-\x1f]"), regex.compile(SPLIT).findall
 
 
 def pieces(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", capacity: int = CAPACITY, end_id: int = 0) -> DataFrame:
