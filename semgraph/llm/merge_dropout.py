@@ -15,6 +15,7 @@ import functools
 import heapq
 import re
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -25,7 +26,8 @@ from pyspark.sql import functions as F
 from .common import spread, text_of
 
 MARK = "▁"
-CACHE_ENTRIES = 400_000
+#: Entries of a generation of a worker's cache, over all variants.
+CACHE_ENTRIES = 600_000
 #: Segments longer than this use a heap; both ways give the same pieces.
 SHORT = 24
 _M = (1 << 64) - 1
@@ -54,19 +56,27 @@ def vocabulary(path: str) -> tuple[dict[str, float], dict[str, int], list[bytes]
     return score, ids, raw
 
 
-def _skip(key: int, left: int, right: int, limit: int) -> bool:
-    x = (key ^ (left * 0x9E3779B97F4A7C15 + right * 0xC2B2AE3D27D4EB4F)) & _M
-    x = ((x ^ (x >> 32)) * 0xD6E8FEB86659FD93) & _M
-    return (x ^ (x >> 32)) & 0xFFFFFFFF < limit
+@functools.lru_cache(8)
+def _skip_table(dropout: float) -> bytes:
+    """Whether a candidate is skipped, for 2^16 hash values: a fixed keyed hash against the rate."""
+    import xxhash
+
+    limit = int(dropout * 2**32)
+    return bytes(xxhash.xxh32_intdigest(i.to_bytes(4, "little"), 42) < limit for i in range(1 << 16))
+
+
+def _place(key: int, left: int, right: int) -> int:
+    """The hash value of a candidate that covers the characters left to right, under a key."""
+    return (key + left * 40_503 + right * 30_011) & 0xFFFF
 
 
 def merge_segment(segment: str, score: dict[str, float], key: int, dropout: float) -> list[str]:
     """Pieces of one segment: candidates by (score, leftmost), each skipped by its keyed hash."""
-    limit = int(dropout * 2**32)
-    return (_short if len(segment) <= SHORT else _long)(segment, score, key, limit)
+    skip = _skip_table(dropout) if dropout > 0 else None
+    return (_short if len(segment) <= SHORT else _long)(segment, score, key, skip)
 
 
-def _short(segment: str, score: dict[str, float], key: int, limit: int) -> list[str]:
+def _short(segment: str, score: dict[str, float], key: int, skip: bytes | None) -> list[str]:
     none = float("-inf")
     parts = list(segment)
     at = list(range(len(parts) + 1))  # where each part begins
@@ -77,7 +87,7 @@ def _short(segment: str, score: dict[str, float], key: int, limit: int) -> list[
         if best == none:
             break
         i = offers.index(best)
-        if limit and _skip(key, at[i], at[i + 2], limit):
+        if skip is not None and skip[_place(key, at[i], at[i + 2])]:
             offers[i] = none
             continue
         parts[i : i + 2] = [parts[i] + parts[i + 1]]
@@ -89,7 +99,7 @@ def _short(segment: str, score: dict[str, float], key: int, limit: int) -> list[
     return parts
 
 
-def _long(segment: str, score: dict[str, float], key: int, limit: int) -> list[str]:
+def _long(segment: str, score: dict[str, float], key: int, skip: bytes | None) -> list[str]:
     n = len(segment)
     end = list(range(1, n + 1))  # of the part that begins here, 0 if none does
     before = list(range(-1, n - 1))
@@ -104,7 +114,7 @@ def _long(segment: str, score: dict[str, float], key: int, limit: int) -> list[s
         offer(i)
     while heap:
         _, i, j, k = heapq.heappop(heap)
-        if end[i] != j or j >= n or end[j] != k or (limit and _skip(key, i, k, limit)):
+        if end[i] != j or j >= n or end[j] != k or (skip is not None and skip[_place(key, i, k)]):
             continue
         end[i], end[j] = k, 0
         if k < n:
@@ -122,24 +132,39 @@ def _long(segment: str, score: dict[str, float], key: int, limit: int) -> list[s
 _segments = re.compile(f"{MARK}*[^{MARK}]+|{MARK}+")
 
 
+class _Segments(dict):
+    """segment -> ids as bytes under one variant's key; two generations of entries are held."""
+
+    def __init__(self, coder: DropoutEncoder, key: int, room: int) -> None:
+        self.coder, self.key, self.room = coder, key, room
+        self.old: dict[str, bytes] = {}
+
+    def __missing__(self, segment: str) -> bytes:
+        if len(self) >= self.room:
+            self.old = dict(self)
+            self.clear()
+        out = self.old.get(segment)
+        if out is None:
+            out = self.coder.encode_segment(segment, self.key)
+        self[segment] = out
+        return out
+
+
 class DropoutEncoder:
-    def __init__(self, path: str, seed: int = 0, dropout: float = 0.1, variants: int = 4) -> None:
+    def __init__(self, path: str, seed: int = 0, dropout: float = 0.1, variants: int = 2) -> None:
         self.score, self.ids, self.raw = vocabulary(path)
         self.seed, self.dropout, self.variants = seed, dropout, max(1, variants)
-        self.cache: list[dict[str, bytes]] = [{} for _ in range(self.variants)]
-        self.room = CACHE_ENTRIES
-        self.keys = [(seed * 0xA0761D6478BD642F + (v + 1) * 0xE7037ED1A0B428DB) & _M for v in range(self.variants)]
+        self.cache = [_Segments(self, zlib.crc32(f"{seed}/{v}".encode()), CACHE_ENTRIES // self.variants) for v in range(self.variants)]
 
-    def _encode(self, segment: str, variant: int) -> bytes:
-        key = self.keys[variant] ^ zlib.crc32(segment.encode()) * 0x8EBC6AF09C88C6E3 & _M
+    def encode_segment(self, segment: str, key: int) -> bytes:
         out: list[int] = []
-        for p in merge_segment(segment, self.score, key, self.dropout):
+        for p in merge_segment(segment, self.score, zlib.crc32(segment.encode(), key), self.dropout):
             i = self.ids.get(p)
             if i is None:  # a character outside the vocabulary: its bytes
                 out += [self.ids[f"<0x{b:02X}>"] for b in p.encode()]
             else:
                 out.append(i)
-        return np.asarray(out, "<u4").tobytes()
+        return array("I", out).tobytes()
 
     def encode(self, text: str, doc: int = 0) -> bytes:
         """Ids, little-endian unsigned 32-bit."""
@@ -147,27 +172,11 @@ class DropoutEncoder:
             return b""
         segments = _segments.findall(MARK + text.replace(" ", MARK))
         if self.variants == 1:
-            cache = self.cache[0]
-            found = list(map(cache.get, segments))
-            picks = None
-        else:
-            own = np.uint64((doc * 0x9E3779B97F4A7C15 ^ self.seed * 0xD6E8FEB86659FD93) & _M)
-            x = (np.arange(len(segments), dtype=np.uint64) + own) * np.uint64(0xC2B2AE3D27D4EB4F)
-            picks = ((x >> np.uint64(40)) % np.uint64(self.variants)).tolist()
-            cache = self.cache
-            found = [cache[v].get(s) for v, s in zip(picks, segments)]
-        if None in found:
-            for i, f in enumerate(found):
-                if f is None:
-                    v = picks[i] if picks else 0
-                    found[i] = self._encode(segments[i], v)
-                    if self.room <= 0:
-                        for c in self.cache:
-                            c.clear()
-                        self.room = CACHE_ENTRIES
-                    self.cache[v][segments[i]] = found[i]
-                    self.room -= 1
-        return b"".join(found)
+            return b"".join(map(self.cache[0].__getitem__, segments))
+        own = np.uint64((doc * 0x9E3779B97F4A7C15 ^ self.seed * 0xD6E8FEB86659FD93) & _M)
+        x = (np.arange(len(segments), dtype=np.uint64) + own) * np.uint64(0xC2B2AE3D27D4EB4F)
+        cache = self.cache
+        return b"".join([cache[v][s] for v, s in zip(((x >> np.uint64(40)) % np.uint64(self.variants)).tolist(), segments)])
 
     def decode(self, ids: bytes) -> str:
         raw = self.raw
@@ -175,7 +184,7 @@ class DropoutEncoder:
         return (data[1:] if data[:1] == b" " else data).decode("utf-8", "replace")
 
 
-def encode_documents(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", seed: int = 0, dropout: float = 0.1, variants: int = 4) -> DataFrame:
+def encode_documents(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", seed: int = 0, dropout: float = 0.1, variants: int = 2) -> DataFrame:
     """(doc_id, ids binary): pieces of every whole text, little-endian unsigned 32-bit; see `decode_documents`.
 
     Null text counts as empty and has no ids. Null ids count as document 0. Repeated rows get the same
@@ -203,7 +212,7 @@ def decode_documents(encoded: DataFrame, path: str) -> DataFrame:
     return encoded.select("doc_id", "ids").mapInArrow(run, "doc_id long, text string")
 
 
-def segmentation_digest(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", seed: int = 0, dropout: float = 0.1, variants: int = 4) -> DataFrame:
+def segmentation_digest(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", seed: int = 0, dropout: float = 0.1, variants: int = 2) -> DataFrame:
     """(doc_id, n_pieces, ids_crc32, decodes): encoded and decoded again; `decodes` tells whether the whole text came back."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
