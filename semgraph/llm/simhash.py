@@ -320,8 +320,9 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     roots = connected_components(links, "a", "b")
     linked = own.join(roots, own.fp == roots.node).select("fp", "first", "root")
     least = linked.groupBy("root").agg(F.min("first").alias("least"))
-    labels = materialize(linked.join(least, "root").select("fp", "least"), "labels")
-    label = own.join(labels, "fp", "left").select("fp", F.coalesce("least", "first").alias("component_id"))
+    named = linked.join(least, "root").select("fp", "least")
+    label = own.join(named, "fp", "left").select("fp", F.coalesce("least", "first").alias("component_id"))
+    label = materialize(label, "labels")  # a plain scan on either side of the last join, so that a hot fingerprint can be split
     return fps.join(label, "fp").select("doc_id", "fp", "component_id")
 
 
