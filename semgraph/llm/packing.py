@@ -27,7 +27,7 @@ from .common import materialize, spread, text_of
 
 CAPACITY = 2048
 #: Entries of a generation of a worker's cache of words.
-CACHE_ENTRIES = 400_000
+CACHE_ENTRIES = 700_000
 #: Words of characters up to this one are lowered and split here; both agree with the library on them.
 PLAIN_UP_TO = "\u012f"
 #: Fixed value: the vocabulary's own split of lower-case text.
@@ -196,13 +196,12 @@ class WordIds:
         if len(self.words) >= CACHE_ENTRIES:
             self.old, self.words = self.words, {}
         missing = []
-        for w in words:
-            if w not in self.words:
-                ids = self.old.get(w)
-                if ids is None:
-                    missing.append(w)
-                else:
-                    self.words[w] = ids
+        for w in words - self.words.keys():
+            ids = self.old.get(w)
+            if ids is None:
+                missing.append(w)
+            else:
+                self.words[w] = ids
         if len(self.parts) >= CACHE_ENTRIES:
             self.parts = {}
         split, parts = self.split, self.parts
@@ -210,6 +209,10 @@ class WordIds:
         for w in missing:
             if max(w) > PLAIN_UP_TO:  # combining marks and scripts with their own rules go to the library whole
                 self.words[w] = self._whole(w)
+            elif w.isalpha():
+                made[w] = (w.lower(),)
+            elif w[-1] in ",." and w[:-1].isalpha():
+                made[w] = (w[:-1].lower(), w[-1])
             else:
                 made[w] = split(w.lower())
         need = list({p for own in made.values() for p in own if p not in parts})
