@@ -121,7 +121,7 @@ class Params:
     fetch_factor: int = 2
     relations: tuple[str, ...] = ("identical", "synonym", "abbreviation")
     batch: int = 1000
-    eager: bool = False  # checkpoint every round
+    eager: bool = True  # checkpoint every round; otherwise one lazy plan
     extra: dict = field(default_factory=dict, compare=False)
 
     def but(self, **changes: Any) -> Params:

@@ -95,7 +95,7 @@ def prepare(kg: KG, subs: list[SubQuery], space: dict[str, list[float]], params:
         info = marked.select(F.col("node_id").alias("nbr"), "marks", F.lit(None).cast("array<string>").alias("preds"))
     else:
         preds = near.groupBy("node").agg(F.collect_set("predicate").alias("preds"))
-        info = preds.join(marked, preds.node == marked.node_id, "left").select(F.col("node").alias("nbr"), "marks", "preds")
+        info = preds.join(marked, preds.node == marked.node_id, "full_outer").select(F.coalesce("node", "node_id").alias("nbr"), "marks", "preds")
     start = sources.distinct().select(
         "sub_id", "source_id", F.col("source_id").alias("node"), F.lit(0).alias("stage"), F.lit(0).alias("hops"), F.lit(0).alias("stage_hops"), F.lit(1.0).alias("w_prod"), F.lit(1.0).alias("psi_hat"),
         F.array("source_id").alias("path_nodes"), F.array().cast("array<string>").alias("path_preds"), F.lit(None).cast("long").alias("pivot_id"), F.lit(False).alias("done"),
@@ -282,13 +282,14 @@ def local_heap(prep: Prepared, stats: Stats | None = None) -> DataFrame:
     if any(s.stages > 1 for s in prep.subs) or p.revisit != "simple_path":
         raise ValueError("the local engine takes sub-queries of one edge and simple paths")
     edges = prep.adj.join(F.broadcast(prep.weights), "predicate").select("sub_id", "node", "nbr", "predicate", "w")
-    hood = reachable(prep, edges)
+    hood = cut(reachable(prep, edges))
     if hood.count() > MOST_LOCAL_EDGES:
         raise ValueError("the neighbourhood is too large for one task; use the layered engine")
     targets = prep.info.select(F.col("nbr").alias("node"), F.explode("marks").alias("code"))
     subs = {s.sub_id: s for s in prep.subs}
-    left = hood.join(targets.select(F.col("node").alias("nbr"), F.lit(True).alias("target"), (F.col("code") / 100).cast("int").alias("sub_id")), ["sub_id", "nbr"], "left")
-    first = prep.start.select("sub_id", "source_id")
+    ends = cut(targets.select(F.col("node").alias("nbr"), F.lit(True).alias("target"), (F.col("code") / 100).cast("int").alias("sub_id")))
+    left = hood.join(ends, ["sub_id", "nbr"], "left")
+    first = prep.start.select(F.col("sub_id").alias("sub"), "source_id")
 
     def run(key, a, b):
         import pandas as pd
@@ -325,7 +326,7 @@ def local_heap(prep: Prepared, stats: Stats | None = None) -> DataFrame:
         return pd.DataFrame(rows, columns=["sub_id", "pivot_id", "psi", "n", "source_id", "end_id", "path_nodes", "path_preds"])
 
     schema = "sub_id int, pivot_id long, psi double, n int, source_id long, end_id long, path_nodes array<long>, path_preds array<string>"
-    return left.groupBy("sub_id").cogroup(first.groupBy("sub_id")).applyInPandas(run, schema)
+    return left.groupBy("sub_id").cogroup(first.groupBy("sub")).applyInPandas(run, schema)
 
 
 def reachable(prep: Prepared, edges: DataFrame) -> DataFrame:

@@ -62,12 +62,12 @@ N7, N3 = QueryNode("n7", ("Nation",), "N7"), QueryNode("n3", ("Nation",), "NATIO
 
 @query("kg_node_counts", f"WITH {O.STAR_NODES} SELECT types[1] AS type, count(*) AS n FROM nodes GROUP BY 1")
 def kg_node_counts(spark, d):
-    return G.star_kg(spark, d).nodes.groupBy(F.get("types", F.lit(0)).alias("type")).agg(F.count("*").alias("n"))
+    return G.stored_kg(spark, d, "star").nodes.groupBy(F.get("types", F.lit(0)).alias("type")).agg(F.count("*").alias("n"))
 
 
 @query("kg_edge_counts", f"WITH {O.STAR_NODES},{O.STAR_EDGES} SELECT predicate, count(*) AS n FROM edges GROUP BY 1")
 def kg_edge_counts(spark, d):
-    return G.star_kg(spark, d).edges.groupBy("predicate").agg(F.count("*").alias("n"))
+    return G.stored_kg(spark, d, "star").edges.groupBy("predicate").agg(F.count("*").alias("n"))
 
 
 @query("kg_homogeneous_counts", f"WITH {O.STAR_NODES},{O.STAR_EDGES.replace(' WHERE o_orderkey % 4 <> 0', '').replace(' WHERE o_orderkey % 4 = 0', '')} SELECT predicate, count(*) AS n FROM edges GROUP BY 1")
@@ -77,7 +77,7 @@ def kg_homogeneous_counts(spark, d):
 
 @query("kg_degree_by_type", f"WITH {O.STAR}, deg AS (SELECT node, count(*) AS n FROM adj GROUP BY node) SELECT types[1] AS type, max(n) AS max_degree, CAST(sum(n) AS BIGINT) AS total FROM deg JOIN nodes ON node = node_id GROUP BY 1")
 def kg_degree_by_type(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     deg = G.adjacency(kg.edges).groupBy("node").agg(F.count("*").alias("n"))
     typed = deg.join(kg.nodes.select(F.col("node_id").alias("node"), F.get("types", F.lit(0)).alias("type")), "node")
     return typed.groupBy("type").agg(F.max("n").alias("max_degree"), F.sum("n").alias("total"))
@@ -85,25 +85,25 @@ def kg_degree_by_type(spark, d):
 
 @query("kg_type_predicate_cube", f"WITH {O.STAR} SELECT types[1] AS type, predicate, count(*) AS n FROM adj JOIN nodes ON node = node_id GROUP BY CUBE (types[1], predicate)")
 def kg_type_predicate_cube(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     first = kg.nodes.select(F.col("node_id").alias("node"), F.get("types", F.lit(0)).alias("type"))
     return G.adjacency(kg.edges).join(first, "node").cube("type", "predicate").agg(F.count("*").alias("n"))
 
 
 @query("kg_rollup_types", f"WITH {O.STAR_NODES} SELECT types[1] AS kind, types[2] AS detail, count(*) AS n FROM nodes GROUP BY ROLLUP (types[1], types[2])")
 def kg_rollup_types(spark, d):
-    t = G.star_kg(spark, d).nodes.select(F.get("types", F.lit(0)).alias("kind"), F.get("types", F.lit(1)).alias("detail"))
+    t = G.stored_kg(spark, d, "star").nodes.select(F.get("types", F.lit(0)).alias("kind"), F.get("types", F.lit(1)).alias("detail"))
     return t.rollup("kind", "detail").agg(F.count("*").alias("n"))
 
 
 @query("kg_adjacency_both", f"WITH {O.STAR} SELECT node, nbr, predicate, forward FROM adj WHERE predicate IN ('inRegion', 'supplierNation')")
 def kg_adjacency_both(spark, d):
-    return G.adjacency(G.star_kg(spark, d).edges).filter(F.col("predicate").isin("inRegion", "supplierNation"))
+    return G.adjacency(G.stored_kg(spark, d, "star").edges).filter(F.col("predicate").isin("inRegion", "supplierNation"))
 
 
 @query("kg_stats", f"WITH {O.STAR} SELECT types[1] AS type, predicate, CASE WHEN forward THEN 'out' ELSE 'in' END AS direction, count(DISTINCT node) AS nodes, count(*) AS edges, round(count(*) / count(DISTINCT node), 6) AS mean_fanout FROM adj JOIN nodes ON node = node_id GROUP BY 1, 2, 3")
 def kg_stats(spark, d):
-    return _rounded(D.stats_table(G.star_kg(spark, d)), "mean_fanout")
+    return _rounded(D.stats_table(G.stored_kg(spark, d, "star")), "mean_fanout")
 
 
 @query("kg_activity_counts", f"WITH {O.ACTIVITY} SELECT predicate, count(*) AS n, count(DISTINCT src) AS users, count(DISTINCT dst) AS topics FROM edges GROUP BY 1")
@@ -142,19 +142,19 @@ def kg_vector_counts(spark, d):
 
 @query("kg_restrict_entities", f"WITH {O.STAR}, kept AS (SELECT node_id FROM nodes WHERE name LIKE 'NATION%' OR name LIKE 'Supplier%') SELECT predicate, count(*) AS n FROM edges WHERE src IN (SELECT node_id FROM kept) AND dst IN (SELECT node_id FROM kept) GROUP BY 1")
 def kg_restrict_entities(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     names = kg.nodes.select("name").filter("name LIKE 'NATION%' OR name LIKE 'Supplier%'").distinct()
     return G.restrict_entities(kg, names).edges.groupBy("predicate").agg(F.count("*").alias("n"))
 
 
 @query("kg_core_portion", f"WITH {O.STAR} SELECT predicate, count(*) AS n FROM edges WHERE src // {O.B} NOT IN (5, 7) AND dst // {O.B} NOT IN (5, 7) GROUP BY 1")
 def kg_core_portion(spark, d):
-    return G.core_portion(G.star_kg(spark, d), ["part", "brand"]).edges.groupBy("predicate").agg(F.count("*").alias("n"))
+    return G.core_portion(G.stored_kg(spark, d, "star"), ["part", "brand"]).edges.groupBy("predicate").agg(F.count("*").alias("n"))
 
 
 @query("subgraph_counts", f"WITH {O.STAR} SELECT p AS percent, (SELECT count(*) FROM nodes WHERE node_id % 100 < p) AS nodes, (SELECT count(*) FROM edges WHERE src % 100 < p AND dst % 100 < p) AS edges FROM (VALUES (44), (67), (100)) t(p)")
 def subgraph_counts(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     out = None
     for percent in (44, 67, 100):
         part = G.induced_subgraph(kg, percent)
@@ -169,7 +169,7 @@ def subgraph_counts(spark, d):
 def _phi(name: str, node: QueryNode, relations: tuple[str, ...], sql: str) -> None:
     @query(name, f"WITH {O.STAR_NODES} {sql}")
     def run(spark, d):
-        kg = G.star_kg(spark, d)
+        kg = G.stored_kg(spark, d, "star")
         return L.match_nodes(kg, L.build_library(kg), node, relations).select("node_id", "relation")
 
 
@@ -184,13 +184,13 @@ _phi("phi_specific", QueryNode("x", ("Nation",), "EUROPE"), ALL, "SELECT node_id
 
 @query("phi_wildcard", f"WITH {O.STAR_NODES} SELECT count(*) AS n FROM nodes")
 def phi_wildcard(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     return L.match_nodes(kg, L.build_library(kg), QueryNode("x")).agg(F.count("*").alias("n"))
 
 
 @query("library_initials", "SELECT 'N' || n_nationkey AS surface, n_name AS canonical FROM nation UNION ALL SELECT 'ME', 'MIDDLE EAST'")
 def library_initials(spark, d):
-    names = G.star_kg(spark, d).nodes.filter(F.arrays_overlap("types", F.array(F.lit("Nation"), F.lit("Region")))).select("name")
+    names = G.stored_kg(spark, d, "star").nodes.filter(F.arrays_overlap("types", F.array(F.lit("Nation"), F.lit("Region")))).select("name")
     return L.initials_rule(names).select("surface", "canonical")
 
 
@@ -211,7 +211,7 @@ SELECT f.type AS real, b.type AS predicted, count(*) AS n FROM best b JOIN first
 
 @query("typing_naive_bayes", TYPING)
 def typing_naive_bayes(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     first = F.slice("types", 1, 1)
     hidden = kg.nodes.withColumn("types", F.when(F.col("node_id") % 10 == 3, F.array().cast("array<string>")).otherwise(first))
     found = L.infer_types(KG(hidden, kg.edges))
@@ -276,7 +276,7 @@ def _q2(tau: float = 0.8, root: int = 3) -> list[str]:
 
 @query("semgraph_one_hop", O.with_star(f", w AS (SELECT b AS predicate, sim FROM sims WHERE a = 'originNation' AND sim > 0) SELECT nbr, predicate, round(sim, 6) AS w FROM adj JOIN w USING (predicate) WHERE node = 2 * {O.B} + 7").replace("},", "},"))
 def semgraph_one_hop(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     prep = S.prepare(kg, [Q1_SUB], _space(spark), Params(static_cut=False), L.build_library(kg))
     hop = prep.start.join(prep.adj, "node").join(F.broadcast(prep.weights), ["sub_id", "stage", "predicate"])
     return _rounded(hop.select("nbr", "predicate", "w"), "w")
@@ -290,7 +290,7 @@ SELECT predicate, count(*) AS n, round(sum(sim), 4) AS total FROM weighed WHERE
 
 @query("semgraph_complete", O.with_star(_reach2))
 def semgraph_complete(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     whole = S.semantic_graph(kg, [Q1_SUB], _space(spark), Params(max_hops=2), "complete", L.build_library(kg))
     return whole.groupBy("predicate").agg(F.count("*").alias("n"), F.round(F.sum("w"), 4).alias("total"))
 
@@ -305,14 +305,14 @@ SELECT predicate, count(*) AS n, round(sum(sim), 4) AS total FROM weighed WHERE
 
 @query("semgraph_partial_touched", O.with_star(_partial))
 def semgraph_partial_touched(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     part = S.semantic_graph(kg, [Q1_SUB], _space(spark), Params(max_hops=2), "partial", L.build_library(kg))
     return part.groupBy("predicate").agg(F.count("*").alias("n"), F.round(F.sum("w"), 4).alias("total"))
 
 
 @query("max_adjacent_weight", O.with_star(f", m AS (SELECT node, max(sim) AS m FROM adj JOIN sims ON b = predicate AND a = 'originNation' AND sim >= pow(0.8, 4) - 1e-12 GROUP BY 1) SELECT node // {O.B} AS kind, round(m, 6) AS m, count(*) AS n FROM m GROUP BY 1, 2"))
 def max_adjacent_weight(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     prep = S.prepare(kg, [Q1_SUB], _space(spark), Params(), L.build_library(kg))
     m = prep.info.filter("preds IS NOT NULL").select(F.col("nbr").alias("node"), F.lit(0).alias("sub_id"), F.lit(0).alias("stage"), "preds").withColumn("m", S._best_weight(prep))
     return m.groupBy(F.expr(f"node div {G.BASE}").alias("kind"), F.round("m", 6).alias("m")).agg(F.count("*").alias("n"))
@@ -322,7 +322,7 @@ def max_adjacent_weight(spark, d):
 SELECT x.nbr AS node, x.nbr // {O.B} = 6 AS done, round(CASE WHEN x.nbr // {O.B} = 6 THEN sim ELSE pow(sim * m, 0.25) END, 6) AS psi_hat
 FROM adj x JOIN w USING (predicate) JOIN m ON m.node = x.nbr WHERE x.node = 2 * {O.B} + 7 AND CASE WHEN x.nbr // {O.B} = 6 THEN sim ELSE pow(sim * m, 0.25) END >= 0.8 - 1e-12"""))
 def psi_hat_first_hop(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     prep = S.prepare(kg, [Q1_SUB], _space(spark), Params(), L.build_library(kg))
     return _rounded(S.expand(prep, prep.start).select("node", "done", "psi_hat"), "psi_hat")
 
@@ -335,7 +335,7 @@ def _edge_matches(hops: int) -> None:
 
     @query(f"edge_matches_{hops}hop", sql)
     def run(spark, d):
-        kg = G.star_kg(spark, d)
+        kg = G.stored_kg(spark, d, "star")
         found = S.enumerate_edge_matches(kg, Q1_SUB, Params(max_hops=hops), L.build_library(kg))
         return found.groupBy("n", F.array_join("path_preds", " ").alias("preds")).agg(F.count("*").alias("paths"), F.countDistinct("end_id").alias("ends"))
 
@@ -349,7 +349,7 @@ _edge_matches(3)
 def _exact(name: str, gq: QueryGraph, params: Params, sql: str, builder=G.star_kg, **options) -> None:
     @query(name, sql)
     def run(spark, d):
-        kg = builder(spark, d)
+        kg = G.stored_kg(spark, d, builder.__name__.removesuffix("_kg"))
         library = L.build_library(kg) if builder is G.star_kg else L.authored_library(spark)
         return _answers(E.exact_query(kg, gq, _space(spark), params, library, **options).answers)
 
@@ -408,13 +408,13 @@ _exact("exact_dialog", _dialog, Params(k=30, max_hops=1), f"SELECT CAST(row_numb
 
 @query("exact_dominance", O.answers([_q1(0.8, 3)], 100))
 def exact_dominance(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     return _answers(E.exact_query(kg, W.origin(), _space(spark), Params(k=100, max_hops=3, revisit="dominance"), L.build_library(kg)).answers)
 
 
 @query("brute_force_topk", O.answers([_q1(0.8, 2)], 100))
 def brute_force_topk(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     w = spark.createDataFrame(list(P.weights_for("originNation", _space(spark)).items()), "predicate string, w double")
     return _answers(BL.brute_force_query(kg, Q1_SUB, w, 100, Params(max_hops=2), L.build_library(kg)))
 
@@ -423,7 +423,7 @@ def brute_force_topk(spark, d):
 
 
 def _lists(spark, d, **changes):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     return S.search(kg, Q2_SUBS, _space(spark), Params(max_hops=3, **changes), library=L.build_library(kg))
 
 
@@ -463,7 +463,7 @@ def _bounded(name: str, rounds: int, root: int) -> None:
 
     @query(name, O.answers(lists, 200))
     def run(spark, d):
-        kg = G.star_kg(spark, d)
+        kg = G.stored_kg(spark, d, "star")
         return _answers(E.bounded_query(kg, W.origin(), _space(spark), Params(k=200), E.LogicalClock(rounds), library=L.build_library(kg)).answers)
 
 
@@ -474,7 +474,7 @@ _bounded("bounded_converged", 9, 4)
 
 @query("bounded_resumed", O.answers([_q1()], 200))
 def bounded_resumed(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     first = E.bounded_query(kg, W.origin(), _space(spark), Params(k=200), E.LogicalClock(1), library=L.build_library(kg))
     return _answers(first.resume(9).answers)
 
@@ -491,7 +491,7 @@ def _jaccard_sql() -> str:
 
 @query("jaccard_by_round", _jaccard_sql())
 def jaccard_by_round(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     library = L.build_library(kg)
     exact = E.exact_query(kg, W.origin(), _space(spark), Params(k=200), library).answers
     out = None
@@ -509,7 +509,7 @@ def jaccard_by_round(spark, d):
 WITH RECURSIVE {O.STAR},{O.SPACE},{_q1(0.8, 3)}
 SELECT 0 AS sub_id, CASE round(psi, 4) WHEN 1.0 THEN 'Nation-originNation-Order' WHEN 0.9444 THEN 'Nation-customerNation-Customer-placedBy-Order' ELSE 'Nation-supplierNation-Supplier-fulfilledBy-Order' END AS schema, count(*) AS matches, round(max(psi), 6) AS best_psi FROM list_0 GROUP BY 1, 2""")
 def answer_schemas(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     found = S.search(kg, [Q1_SUB], _space(spark), Params(max_hops=3), library=L.build_library(kg))
     return _rounded(E.answer_schemas(found, kg), "best_psi")
 
@@ -523,20 +523,20 @@ _direct = f"SELECT DISTINCT nbr AS pivot_id FROM adj WHERE node = 2 * {O.B} + 7
 
 @query("baseline_exact_schema", f"WITH {O.STAR} SELECT CAST(1 AS INTEGER) AS rank, nbr AS pivot_id, CAST(1.0 AS DOUBLE) AS score FROM adj WHERE false")
 def baseline_exact_schema(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     subs = [_sub(0, [N7, QueryNode("o", ("Purchase",))], ["originNation"], 1)]
     return _answers(BL.exact_schema_query(kg, subs, 100))
 
 
 @query("baseline_exact_schema_known", _schema_sql(_direct, 100, "1.0"))
 def baseline_exact_schema_known(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     return _answers(BL.exact_schema_query(kg, [_sub(0, [QueryNode("n", ("Nation",), "NATION_7"), ORDER], ["originNation"], 1)], 100))
 
 
 @query("baseline_node_library", _schema_sql(_direct, 100, "1.0"))
 def baseline_node_library(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     return _answers(BL.node_library_query(kg, [_sub(0, [N7, QueryNode("o", ("Purchase",))], ["originNation"], 1)], 100, L.build_library(kg)))
 
 
@@ -550,13 +550,13 @@ found(source, target, node, hops, path, preds) AS (
 
 @query("baseline_pattern_mining", O.with_star(f", {_pairs} SELECT pattern, support, round(1 - levenshtein(pattern, 'originNation') / greatest(length(pattern), 12), 6) AS similarity, round(support / 20 * (1 - levenshtein(pattern, 'originNation') / greatest(length(pattern), 12)), 6) AS score FROM patterns"))
 def baseline_pattern_mining(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     return _rounded(BL.mined_patterns(kg, W.prior_pairs(kg, 20).select("source", "target"), "originNation", 2), "similarity", "score")
 
 
 @query("baseline_pattern_miner")
 def baseline_pattern_miner(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     return _answers(BL.pattern_miner_query(kg, Q1_SUB, W.prior_pairs(kg, 20, 20).select("source", "target"), 100, max_hops=2, library=L.build_library(kg)))
 
 
@@ -567,7 +567,7 @@ SELECT CAST(row_number() OVER (ORDER BY score DESC, pivot_id) AS INTEGER) AS ran
 
 @query("baseline_hop_bounded", _hops)
 def baseline_hop_bounded(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     return _answers(BL.hop_bounded_query(kg, [Q1_SUB], 300, 2, L.build_library(kg)))
 
 
@@ -576,7 +576,7 @@ a1 AS (SELECT node, 0 AS d FROM a0 UNION ALL SELECT DISTINCT nbr, 1 FROM adj WHE
 best AS (SELECT x.node AS pivot_id, min(x.d) + min(y.d) AS score FROM a1 x JOIN b1 y USING (node) WHERE x.node // {O.B} = 6 GROUP BY 1)
 SELECT CAST(row_number() OVER (ORDER BY score, pivot_id) AS INTEGER) AS rank, pivot_id, CAST(score AS DOUBLE) AS score FROM best QUALIFY rank <= 100"""))
 def baseline_keyword(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     return _answers(BL.keyword_query(kg, ["NATION_7", "originNation"], ("Order",), 100, 1, L.build_library(kg)))
 
 
@@ -585,7 +585,7 @@ src AS (SELECT * FROM s0 WHERE s >= 0.9), t AS (SELECT node_id AS node, list_max
 best AS (SELECT a.nbr AS pivot_id, max(src.s + t.s) / 2 AS score FROM src JOIN adj a USING (node) JOIN t ON t.node = a.nbr WHERE t.s >= 0.9 GROUP BY 1)
 SELECT CAST(row_number() OVER (ORDER BY round(score, 9) DESC, pivot_id) AS INTEGER) AS rank, pivot_id, round(score, 6) AS score FROM best QUALIFY rank <= 100"""))
 def baseline_homomorphism(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     sub = _sub(0, [QueryNode("n", ("Nation",), "NATION_7"), ORDER], ["originNation"], 1)
     return _answers(BL.homomorphism_query(kg, sub, 100, 0.9, 1))
 
@@ -595,7 +595,7 @@ TRUTH = f"""SELECT 6 * {O.B} + o_orderkey AS node_id FROM orders JOIN customer O
 
 @query("truth_union", TRUTH)
 def truth_union(spark, d):
-    return W.origin_truth(G.star_kg(spark, d), 7)
+    return W.origin_truth(G.stored_kg(spark, d, "star"), 7)
 
 
 def _pr_sql(ks: tuple[int, ...]) -> str:
@@ -606,7 +606,7 @@ def _pr_sql(ks: tuple[int, ...]) -> str:
 
 @query("precision_recall_by_k", _pr_sql((20, 40, 100, 200)))
 def precision_recall_by_k(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     a = E.exact_query(kg, W.origin(), _space(spark), Params(k=200), L.build_library(kg)).answers.select(F.lit(0).alias("query_id"), "rank", F.col("pivot_id").alias("node_id"))
     truth = W.origin_truth(kg, 7).select(F.lit(0).alias("query_id"), "node_id")
     out = None
@@ -619,45 +619,45 @@ def precision_recall_by_k(spark, d):
 @query("effectiveness_methods")
 def effectiveness_methods(spark, d):
     methods = ("exact", "bounded", "exact_schema", "hop_bounded", "keyword", "homomorphism", "pattern_miner")
-    return W.effectiveness(G.star_kg(spark, d), [7], _space(spark), Params(max_hops=2), (20, 100), methods)
+    return W.effectiveness(G.stored_kg(spark, d, "star"), [7], _space(spark), Params(max_hops=2), (20, 100), methods)
 
 
 @query("f1_report_pivot")
 def f1_report_pivot(spark, d):
-    r = W.effectiveness(G.star_kg(spark, d), [7], _space(spark), Params(max_hops=3), (20, 40, 100, 200), ("exact", "bounded", "exact_schema"))
+    r = W.effectiveness(G.stored_kg(spark, d, "star"), [7], _space(spark), Params(max_hops=3), (20, 40, 100, 200), ("exact", "bounded", "exact_schema"))
     return r.groupBy("method").pivot("k", [20, 40, 100, 200]).agg(F.round(F.first("f1"), 6))
 
 
 @query("component_times")
 def component_times(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     return W.component_times(kg, [W.origin()], _space(spark), Params(max_hops=2), L.build_library(kg))
 
 
 @query("time_bound_sweep")
 def time_bound_sweep(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     return W.time_bound_sweep(kg, W.origin(), _space(spark), Params(k=100, max_hops=3), (1, 2, 3), L.build_library(kg))
 
 
 @query("noise_node")
 def noise_node(spark, d):
-    return W.noise_report(G.star_kg(spark, d), ("node",), (0, 40), 2, _space(spark), P.predicate_space(spark), Params(k=100, max_hops=2))
+    return W.noise_report(G.stored_kg(spark, d, "star"), ("node",), (0, 40), 2, _space(spark), P.predicate_space(spark), Params(k=100, max_hops=2))
 
 
 @query("noise_edge")
 def noise_edge(spark, d):
-    return W.noise_report(G.star_kg(spark, d), ("edge",), (0, 40), 2, _space(spark), P.predicate_space(spark), Params(k=100, max_hops=2))
+    return W.noise_report(G.stored_kg(spark, d, "star"), ("edge",), (0, 40), 2, _space(spark), P.predicate_space(spark), Params(k=100, max_hops=2))
 
 
 @query("sensitivity")
 def sensitivity(spark, d):
-    return W.sensitivity(G.star_kg(spark, d), 7, _space(spark), Params(k=100, max_hops=3), (2, 3), (0.8, 0.9))
+    return W.sensitivity(G.stored_kg(spark, d, "star"), 7, _space(spark), Params(k=100, max_hops=3), (2, 3), (0.8, 0.9))
 
 
 @query("scale_curve")
 def scale_curve(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     return W.scale_curve(kg, (44, 67, 100), (80, 100), _space(spark), Params(max_hops=2), L.build_library(kg))
 
 
@@ -675,7 +675,7 @@ def correlation_users(spark, d):
 
 @query("user_study")
 def user_study(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     a = E.exact_query(kg, W.origin(), _space(spark), Params(k=200, max_hops=2), L.build_library(kg)).answers
     return M.pcc(W.simulate_votes(a))
 
@@ -684,27 +684,27 @@ def user_study(spark, d):
 SELECT (SELECT count(*) FROM nodes) AS nodes, (SELECT count(*) FROM edges) AS edges, (SELECT count(*) FROM (SELECT node FROM touched UNION SELECT nbr FROM touched)) AS touched_nodes,
     (SELECT count(*) FROM (SELECT DISTINCT least(node, nbr), greatest(node, nbr), predicate FROM touched)) AS touched_edges"""))
 def pruning_ratio(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     part = S.semantic_graph(kg, [Q1_SUB], _space(spark), Params(max_hops=2), "partial", L.build_library(kg))
     return M.pruning(part, kg).select("nodes", "edges", "touched_nodes", "touched_edges")
 
 
 @query("decomposition_costs")
 def decomposition_costs(spark, d):
-    kg = G.star_kg(spark, d)
+    kg = G.stored_kg(spark, d, "star")
     return W.decomposition_gain(kg, [W.origin(), W.two_lists(), W.cycle(), W.star(), W.chain(), W.flower()], _space(spark), Params(), L.build_library(kg))
 
 
 @query("shape_report")
 def shape_report(spark, d):
-    return W.shape_report(spark, G.star_kg(spark, d), _space(spark), Params())
+    return W.shape_report(spark, G.stored_kg(spark, d, "star"), _space(spark), Params())
 
 
 @query("embed_train")
 def embed_train(spark, d):
     from ..operators.embedding import TranslationEmbedding
 
-    kg = G.core_portion(G.star_kg(spark, d), ["order", "part"])
+    kg = G.core_portion(G.stored_kg(spark, d, "star"), ["order", "part"])
     model = TranslationEmbedding(dim=8, epochs=2)
     _, predicates = model.fit(kg.edges)
     return predicates.select("predicate", F.size("vec").alias("dim"))

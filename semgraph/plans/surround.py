@@ -55,7 +55,7 @@ def scan_json(spark, d):
 @query("tsv_roundtrip", f"SELECT predicate, count(*) AS n FROM (SELECT 'inRegion' AS predicate FROM nation UNION ALL SELECT 'supplierNation' FROM supplier) GROUP BY 1")
 def tsv_roundtrip(spark, d):
     path = scratch(spark, "triples")
-    write_triples(G.star_kg(spark, d).edges.filter(F.col("predicate").isin("inRegion", "supplierNation")), path)
+    write_triples(G.stored_kg(spark, d, "star").edges.filter(F.col("predicate").isin("inRegion", "supplierNation")), path)
     return read_triples(spark, path).groupBy("predicate").agg(F.count("*").alias("n"))
 
 
@@ -74,7 +74,7 @@ def partitioned_adjacency(spark, d):
     from ..sources.tables import write_adjacency
 
     path = scratch(spark, "adjacency")
-    write_adjacency(G.adjacency(G.star_kg(spark, d).edges.filter(F.col("predicate").isin("inRegion", "supplierNation"))), path)
+    write_adjacency(G.adjacency(G.stored_kg(spark, d, "star").edges.filter(F.col("predicate").isin("inRegion", "supplierNation"))), path)
     return spark.read.parquet(path).filter("predicate = 'inRegion'").agg(F.count("*").alias("n"))
 
 
@@ -207,7 +207,7 @@ def agg_grouping_sets(spark, d):
 
 @query("approx_types")
 def approx_types(spark, d):
-    return G.star_kg(spark, d).nodes.select(F.explode("types").alias("t")).agg(F.approx_count_distinct("t").alias("types"))
+    return G.stored_kg(spark, d, "star").nodes.select(F.explode("types").alias("t")).agg(F.approx_count_distinct("t").alias("types"))
 
 
 @query("subquery_correlated", "SELECT s_suppkey FROM supplier s WHERE s_acctbal > (SELECT avg(s_acctbal) FROM supplier t WHERE t.s_nationkey = s.s_nationkey)")
@@ -247,7 +247,7 @@ def array_functions(spark, d):
 
 @query("map_functions", "SELECT 3 * 1000000000000 + c_custkey AS node_id, round(c_acctbal, 2) AS acctbal FROM customer WHERE c_acctbal > 9000")
 def map_functions(spark, d):
-    n = G.star_kg(spark, d).nodes.filter(F.array_contains("types", "Customer"))
+    n = G.stored_kg(spark, d, "star").nodes.filter(F.array_contains("types", "Customer"))
     value = F.round(F.element_at("attrs", "acctbal").cast("double"), 2)
     return n.select("node_id", value.alias("acctbal"), F.size(F.map_keys("attrs")).alias("k")).filter("acctbal > 9000 AND k = 1").select("node_id", "acctbal")
 

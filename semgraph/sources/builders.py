@@ -5,8 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..model import KG
-from .tables import cut, load
+from ..model import KG, KG_EDGES, KG_NODES
+from .tables import cut, load, scratch
 
 KINDS = {
     "region": 1, "nation": 2, "customer": 3, "supplier": 4, "part": 5, "order": 6, "brand": 7, "topic": 8, "document": 9, "source": 10, "language": 11, "page": 12,
@@ -196,6 +196,22 @@ def build_kg(spark: SparkSession, sf_dir: str, kind: str, **options) -> KG:
     return BUILDERS[kind](spark, sf_dir, **options)
 
 
+_stored: dict[tuple, str] = {}
+
+
+def stored_kg(spark: SparkSession, sf_dir: str, kind: str, **options) -> KG:
+    """The graph as tables in the session's shared folder: built once for an application, read by every query on it."""
+    key = (spark.sparkContext.applicationId, sf_dir, kind, tuple(sorted(options.items())))
+    if key not in _stored:
+        kg = build_kg(spark, sf_dir, kind, **options)
+        path = scratch(spark, f"kg-{kind}")
+        kg.nodes.write.parquet(f"{path}/nodes")
+        kg.edges.write.parquet(f"{path}/edges")
+        _stored[key] = path
+    path = _stored[key]
+    return KG(spark.read.schema(KG_NODES).parquet(f"{path}/nodes"), spark.read.schema(KG_EDGES).parquet(f"{path}/edges"))
+
+
 def adjacency(edges: DataFrame) -> DataFrame:
     """(node, nbr, predicate, forward): direction plays no part in matches, so each edge counts both ways."""
     return edges.select(F.col("src").alias("node"), F.col("dst").alias("nbr"), "predicate", F.lit(True).alias("forward")).unionByName(
