@@ -27,7 +27,7 @@ from .common import spread, text_of
 
 MARK = "▁"
 #: Entries of a generation of a worker's cache, over all variants.
-CACHE_ENTRIES = 600_000
+CACHE_ENTRIES = 1_000_000
 #: Segments longer than this use a heap; both ways give the same pieces.
 SHORT = 24
 _M = (1 << 64) - 1
