@@ -1,0 +1,386 @@
+"""Each operator against brute force, round trips, and the hard cases: nulls, empty and long texts, ties, repeats, empty tables, clashing names."""
+
+import hashlib
+import random
+import zlib
+from collections import Counter, defaultdict
+
+import numpy as np
+import public_tokenizers
+import pytest
+from hypothesis import given
+from hypothesis import strategies as st
+from pyspark.sql import functions as F
+
+from semgraph.llm import chat_format, html_extract, merge_dropout, norm_search, packing, quality_model, secret_scan, simhash, token_counts, tree_search
+from semgraph.llm.components import connected_components
+
+BYTES, WORDS, PIECES = (public_tokenizers.path(n) for n in ("byte_bpe_50k.json", "word_bpe_49k.json", "piece_bpe_32k.model"))
+#: Columns whose names clash with those that operators use inside.
+HARD = "doc_id long, text string, source string, fp long, rank int, length long, k long, pid int, key long, n_chars long"
+
+
+def hard(spark, texts):
+    return spark.createDataFrame([(i, t, None, 7, 1, 2, 3, 4, 5, len(t or "")) for i, t in texts], HARD)
+
+
+@pytest.fixture(scope="module")
+def texts():
+    rng = random.Random(3)
+    words = ["the", "of", "Thing", "stone,", "river.", "naïve", "über", "日本", "x9", "it's", "\tTab", "a b", "<|endoftext|>", "▁m", "😀"]
+    out = [(i, " ".join(rng.choice(words) for _ in range(rng.randrange(1, 60)))) for i in range(30)]
+    out += [(30, None), (31, ""), (32, "word " * 6000), (33, "z" * 3000), (None, "no id"), (3, out[3][1]), (3, out[3][1])]
+    return out
+
+
+# ---- chat formatting ----
+
+
+@given(st.text(alphabet=list("<>[]/\\sINSTROLEY ab"), max_size=40))
+def test_escape_reverses_and_leaves_no_control_string(t):
+    e = chat_format.escape(t)
+    assert chat_format.unescape(e) == t and not any(c in e for c in chat_format.CONTROL)
+
+
+def test_chat_read_back(spark):
+    rows = [(1, 1, "assistant", "</s>[INST] ok [/INST]"), (1, 0, "user", None), (2, 0, "tool[/ROLE]", "x"), (2, 1, None, "é😀<|endoftext|>"), (2, None, "assistant", "first"), (None, 0, "user", "u"), (2, 1, None, "é😀<|endoftext|>")]
+    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").withColumn("ids", F.lit("clash"))
+    got = {r.conv_id: r for r in chat_format.read_back(chat_format.format_conversations(df, BYTES), BYTES).collect()}
+    for conv in (1, 2, None):
+        own = sorted((r for r in rows if r[0] == conv), key=lambda r: (r[1] is not None, r[1] or 0, r[2] or "", r[3] or ""))
+        said = "".join(f"{r or ''}\n{t or ''}\n" for *_, r, t in own)
+        loss = "".join(t or "" for *_, r, t in own if r == "assistant")
+        assert (got[conv].n_turns, got[conv].turns_sha256) == (len(own), hashlib.sha256(said.encode()).hexdigest())
+        assert (got[conv].loss_chars, got[conv].loss_sha256) == (len(loss), hashlib.sha256(loss.encode()).hexdigest())
+    assert chat_format.format_conversations(df.limit(0), BYTES).count() == 0
+
+
+# ---- tokens ----
+
+
+def test_token_counts_are_the_librarys(spark, texts):
+    from tokenizers import Tokenizer
+
+    tok = Tokenizer.from_file(BYTES)
+    got = sorted((r.doc_id is not None, r.doc_id or 0, r.n_bytes, r.n_tokens, r.over_limit) for r in token_counts.count_tokens(hard(spark, texts), BYTES).collect())
+    want = sorted((i is not None, i or 0, len((t or "").encode()), n := len(tok.encode(t or "", add_special_tokens=False)), n > 1024) for i, t in texts)
+    assert got == want
+    assert token_counts.count_tokens(hard(spark, []), BYTES).count() == 0
+
+
+def test_cache_that_overflows(monkeypatch):
+    monkeypatch.setattr(token_counts, "CACHE_ENTRIES", 3)
+    c = token_counts.PretokenCounter(BYTES)
+    t = ["a b c d e f g", "h i j a b", "k"] * 3
+    assert c.counts(t) == [len(c.tok.encode(x)) for x in t]
+
+
+def test_merge_dropout_decodes_and_varies(spark, texts):
+    import sentencepiece
+
+    sp = sentencepiece.SentencePieceProcessor(model_file=PIECES)
+    plain = merge_dropout.DropoutEncoder(PIECES, dropout=0.0)
+    some = [t for _, t in texts if t and "▁" not in t]
+    assert [np.frombuffer(plain.encode(t), "<u4").tolist() for t in some] == sp.encode(some)
+    a, b, c = (merge_dropout.DropoutEncoder(PIECES, seed=s, dropout=0.3) for s in (1, 1, 2))
+    assert all(a.decode(a.encode(t, 5)) == t for t in some)
+    assert [a.encode(t, 5) for t in some] == [b.encode(t, 5) for t in some] != [c.encode(t, 5) for t in some]
+    got = merge_dropout.segmentation_digest(hard(spark, texts), PIECES).collect()
+    assert len(got) == len(texts) and all(r.decodes for r in got)
+    back = merge_dropout.decode_documents(merge_dropout.encode_documents(hard(spark, texts), PIECES), PIECES).collect()
+    assert Counter((r.doc_id, r.text) for r in back) == Counter((i, (t or "").replace("▁", " ")) for i, t in texts)
+
+
+def test_both_agendas_agree():
+    d = merge_dropout.DropoutEncoder(PIECES)
+    for key in range(40):
+        s = "▁the" + "ingthat" * 3
+        skip = merge_dropout._skip_table(0.25)
+        assert merge_dropout._short(s, d.score, key, skip) == merge_dropout._long(s, d.score, key, skip)
+
+
+# ---- near-duplicates ----
+
+
+def test_golay_keys_meet():
+    rng = np.random.default_rng(0)
+    w = rng.integers(0, 1 << 23, 3000)
+    near, wide, valid = simhash.golay_indices(w)
+    for e in [1 << i for i in range(23)] + [1 << i | 1 << j for i in range(23) for j in range(i)]:
+        near2, wide2, valid2 = simhash.golay_indices(w ^ e)
+        a, b = np.where(valid, wide, -1), np.where(valid2, wide2, -2)
+        assert (a[:, :, None] == b[:, None, :]).any((1, 2)).all()
+        if e.bit_count() == 1:
+            assert (a == near2[:, None]).any(1).all() and (b == near[:, None]).any(1).all()
+
+
+def brute_components(fps):
+    values = sorted(set(fps.values()))
+    up = {v: v for v in values}
+
+    def root(x):
+        while up[x] != x:
+            x = up[x]
+        return x
+
+    for i, a in enumerate(values):
+        for b in values[:i]:
+            if (a ^ b).bit_count() <= 4:
+                up[root(a)] = root(b)
+    least = defaultdict(lambda: 1 << 60)
+    for d, f in fps.items():
+        least[root(f)] = min(least[root(f)], d)
+    return {d: least[root(f)] for d, f in fps.items()}
+
+
+def test_links_are_all_found(spark, monkeypatch):
+    """Chains of fingerprints at 0 to 6 bits, with and without keys that are split."""
+    rng = random.Random(1)
+    fps = {}
+    for d in range(400):
+        f = rng.getrandbits(64) if d % 8 == 0 else f ^ sum(1 << b for b in rng.sample(range(64), rng.randrange(0, 7)))
+        fps[d] = f
+    signed = lambda x: x - (1 << 64) if x >> 63 else x
+    table = spark.createDataFrame([(d, signed(f)) for d, f in fps.items()], "doc_id long, fp long")
+    for hot in (50_000, 8):
+        monkeypatch.setattr(simhash, "HOT_ROWS", hot)
+        monkeypatch.setattr(simhash, "_hot_keys", (lambda f, sample=1, g=simhash._hot_keys: g(f, 1)) if hot == 8 else simhash._hot_keys)
+        roots = {r.node: r.root for r in connected_components(simhash.fingerprint_links(table.select("fp").distinct()), "a", "b").collect()}
+        groups = defaultdict(set)
+        for d, f in fps.items():
+            groups[roots.get(signed(f), signed(f))].add(d)
+        want = defaultdict(set)
+        for d, c in brute_components(fps).items():
+            want[c].add(d)
+        assert sorted(map(sorted, groups.values())) == sorted(map(sorted, want.values()))
+
+
+def test_near_duplicates_against_brute_force(spark, sf):
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    got = {r.doc_id: (r.fp, r.component_id) for r in simhash.near_duplicates(docs).collect()}
+    fps = {r.doc_id: simhash.fingerprint(r.text or "") for r in docs.collect()}
+    assert {d: f % (1 << 64) for d, (f, _) in got.items()} == fps
+    assert {d: c for d, (_, c) in got.items()} == brute_components(fps)
+
+
+def test_near_duplicates_hard_cases(spark, texts):
+    got = simhash.near_duplicates(hard(spark, texts)).collect()
+    assert len(got) == len(texts)
+    assert {r.component_id for r in got if r.doc_id in (30, 31)} == {30} and {r.fp for r in got if r.doc_id == 31} == {0}
+    assert simhash.near_duplicates(hard(spark, [])).count() == 0
+    kept = simhash.keep_one_of_each(hard(spark, texts))
+    assert sum(r.doc_id == 3 for r in kept.collect()) == 1 and kept.columns == [c.split()[0] for c in HARD.split(", ")]
+
+
+# ---- vectors ----
+
+
+def vectors(spark, n=400, dim=8, seed=0):
+    x = np.random.default_rng(seed).normal(size=(n, dim)).round(3)
+    rows = [(i, [float(v) for v in r], 0) for i, r in enumerate(x)] + [(n, None, 0), (n + 1, [0.0] * dim, 0), (n + 2, [float("nan")] * dim, 0), (n + 3, [1.0], 0), (n + 4, [None] + [1.0] * (dim - 1), 0), (None, [1.0] * dim, 0)]
+    rows += [(7, rows[7][1], 0), (900, rows[5][1], 0), (901, rows[5][1], 0)]
+    return spark.createDataFrame(rows, "vec_id long, embedding array<double>, rank int"), rows, dim
+
+
+def test_tree_search_recall(spark):
+    table, rows, dim = vectors(spark)
+    good = [(i, np.array(v)) for i, v, _ in rows if i is not None and v and len(v) == dim and None not in v and np.isfinite(v).all() and np.any(v)]
+    got = defaultdict(list)
+    for r in tree_search.nearest(table, "vec_id", "embedding", F.col("id") % 20 == 0, 20).orderBy("query_id", "rank").collect():
+        got[r.query_id].append((r.vec_id, r.score, r["rank"]))
+    hits = total = 0
+    for q, v in good:
+        if q % 20:
+            continue
+        want = sorted(((-(v * w).sum(), i) for i, w in good if i != q))[:20]
+        assert [r for *_, r in got[q]] == list(range(1, len(got[q]) + 1))
+        assert got[q] == sorted(got[q], key=lambda x: (-x[1], x[0]))
+        hits += len({i for _, i in want} & {i for i, *_ in got[q]})
+        total += 20
+    assert hits / total >= 0.9
+    exact = tree_search.nearest(table, "vec_id", "embedding", F.col("id") % 20 == 0, 20, visits=10_000).collect()
+    for q, v in good:
+        if q % 20 == 0:
+            want = [i for _, i in sorted(((-(v * w).sum(), i) for i, w in good if i != q))[:20]]
+            assert [r.vec_id for r in sorted((r for r in exact if r.query_id == q), key=lambda r: r["rank"])] == want
+    assert tree_search.nearest(table.limit(0), "vec_id", "embedding", F.col("id") % 20 == 0).count() == 0
+
+
+def test_norm_search_is_exact(spark, monkeypatch):
+    monkeypatch.setattr(norm_search, "CELL_ROWS", 64)
+    monkeypatch.setattr(norm_search, "SEED_ROWS", 32)
+    table, rows, dim = vectors(spark, seed=4)
+    good = [(i, [int(np.floor(1024 * x)) for x in v]) for i, v, _ in rows if i is not None and v and len(v) == dim and None not in v and np.isfinite(v).all()]
+    got = defaultdict(list)
+    for r in norm_search.top_products(table, "vec_id", "embedding", F.col("id") % 100 == 0, 10).orderBy("query_id", "rank").collect():
+        got[r.query_id].append((r.score, r.vec_id))
+    for q, v in good:
+        if q % 100 == 0:
+            want = sorted((-sum(a * b for a, b in zip(v, w)), i) for i, w in good if i != q)[:10]
+            assert got[q] == [(-s, i) for s, i in want]
+
+
+@given(st.integers(0, 10**6))
+def test_pruning_loses_nothing(seed):
+    rng = np.random.default_rng(seed)
+    x = np.floor(rng.normal(size=(30, 5)) * 50)
+    norms = np.sqrt((x**2).sum(1))
+    x, norms = x[np.argsort(-norms)], np.sort(norms)[::-1]
+    q = np.floor(rng.normal(size=5) * 50)
+    for bound in (float((x @ q).max()), float(np.median(x @ q)), -5.0):
+        kept = norm_search.candidates(x, norms, x / np.where(norms == 0, 1, norms)[:, None], q, float(np.sqrt((q**2).sum())), bound)
+        assert set(np.flatnonzero(x @ q >= bound)) <= set(kept) or not q.any()
+
+
+# ---- packing ----
+
+
+def optimum(items, cap):
+    items, best = sorted(items, reverse=True), [len(items)]
+
+    def go(i, bins):
+        if len(bins) >= best[0]:
+            return
+        if i == len(items):
+            best[0] = len(bins)
+            return
+        for j in {b: k for k, b in enumerate(bins) if b + items[i] <= cap}.values():
+            bins[j] += items[i]
+            go(i + 1, bins)
+            bins[j] -= items[i]
+        bins.append(items[i])
+        go(i + 1, bins)
+        bins.pop()
+
+    go(0, [])
+    return best[0]
+
+
+@given(st.lists(st.integers(1, 20), min_size=1, max_size=9))
+def test_reduction_keeps_the_optimum(items):
+    fixed, left = packing.reduce_by_dominance(dict(Counter(items)), 20)
+    rest = [s for s, n in left.items() for _ in range(n)]
+    assert sum(n for _, n in fixed) + (optimum(rest, 20) if rest else 0) == optimum(items, 20)
+    assert Counter(s for p, n in packing.plan(dict(Counter(items)), 20) for s in p for _ in range(n)) == Counter(items)
+
+
+def test_packing_places_every_piece_once(spark, texts):
+    from tokenizers import Tokenizer
+
+    tok = Tokenizer.from_file(WORDS)
+    got = packing.pack_documents(hard(spark, texts), WORDS).collect()
+    want = Counter()
+    for i, t in texts:
+        ids = [*tok.encode(t or "", add_special_tokens=False).ids, 0]
+        for j, at in enumerate(range(0, len(ids), 2048)):
+            part = np.array(ids[at : at + 2048], "<u4")
+            want[i, j, at, len(part), zlib.crc32(part.tobytes())] += 1
+    assert Counter((r.doc_id, r.piece, r.start, r.length, r.ids_crc32) for r in got) == want
+    sequences = defaultdict(list)
+    for r in got:
+        sequences[r.sequence_id].append((r.offset, r.length))
+    for s in sequences.values():
+        at = 0
+        for offset, length in sorted(s):
+            assert offset == at
+            at += length
+        assert at <= 2048
+    assert len(sequences) <= -(-sum(r.length for r in got) // 2048) + 1
+    assert packing.pack_documents(hard(spark, []), WORDS).count() == 0
+
+
+# ---- secrets ----
+
+
+def test_forest_on_findings_it_has_not_seen():
+    forest = secret_scan.train()
+    unseen = secret_scan.labelled_findings(600, seed=99)
+    x = np.array([secret_scan.features(t, a, b, p) for t, a, b, p, _ in unseen])
+    assert ((forest.predict(x) >= 0.5) == [f[4] for f in unseen]).mean() > 0.97
+
+
+def test_secrets_are_found_and_masked(spark):
+    key = "9233a8ecf7c5b09fe5949719b6b82bc439e9329b"
+    rows = [(1, f'some words token = "{key}" and more'), (2, f"see commit {key} there"), (3, None), (4, ""), (5, "plain words only"), (6, f'TOKEN = "{key.upper()}"!! X')]
+    df = hard(spark, rows)
+    got = {r.doc_id: r.is_secret for r in secret_scan.scan_secrets(df).collect()}
+    assert got == {1: True, 2: False, 6: True}
+    masked = {r.doc_id: r for r in secret_scan.mask_secrets(df).collect()}
+    assert masked[1].text == 'some words token = "[SECRET]" and more' and masked[2].text == rows[1][1] and masked[3].text is None
+    assert masked[1].n_chars == len(masked[1].text) and len(masked) == 6
+
+
+# ---- pages ----
+
+PAGE = """<!DOCTYPE html><html><head><title>T</title><style>p{}</style><script>var t="</p>";</script></head><body><nav><ul><li><a href="/a">A</a></li></ul></nav>
+<div class="ad">Buy</div><div class="cookie-notice">Cookies</div><aside>Side</aside><article><h1>T &amp; U</h1><p><b>First
+ line<br>goes on.<br><p>Second &eacute;.</p><form><p>Mail?</p></form><p>Shared line.</p><div class="comments"><p>Nice!</p></div></article><footer>&copy; x</footer></body></html>"""
+
+
+def test_article_text():
+    assert html_extract.main_text(html_extract.read_lines(PAGE), set()) == "T & U\n\nFirst line goes on.\n\nSecond é.\n\nShared line."
+    assert html_extract.main_text(html_extract.read_lines("<article><p>cut he"), set()) == "cut he"
+    assert html_extract.main_text(html_extract.read_lines(""), set()) == ""
+
+
+def test_differencing_deletes_lines_shared_with_the_nearest_page(spark):
+    page = lambda body: f"<body><p>Welcome to the site</p><p>{body}</p><p>{body} too</p><p>All rights reserved</p></body>"
+    rows = [(i, f"http://h.example.com/a/{i}", page(f"own text {i}"), 1) for i in range(1, 4)] + [(9, "http://other.example.com/a", page("alone"), 1), (10, None, None, 1), (None, "not a url", "", 1), (1, "http://h.example.com/a/1", page("own text 1"), 1)]
+    got = html_extract.extract_text(spark.createDataFrame(rows, "page_id long, url string, html string, text int")).collect()
+    by = {r.page_id: r.text for r in got}
+    assert len(got) == len(rows) and by[2] == "own text 2\n\nown text 2 too" and by[1] == "own text 1\n\nown text 1 too"
+    assert by[9].startswith("Welcome") and by[10] == "" and all(r.n_chars == len(r.text) for r in got)
+    assert html_extract.extract_text(spark.createDataFrame([], "page_id long, url string, html string")).count() == 0
+
+
+@given(st.lists(st.integers(0, 4), max_size=10), st.lists(st.integers(0, 4), max_size=10))
+def test_longest_common_subsequence(a, b):
+    table = [[0] * (len(b) + 1) for _ in range(len(a) + 1)]
+    for i, x in enumerate(a):
+        for j, y in enumerate(b):
+            table[i + 1][j + 1] = table[i][j] + 1 if x == y else max(table[i][j + 1], table[i + 1][j])
+    assert len(html_extract.shared_lines(a, b)) == table[-1][-1]
+
+
+# ---- quality ----
+
+
+def test_gradient():
+    rng = np.random.default_rng(0)
+    m = quality_model.Model(1)
+    m.a = rng.normal(size=m.a.shape)
+    x, starts, y, w = rng.normal(size=(7, quality_model.WIDTH)), np.array([0, 3, 5]), np.array([1.0, 0, 1]), np.ones(3)
+    g = m.gradient(x, starts, y, w, 0.0)
+
+    def loss():
+        p = m.score(x, starts)
+        return -(y * np.log(p) + (1 - y) * np.log(1 - p)).mean()
+
+    for name in ("v", "u", "c", "d", "b"):
+        p = getattr(m, name).reshape(-1)
+        old = p[0]
+        p[0] = old + 1e-5
+        up = loss()
+        p[0] = old - 1e-5
+        down = loss()
+        p[0] = old
+        assert g[name].reshape(-1)[0] == pytest.approx((up - down) / 2e-5, abs=1e-6)
+
+
+def test_quality_on_held_out_documents(spark):
+    from semgraph.llm import registry
+
+    d = "/root/testdata/sf0.01"
+    scored = registry.op10_quality(spark, d)
+    labels = spark.read.parquet(f"{d}/labels.parquet")
+    rows = scored.join(labels, "doc_id").filter("held_out").collect()
+    assert sum(r.predicted == r.quality for r in rows) / len(rows) > 0.9
+    assert scored.count() == spark.read.parquet(f"{d}/documents.parquet").count()
+
+
+def test_quality_hard_cases(spark, texts):
+    model = quality_model.Model(0)
+    got = quality_model.score_documents(hard(spark, texts), model).collect()
+    assert len(got) == len(texts) and all(0 <= r.score <= 1 for r in got)
+    assert quality_model.score_documents(hard(spark, []), model).count() == 0
+    assert quality_model.train(hard(spark, texts), spark.createDataFrame([], "doc_id long, quality int")).score(np.zeros((1, quality_model.WIDTH)), np.array([0])).shape == (1,)
