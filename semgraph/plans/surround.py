@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import os
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, Window
@@ -216,7 +214,7 @@ def subquery_correlated(spark, d):
     return spark.sql("SELECT s_suppkey FROM supplier s WHERE s_acctbal > (SELECT avg(s_acctbal) FROM supplier t WHERE t.s_nationkey = s.s_nationkey)")
 
 
-@query("recursive_paths", "WITH RECURSIVE p(n, x) AS (SELECT 1, 1.0 UNION ALL SELECT n + 1, x * 0.9 FROM p WHERE n < 6) SELECT n, round(x, 4) AS x FROM p")
+@query("recursive_paths", "WITH RECURSIVE p(n, x) AS (SELECT 1, CAST(1 AS DOUBLE) UNION ALL SELECT n + 1, x * CAST(0.9 AS DOUBLE) FROM p WHERE n < 6) SELECT n, round(x, 4) AS x FROM p")
 def recursive_paths(spark, d):
     return spark.sql("WITH RECURSIVE p(n, x) AS (SELECT 1, 1.0D UNION ALL SELECT n + 1, x * 0.9D FROM p WHERE n < 6) SELECT n, round(x, 4) AS x FROM p")
 
@@ -289,8 +287,8 @@ def udaf_geo_mean(spark, d):
 
 
 def _stream(spark, d):
-    """The events file as the only file of a folder of its own; a link is made where the tables are local, otherwise the file is read by its path."""
-    return SE.stream_edges(spark, f"{d}/events.parquet", watermark="3650 days")
+    """The events file of the folder of tables, as a stream."""
+    return SE.stream_edges(spark, d, watermark="3650 days", name="events.parquet")
 
 
 def _fresh(name: str) -> str:
@@ -315,8 +313,7 @@ def stream_distinct_edges(spark, d):
 
 @query("stream_interval_join", "SELECT a.event_id AS a_id, b.event_id AS b_id FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'click' AND b.event_type = 'purchase' AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 DAY")
 def stream_interval_join(spark, d):
-    e = SE.stream_edges(spark, f"{d}/events.parquet", watermark="3650 days")
-    return SE.drain(SE.two_hop_matches(e, within="1 DAY").select("a_id", "b_id"), _fresh("pairs"))
+    return SE.drain(SE.two_hop_matches(_stream(spark, d), within="1 DAY").select("a_id", "b_id"), _fresh("pairs"))
 
 
 @query("stream_topk")
@@ -326,9 +323,3 @@ def stream_topk(spark, d):
     w = spark.createDataFrame(list(P.weights_for("purchase", {p: [float(x) for x in v] for p, v in P.AUTHORED.items()}).items()), "predicate string, w double")
     return SE.drain(SE.streaming_topk(SE.weighed(_stream(spark, d), w)), _fresh("top"), "update")
 
-
-def local_copy(rows: DataFrame) -> str:
-    """A folder with the rows, for tests of streams that read several files."""
-    folder = os.path.join(tempfile.mkdtemp(), "rows")
-    rows.write.parquet(folder)
-    return folder

@@ -12,11 +12,13 @@ from pyspark.sql import types as T
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
 
-def stream_edges(spark: SparkSession, folder: str, watermark: str = "1 hour", files_a_trigger: int | None = None) -> DataFrame:
+def stream_edges(spark: SparkSession, folder: str, watermark: str = "1 hour", files_a_trigger: int | None = None, name: str | None = None) -> DataFrame:
     """(event_id, ts, src, predicate, dst, value): events from a folder of Parquet files, with a watermark."""
     reader = spark.readStream.schema(EVENTS)
     if files_a_trigger:
         reader = reader.option("maxFilesPerTrigger", files_a_trigger)
+    if name:
+        reader = reader.option("pathGlobFilter", name)
     return as_edges(reader.parquet(folder)).withWatermark("ts", watermark)
 
 
