@@ -196,12 +196,14 @@ class WordIds:
         if len(self.words) >= CACHE_ENTRIES:
             self.old, self.words = self.words, {}
         missing = []
-        for w in words - self.words.keys():
-            ids = self.old.get(w)
-            if ids is None:
-                missing.append(w)
-            else:
-                self.words[w] = ids
+        known, old = self.words, self.old
+        for w in words:
+            if w not in known:
+                ids = old.get(w)
+                if ids is None:
+                    missing.append(w)
+                else:
+                    known[w] = ids
         if len(self.parts) >= CACHE_ENTRIES:
             self.parts = {}
         split, parts = self.split, self.parts
