@@ -158,13 +158,20 @@ def shared_lines(a: list[int], b: list[int]) -> list[int]:
     return out[::-1]
 
 
-def main_text(lines: list[Line], shared: set[int]) -> str:
-    """Lines of the article joined by blank lines: all inside it, or, on pages that mark none, what is neither chrome nor shared."""
-    if any(x.kept and not x.chrome for x in lines):
-        keep = [x.text for x in lines if x.kept and not x.chrome]
-    else:
-        keep = [x.text for i, x in enumerate(lines) if not x.chrome and i not in shared]
-    return "\n\n".join(keep)
+def candidate_lines(lines: list[Line]) -> tuple[list[str], list[int]]:
+    """(texts, positions) of lines that may be in the result: all inside an article, with position -1 since nothing removes
+    them, or, on pages that mark none, all that is not chrome.
+    """
+    own = [x.text for x in lines if x.kept and not x.chrome]
+    if own:
+        return own, [-1] * len(own)
+    rest = [(x.text, i) for i, x in enumerate(lines) if not x.chrome]
+    return [t for t, _ in rest], [i for _, i in rest]
+
+
+def main_text(texts: list[str], positions: list[int], shared: set[int]) -> str:
+    """Candidate lines less the shared ones, joined by blank lines."""
+    return "\n\n".join([t for t, i in zip(texts, positions) if i not in shared])
 
 
 def _place(url: str) -> tuple[str, str]:
@@ -245,9 +252,18 @@ def extract_text(pages: DataFrame, id_col: str = "page_id", url_col: str = "url"
     keyed = spread(rows).withColumn("key", F.xxhash64("page_id", "url", "html"))
     shared = pair_pages(keyed.select("key", F.coalesce("url", F.lit("")).alias("url"), "html"))
 
+    def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            found = [candidate_lines(read_lines(h)) for h in b.column(2).to_pylist()]
+            texts, positions = pa.array([f[0] for f in found], pa.list_(pa.string())), pa.array([f[1] for f in found], pa.list_(pa.int32()))
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), texts, positions, b.column(3)], ["page_id", "url", "texts", "positions", "key"])
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            texts = [main_text(read_lines(h), set(s or ())) for h, s in zip(b.column("html").to_pylist(), b.column("shared").to_pylist())]
-            yield pa.RecordBatch.from_arrays([b.column("page_id"), b.column("url"), pa.array(texts, pa.string()), pa.array(list(map(len, texts)), pa.int64())], ["page_id", "url", "text", "n_chars"])
+            out = [main_text(t, p, set(s or ())) for t, p, s in zip(*(b.column(c).to_pylist() for c in ("texts", "positions", "shared")))]
+            yield pa.RecordBatch.from_arrays([b.column("page_id"), b.column("url"), pa.array(out, pa.string()), pa.array(list(map(len, out)), pa.int64())], ["page_id", "url", "text", "n_chars"])
 
-    return keyed.join(shared, "key", "left").select("page_id", "url", "html", "shared").mapInArrow(run, "page_id long, url string, text string, n_chars long")
+    # only lines that may stay move, not the pages
+    lines = keyed.select("page_id", "url", "html", "key").mapInArrow(read, "page_id long, url string, texts array<string>, positions array<int>, key long")
+    joined = lines.join(shared, "key", "left").select("page_id", "url", "texts", "positions", "shared")
+    return joined.mapInArrow(run, "page_id long, url string, text string, n_chars long")

@@ -318,9 +318,9 @@ PAGE = """<!DOCTYPE html><html><head><title>T</title><style>p{}</style><script>v
 
 
 def test_article_text():
-    assert html_extract.main_text(html_extract.read_lines(PAGE), set()) == "T & U\n\nFirst line goes on.\n\nSecond é.\n\nShared line."
-    assert html_extract.main_text(html_extract.read_lines("<article><p>cut he"), set()) == "cut he"
-    assert html_extract.main_text(html_extract.read_lines(""), set()) == ""
+    assert html_extract.main_text(*html_extract.candidate_lines(html_extract.read_lines(PAGE)), set()) == "T & U\n\nFirst line goes on.\n\nSecond é.\n\nShared line."
+    assert html_extract.main_text(*html_extract.candidate_lines(html_extract.read_lines("<article><p>cut he")), set()) == "cut he"
+    assert html_extract.main_text(*html_extract.candidate_lines(html_extract.read_lines("")), set()) == ""
 
 
 def test_differencing_deletes_lines_shared_with_the_nearest_page(spark):
