@@ -27,7 +27,7 @@ from .common import materialize, spread, text_of
 
 CAPACITY = 2048
 #: Entries of a generation of a worker's cache of words.
-CACHE_ENTRIES = 700_000
+CACHE_ENTRIES = 300_000
 #: Words of characters up to this one are lowered and split here; both agree with the library on them.
 PLAIN_UP_TO = "\u012f"
 #: Fixed value: the vocabulary's own split of lower-case text.
@@ -241,6 +241,12 @@ class WordIds:
                 yield self._whole(t) if o else b"".join(map(get, own))
 
 
+@functools.lru_cache(1)
+def _coder(path: str) -> WordIds:
+    """One coder for all tasks of a worker, so that its caches stay warm."""
+    return WordIds(path)
+
+
 @functools.lru_cache(2)
 def _word_library(path: str):
     import regex
@@ -258,7 +264,7 @@ def pieces(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        coder, end, pid = WordIds(path), np.uint32(end_id).tobytes(), TaskContext.get().partitionId()
+        coder, end, pid = _coder(path), np.uint32(end_id).tobytes(), TaskContext.get().partitionId()
         seen: Counter[int] = Counter()
         for b in batches:
             out = [[] for _ in range(6)]
