@@ -27,7 +27,7 @@ from .common import spread, text_of
 
 MARK = "▁"
 #: Entries of a generation of a worker's cache, over all variants.
-CACHE_ENTRIES = 1_000_000
+CACHE_ENTRIES = 500_000
 #: Segments longer than this use a heap; both ways give the same pieces.
 SHORT = 24
 _M = (1 << 64) - 1
@@ -184,6 +184,12 @@ class DropoutEncoder:
         return (data[1:] if data[:1] == b" " else data).decode("utf-8", "replace")
 
 
+@functools.lru_cache(1)
+def _coder(path: str, seed: int, dropout: float, variants: int) -> DropoutEncoder:
+    """One coder for all tasks of a worker, so that its caches stay warm."""
+    return DropoutEncoder(path, seed, dropout, variants)
+
+
 def encode_documents(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", seed: int = 0, dropout: float = 0.1, variants: int = 2) -> DataFrame:
     """(doc_id, ids binary): pieces of every whole text, little-endian unsigned 32-bit; see `decode_documents`.
 
@@ -193,7 +199,7 @@ def encode_documents(docs: DataFrame, path: str, id_col: str = "doc_id", text_co
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        coder = DropoutEncoder(path, seed, dropout, variants)
+        coder = _coder(path, seed, dropout, variants)
         for b in batches:
             out = [coder.encode(t, d or 0) for d, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist())]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out, pa.binary())], ["doc_id", "ids"])
@@ -216,7 +222,7 @@ def segmentation_digest(docs: DataFrame, path: str, id_col: str = "doc_id", text
     """(doc_id, n_pieces, ids_crc32, decodes): encoded and decoded again; `decodes` tells whether the whole text came back."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        coder = DropoutEncoder(path, seed, dropout, variants)
+        coder = _coder(path, seed, dropout, variants)
         for b in batches:
             out = [[], [], []]
             for d, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
