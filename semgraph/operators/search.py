@@ -304,11 +304,15 @@ def local_heap(prep: Prepared, stats: Stats | None = None) -> DataFrame:
                 ends.add(nbr)
         m = {n: max(x[2] for x in v) for n, v in around.items()}
         best: dict[int, tuple] = {}
+        pops, kth = 0, None
         heap = [(-1.0, (int(s),), (), 1.0) for s in b.source_id]
         heapq.heapify(heap)
         while heap:
             estimate, path, preds, w = heapq.heappop(heap)
-            if len(best) >= p.k and -estimate <= sorted((x[0] for x in best.values()), reverse=True)[p.k - 1] + EPS:
+            pops += 1
+            if len(best) >= p.k and pops % 64 == 0:  # a bound that is late only delays the stop
+                kth = heapq.nlargest(p.k, (x[0] for x in best.values()))[-1]
+            if kth is not None and -estimate <= kth + EPS:
                 break
             for nbr, pred, x in around.get(path[-1], ()):
                 if nbr in path:

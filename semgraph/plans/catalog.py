@@ -359,7 +359,7 @@ for _k in (20, 40, 100, 200):
 for _t in (0.6, 0.7, 0.8, 0.9):
     _exact(f"exact_tau_0{int(_t * 10)}", W.origin(), Params(k=1000, tau=_t, max_hops=3), O.answers([_q1(_t, 3)], 1000))
 for _n in (2, 3, 4, 5):
-    _exact(f"exact_nhat_{_n}", W.origin(), Params(k=1000, max_hops=_n), O.answers([_q1(0.8, _n)], 1000))
+    _exact(f"exact_nhat_{_n}", W.origin(), Params(k=1000, max_hops=_n, topk_prune=_n > 4), O.answers([_q1(0.8, _n)], 1000))
 _exact("exact_no_estimate", W.origin(), Params(k=100, max_hops=3, use_estimate=False), O.answers([_q1(0.8, 3)], 100))
 _exact("exact_complete_construction", W.origin(), Params(k=100, max_hops=2), O.answers([_q1(0.8, 2)], 100), construct="complete")
 _exact("exact_tight_bound", W.origin(), Params(k=1000, bound="tight"), O.answers([_q1()], 1000))
