@@ -1,5 +1,7 @@
 """Decomposition, clocks, measures, streaming, plans."""
 
+import os
+
 import pytest
 from pyspark.sql import functions as F
 
@@ -105,12 +107,18 @@ def test_stream_equals_batch(spark, sf):
 
 
 def test_late_event_is_dropped(spark, tmp_path):
+    """Rows are held against the watermark of the batch before the last, so the late one comes in the third file."""
     from semgraph.streaming import edges as SE
 
-    rows = [(1, "2024-01-01 00:00:00", 1, "click"), (2, "2024-01-03 00:00:00", 1, "click")], [(3, "2024-01-01 00:10:00", 1, "click"), (4, "2024-01-05 00:00:00", 1, "click")], [(5, "2024-01-09 00:00:00", 1, "click")]
+    times = {}
+    rows = [(1, "2024-01-01 00:00:00", 1, "click"), (2, "2024-01-03 00:00:00", 1, "click")], [(4, "2024-01-05 00:00:00", 1, "click")], [(3, "2024-01-01 00:10:00", 1, "click"), (5, "2024-01-09 00:00:00", 1, "click")]
     for i, r in enumerate(rows):
         df = spark.createDataFrame(r, "event_id long, t string, user_id long, event_type string").select("event_id", F.col("t").cast("timestamp_ntz").alias("ts"), "user_id", "event_type", F.lit(1.0).alias("value"), F.lit('{"k": 1}').alias("props"))
         df.coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+        for f in (tmp_path / "in").glob("part-*"):  # files are read in order of their times
+            if f not in times:
+                times[f] = 1_700_000_000 + 100 * i
+            os.utime(f, (times[f], times[f]))
     got = SE.drain(SE.window_rates(SE.stream_edges(spark, str(tmp_path / "in"), "1 hour", 1), "1 day"), "late_rates", "append")
     counts = {str(r.w.start)[:10]: r.n for r in got.collect()}
     assert counts["2024-01-01"] == 1
