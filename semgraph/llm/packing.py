@@ -19,6 +19,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -26,12 +27,12 @@ from pyspark.sql import functions as F
 from .common import materialize, spread, text_of
 
 CAPACITY = 2048
-#: Entries of a generation of a worker's cache of words.
-CACHE_ENTRIES = 300_000
-#: Words of characters up to this one are lowered and split here; both agree with the library on them.
-PLAIN_UP_TO = "\u012f"
-#: Fixed value: the vocabulary's own split of lower-case text.
-SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+#: Texts are encoded in blocks of about this many bytes.
+BLOCK_BYTES = 8 << 20
+#: Distinct words that the library takes in one call.
+WORDS_A_CALL = 1000
+#: Stands between words in such a call: a control character with an id of its own; texts that hold it go to the library whole.
+SEPARATOR = "\x01"
 
 Pattern = tuple[int, ...]
 
@@ -177,86 +178,81 @@ def slots(planned: list[tuple[Pattern, int]]) -> tuple[np.ndarray, ...]:
 class WordIds:
     """Ids of whole texts by the word-based vocabulary, as little-endian bytes.
 
-    White space parts words, words part into pre-tokens, and both are cached; pre-tokens new to the worker are encoded
-    many at a time, joined by spaces. Of words two generations are held: when the young one is full it becomes the old
-    one, so frequent words stay and memory is bounded.
+    White space parts words, and no id depends on more than its word. The texts of a block are split and their words
+    numbered in Arrow; the library sees each distinct word once a block, many in one call with a separator between,
+    and the ids of the texts are gathered from those of the words. The words of the last block stay known, so memory
+    is bounded by the size of a block (or of a text, if that is longer).
     """
 
     def __init__(self, path: str) -> None:
-        self.tok, self.specials, self.odd, self.split = _word_library(path)
-        self.words: dict[str, bytes] = {}
-        self.old: dict[str, bytes] = {}
-        self.parts: dict[str, bytes] = {}
-
-    def _whole(self, text: str) -> bytes:
-        return array("I", self.tok.encode(text, add_special_tokens=False).ids).tobytes()
-
-    def _learn(self, words: set[str]) -> None:
-        """Put all of `words` into the young generation."""
-        if len(self.words) >= CACHE_ENTRIES:
-            self.old, self.words = self.words, {}
-        missing = []
-        known, old = self.words, self.old
-        for w in words:
-            if w not in known:
-                ids = old.get(w)
-                if ids is None:
-                    missing.append(w)
-                else:
-                    known[w] = ids
-        if len(self.parts) >= CACHE_ENTRIES:
-            self.parts = {}
-        split, parts = self.split, self.parts
-        made = {}
-        for w in missing:
-            if max(w) > PLAIN_UP_TO:  # combining marks and scripts with their own rules go to the library whole
-                self.words[w] = self._whole(w)
-            elif w.isalpha():
-                made[w] = (w.lower(),)
-            elif w[-1] in ",." and w[:-1].isalpha():
-                made[w] = (w[:-1].lower(), w[-1])
-            else:
-                made[w] = split(w.lower())
-        need = list({p for own in made.values() for p in own if p not in parts})
-        for at in range(0, len(need), 2048):
-            some = need[at : at + 2048]
-            coded = self.tok.encode(" ".join(some), add_special_tokens=False)
-            raw = array("I", coded.ids).tobytes()
-            bounds = [0, *((np.flatnonzero(np.diff(coded.word_ids)) + 1) * 4).tolist(), len(raw)]
-            if len(bounds) == len(some) + 1:
-                parts.update(zip(some, (raw[i:j] for i, j in zip(bounds, bounds[1:]))))
-            else:  # a part that the library cuts further
-                parts.update((p, self._whole(p)) for p in some)
-        for w, own in made.items():
-            self.words[w] = parts[own[0]] if len(own) == 1 else b"".join([parts[p] for p in own])
-
-    def encode(self, texts: list[str]) -> Iterator[bytes]:
-        for at in range(0, len(texts), 64):
-            some = texts[at : at + 64]
-            odd = [bool(self.odd.search(t)) or any(s in t for s in self.specials) for t in some]
-            words = [[] if o else t.split() for t, o in zip(some, odd)]
-            self._learn(set().union(*words))
-            get = self.words.__getitem__
-            for t, o, own in zip(some, odd, words):
-                yield self._whole(t) if o else b"".join(map(get, own))
+        from tokenizers import Tokenizer
+
+        self.tok = Tokenizer.from_file(path)
+        specials = [re.escape(x.content) for x in self.tok.get_added_tokens_decoder().values()]
+        # separators on which Arrow and the library's white space differ, the separator of words, special strings
+        self.odd = "|".join(["[\x1c-\x1f]", SEPARATOR, *specials])
+        (self.cut,) = self._library(SEPARATOR)
+        self._remember(pa.array([], pa.string()), np.zeros(0, np.uint32), np.zeros(0, np.int64))
+
+    def _library(self, text: str) -> list[int]:
+        return self.tok.encode_batch_fast([text], add_special_tokens=False)[0].ids  # offsets are not worked out
+
+    def _remember(self, words: pa.Array, ids: np.ndarray, counts: np.ndarray) -> None:
+        self.words, self.ids, self.counts, self.starts = words, ids, counts, np.cumsum(counts) - counts
+
+    def _learn(self, words: pa.Array) -> None:
+        """Make the distinct `words`, in this order, the known ones."""
+        at = pc.index_in(words, value_set=self.words)
+        new = words.filter(pc.is_null(at)).to_pylist()
+        ids, counts = [self.ids], [self.counts]
+        for i in range(0, len(new), WORDS_A_CALL):
+            some = new[i : i + WORDS_A_CALL]
+            found = np.array(self._library(f" {SEPARATOR} ".join(some)), np.uint32)
+            cuts = np.flatnonzero(found == self.cut)
+            counts.append(np.diff(cuts, prepend=-1, append=len(found)) - 1)
+            ids.append(np.delete(found, cuts))
+        counts = np.concatenate(counts)
+        rows = at.fill_null(-1).to_numpy(zero_copy_only=False).astype(np.int64)
+        rows[rows < 0] = np.arange(len(self.counts), len(counts))
+        self._remember(words, _gather(np.concatenate(ids), np.cumsum(counts) - counts, counts, rows), counts[rows])
+
+    def _block(self, texts: pa.Array) -> Iterator[bytes]:
+        split = pc.utf8_split_whitespace(texts)
+        coded = split.flatten().dictionary_encode()
+        self._learn(coded.dictionary)
+        rows = coded.indices.to_numpy()
+        ids = _gather(self.ids, self.starts, self.counts, rows)
+        ends = np.concatenate([[0], np.cumsum(self.counts[rows])])
+        words = np.concatenate([[0], np.cumsum(pc.list_value_length(split).to_numpy())])
+        raw, bounds = memoryview(ids.tobytes()), (4 * ends[words]).tolist()
+        for i, j in zip(bounds, bounds[1:]):
+            yield bytes(raw[i:j])
+
+    def encode(self, texts: pa.Array) -> Iterator[bytes]:
+        """Ids of each of `texts`, in order."""
+        odd = pc.match_substring_regex(texts, self.odd)
+        plain = pc.if_else(odd, "", texts)
+        block = np.cumsum(pc.binary_length(plain).to_numpy()) // BLOCK_BYTES
+        cuts = [0, *(np.flatnonzero(np.diff(block)) + 1).tolist(), len(texts)]
+        for i, j in zip(cuts, cuts[1:]):
+            for k, ids in enumerate(self._block(plain.slice(i, j - i)), i):
+                yield array("I", self._library(texts[k].as_py())).tobytes() if odd[k].as_py() else ids
+
+
+def _gather(ids: np.ndarray, starts: np.ndarray, counts: np.ndarray, rows: np.ndarray) -> np.ndarray:
+    """The runs of `ids` that `rows` name, one after the other."""
+    own = counts[rows]
+    ends = np.cumsum(own)
+    total = int(ends[-1]) if len(ends) else 0
+    return ids[np.arange(total) + np.repeat(starts[rows] - (ends - own), own)]
 
 
 @functools.lru_cache(1)
 def _coder(path: str) -> WordIds:
-    """One coder for all tasks of a worker, so that its caches stay warm."""
+    """One coder for all tasks of a worker, so that its words stay known."""
     return WordIds(path)
 
 
-@functools.lru_cache(2)
-def _word_library(path: str):
-    import regex
-    from tokenizers import Tokenizer
-
-    t = Tokenizer.from_file(path)
-    # separators on which str.split and the library's white space differ
-    return t, [x.content for x in t.get_added_tokens_decoder().values()], re.compile("[\x1c-\x1f]"), regex.compile(SPLIT).findall
-
-
 def pieces(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", capacity: int = CAPACITY, end_id: int = 0) -> DataFrame:
     """(doc_id, piece, start, length, ids_crc32, pid, k): pieces of documents with their end id.
 
@@ -268,7 +264,7 @@ def pieces(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "
         seen: Counter[int] = Counter()
         for b in batches:
             out = [[] for _ in range(6)]
-            for doc, ids in zip(b.column(0).to_pylist(), coder.encode(b.column(1).to_pylist())):
+            for doc, ids in zip(b.column(0).to_pylist(), coder.encode(b.column(1))):
                 ids += end
                 for j, at in enumerate(range(0, len(ids), 4 * capacity)):
                     part = ids[at : at + 4 * capacity]
