@@ -6,6 +6,7 @@ import zlib
 from collections import Counter, defaultdict
 
 import numpy as np
+import pyarrow as pa
 import public_tokenizers
 import pytest
 from hypothesis import given
@@ -264,6 +265,20 @@ def test_reduction_keeps_the_optimum(items):
     assert Counter(s for p, n in packing.plan(dict(Counter(items)), 20) for s in p for _ in range(n)) == Counter(items)
 
 
+@pytest.mark.parametrize("block, call", [(1, 1), (60, 3), (packing.BLOCK_BYTES, packing.WORDS_A_CALL)])
+def test_ids_of_words_are_the_librarys(monkeypatch, block, call):
+    monkeypatch.setattr(packing, "BLOCK_BYTES", block)
+    monkeypatch.setattr(packing, "WORDS_A_CALL", call)
+    rng = random.Random(block)
+    bits = ["a", "B", "Zz", " ", " ", ".", ",", "'LL", "'s", "9", "\n", "\t", "\x01", "\x1c", "\x85", "\u0301", "\u0345", "İ", "ß", "Σς", "각", "\u1112\u1161", "\u3000", "\u180e", "é", "<|endoftext|>"]
+    texts = ["".join(rng.choices(bits, k=rng.randrange(40))) for _ in range(600)] + ["", "  ", "x" * 50_000, "a " * 9000]
+    coder = packing.WordIds(WORDS)
+    want = [np.array(coder.tok.encode(t, add_special_tokens=False).ids, "<u4").tobytes() for t in texts]
+    for _ in range(2):  # the second time with words known
+        assert list(coder.encode(pa.array(texts))) == want
+    assert list(coder.encode(pa.array([], pa.string()))) == []
+
+
 def test_packing_places_every_piece_once(spark, texts):
     from tokenizers import Tokenizer
 
