@@ -1,12 +1,14 @@
 """SentencePiece encoding and decoding with seeded merge dropout.
 
 Merges of a segment are taken from an agenda by score (ties: leftmost). Each candidate, when it is its
-turn, is skipped for good if a hash keyed by seed, variant and the characters it would cover is under the dropout
-rate. Another key gives another segmentation of merge type; all decode to the same text.
+turn, is skipped for good if a 64-bit hash keyed by seed, document, position of the segment and the characters it would
+cover is under the dropout rate. Every occurrence of a segment so draws its own segmentation; all decode to the same text.
 
 No piece of the vocabulary has a space mark after another character, so no merge crosses the start of a word:
-a text falls into segments (space marks, then other characters) that are encoded apart and cached with their
-variant. Which of `variants` hash keys an occurrence uses is itself a hash of seed, document and position.
+a text falls into segments (space marks, then other characters) that are encoded apart. What follows from a
+set of skipped candidates depends on the segment alone and is cached: a node of a segment's tree holds the candidates
+that come up while none is skipped, the ids if none is, and for each candidate the node that follows its skip. Which are
+skipped is drawn anew for each occurrence.
 """
 
 from __future__ import annotations
@@ -15,7 +17,6 @@ import functools
 import heapq
 import re
 import zlib
-from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -26,11 +27,16 @@ from pyspark.sql import functions as F
 from .common import spread, text_of
 
 MARK = "▁"
-#: Entries of a generation of a worker's cache, over all variants.
-CACHE_ENTRIES = 500_000
-#: Segments longer than this use a heap; both ways give the same pieces.
+#: Nodes that a worker's cache holds, at most, before it starts anew.
+CACHE_ENTRIES = 600_000
+#: Segments whose candidates are drawn at once.
+GROUP = 60_000
+#: Skips of an occurrence that the trees follow; an occurrence with more is merged alone, with the same result.
+DEPTH = 3
+#: Segments longer than this use a heap and no cache; both ways give the same pieces.
 SHORT = 24
 _M = (1 << 64) - 1
+_STEP, _B, _C = 0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB
 
 
 @functools.lru_cache(2)
@@ -56,18 +62,35 @@ def vocabulary(path: str) -> tuple[dict[str, float], dict[str, int], list[bytes]
     return score, ids, raw
 
 
-@functools.lru_cache(8)
-def _skip_table(dropout: float) -> bytes:
-    """Whether a candidate is skipped, for 2^16 hash values: a fixed keyed hash against the rate."""
-    import xxhash
+def _skip_table(dropout: float) -> int:
+    """Candidates are skipped whose hash has its upper 53 bits under this."""
+    return int(dropout * 2**53)
 
-    limit = int(dropout * 2**32)
-    return bytes(xxhash.xxh32_intdigest(i.to_bytes(4, "little"), 42) < limit for i in range(1 << 16))
+
+def _mix(x: int) -> int:
+    x &= _M
+    x = (x ^ x >> 30) * _B & _M
+    x = (x ^ x >> 27) * _C & _M
+    return x ^ x >> 31
+
+
+def _mix_all(x: np.ndarray) -> np.ndarray:
+    """`_mix` of each element, in place."""
+    x ^= x >> np.uint64(30)
+    x *= np.uint64(_B)
+    x ^= x >> np.uint64(27)
+    x *= np.uint64(_C)
+    x ^= x >> np.uint64(31)
+    return x
+
+
+def _mark(left: int, right: int) -> int:
+    return (left << 32 | right) * _STEP & _M
 
 
 def _place(key: int, left: int, right: int) -> int:
-    """The hash value of a candidate that covers the characters left to right, under a key."""
-    return (key + left * 40_503 + right * 30_011) & 0xFFFF
+    """Upper 53 bits of the hash of a candidate that covers the characters left to right, under a key."""
+    return _mix(key + _mark(left, right)) >> 11
 
 
 def merge_segment(segment: str, score: dict[str, float], key: int, dropout: float) -> list[str]:
@@ -76,7 +99,7 @@ def merge_segment(segment: str, score: dict[str, float], key: int, dropout: floa
     return (_short if len(segment) <= SHORT else _long)(segment, score, key, skip)
 
 
-def _short(segment: str, score: dict[str, float], key: int, skip: bytes | None) -> list[str]:
+def _short(segment: str, score: dict[str, float], key: int, skip: int | None) -> list[str]:
     none = float("-inf")
     parts = list(segment)
     at = list(range(len(parts) + 1))  # where each part begins
@@ -87,7 +110,7 @@ def _short(segment: str, score: dict[str, float], key: int, skip: bytes | None)
         if best == none:
             break
         i = offers.index(best)
-        if skip is not None and skip[_place(key, at[i], at[i + 2])]:
+        if skip is not None and _place(key, at[i], at[i + 2]) < skip:
             offers[i] = none
             continue
         parts[i : i + 2] = [parts[i] + parts[i + 1]]
@@ -99,7 +122,7 @@ def _short(segment: str, score: dict[str, float], key: int, skip: bytes | None)
     return parts
 
 
-def _long(segment: str, score: dict[str, float], key: int, skip: bytes | None) -> list[str]:
+def _long(segment: str, score: dict[str, float], key: int, skip: int | None) -> list[str]:
     n = len(segment)
     end = list(range(1, n + 1))  # of the part that begins here, 0 if none does
     before = list(range(-1, n - 1))
@@ -114,7 +137,7 @@ def _long(segment: str, score: dict[str, float], key: int, skip: bytes | None) -
         offer(i)
     while heap:
         _, i, j, k = heapq.heappop(heap)
-        if end[i] != j or j >= n or end[j] != k or (skip is not None and skip[_place(key, i, k)]):
+        if end[i] != j or j >= n or end[j] != k or (skip is not None and _place(key, i, k) < skip):
             continue
         end[i], end[j] = k, 0
         if k < n:
@@ -129,54 +152,188 @@ def _long(segment: str, score: dict[str, float], key: int, skip: bytes | None) -
     return out
 
 
+def _follow(segment: str, score: dict[str, float], skipped: tuple[tuple[int, int], ...]) -> tuple[list[tuple[int, int]], list[str]]:
+    """(candidates not decided yet, in their order; pieces if all of these are taken), once `skipped` have been skipped.
+
+    Candidates before the last of `skipped` are those that its ancestors took, so they are decided.
+    """
+    none = float("-inf")
+    parts = list(segment)
+    at = list(range(len(parts) + 1))
+    get = score.get
+    offers = [get(a + b, none) for a, b in zip(parts, parts[1:])]
+    known, last = set(skipped), skipped[-1] if skipped else None
+    open_: list[tuple[int, int]] = []
+    while offers:
+        best = max(offers)
+        if best == none:
+            break
+        i = offers.index(best)
+        span = at[i], at[i + 2]
+        if span in known:
+            if span == last:
+                open_, last = [], None
+            offers[i] = none
+            continue
+        open_.append(span)
+        parts[i : i + 2] = [parts[i] + parts[i + 1]]
+        del at[i + 1], offers[i]
+        if i < len(offers):
+            offers[i] = get(parts[i] + parts[i + 1], none)
+        if i:
+            offers[i - 1] = get(parts[i - 1] + parts[i], none)
+    return open_, parts
+
+
 _segments = re.compile(f"{MARK}*[^{MARK}]+|{MARK}+")
 
 
-class _Segments(dict):
-    """segment -> ids as bytes under one variant's key; two generations of entries are held."""
+class _Column:
+    """An array that grows at its end."""
+
+    def __init__(self, kind: type) -> None:
+        self.all, self.n = np.zeros(4096, kind), 0
+
+    def extend(self, values: list[int]) -> None:
+        end = self.n + len(values)
+        if end > len(self.all):
+            self.all = np.concatenate([self.all, np.zeros(max(end, len(self.all)), self.all.dtype)])
+        self.all[self.n : end] = values
+        self.n = end
+
 
-    def __init__(self, coder: DropoutEncoder, key: int, room: int) -> None:
-        self.coder, self.key, self.room = coder, key, room
-        self.old: dict[str, bytes] = {}
+class _Trees(dict):
+    """segment -> root of its tree, -1 if it is too long for one. New nodes can be read after `flush`."""
 
-    def __missing__(self, segment: str) -> bytes:
-        if len(self) >= self.room:
-            self.old = dict(self)
-            self.clear()
-        out = self.old.get(segment)
-        if out is None:
-            out = self.coder.encode_segment(segment, self.key)
-        self[segment] = out
+    def __init__(self, coder: DropoutEncoder) -> None:
+        self.coder = coder
+        self.made: list[tuple[str, tuple[tuple[int, int], ...]]] = []  # segment and skipped candidates of each node
+        self.first, self.size, self.id_first, self.id_size = (_Column(np.int64) for _ in range(4))
+        self.mark, self.child, self.ids = _Column(np.uint64), _Column(np.int32), _Column(np.uint32)
+        self.spans: list[tuple[int, int]] = []
+        self.new: tuple[list[int], ...] = ([], [], [], [], [])
+
+    def __missing__(self, segment: str) -> int:
+        if len(segment) > SHORT:
+            return -1
+        self[segment] = out = self.node(segment, ())
         return out
 
+    def node(self, segment: str, skipped: tuple[tuple[int, int], ...]) -> int:
+        spans, pieces = _follow(segment, self.coder.score, skipped)
+        ids = self.coder.ids_of(pieces)
+        first, size, id_first, id_size, id_values = self.new
+        first.append(len(self.spans))
+        size.append(len(spans))
+        id_first.append(self.ids.n + len(id_values))
+        id_size.append(len(ids))
+        id_values += ids
+        self.spans += spans
+        self.made.append((segment, skipped))
+        return len(self.made) - 1
+
+    def flush(self) -> None:
+        for column, values in zip((self.first, self.size, self.id_first, self.id_size, self.ids), self.new):
+            column.extend(values)
+            values.clear()
+        fresh = self.spans[self.mark.n :]
+        self.mark.extend([_mark(*x) for x in fresh])
+        self.child.extend([-1] * len(fresh))
+
+    def after(self, edges: np.ndarray, owners: np.ndarray) -> np.ndarray:
+        """The nodes that follow when the candidates `edges` of the nodes `owners` are skipped."""
+        lacking = np.flatnonzero(self.child.all[edges] < 0)
+        if len(lacking):
+            fresh, one = np.unique(edges[lacking], return_index=True)
+            nodes = []
+            for e, o in zip(fresh.tolist(), owners[lacking[one]].tolist()):
+                segment, skipped = self.made[o]
+                nodes.append(self.node(segment, (*skipped, self.spans[e])))
+            self.flush()
+            self.child.all[fresh] = nodes
+        return self.child.all[edges]
+
+
+def _ranges(first: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(all elements of the ranges, one after another; where each range ends among them)."""
+    ends = np.cumsum(size)
+    return np.repeat(first - (ends - size), size) + np.arange(ends[-1] if len(ends) else 0), ends
+
 
 class DropoutEncoder:
-    def __init__(self, path: str, seed: int = 0, dropout: float = 0.1, variants: int = 2) -> None:
+    def __init__(self, path: str, seed: int = 0, dropout: float = 0.1) -> None:
         self.score, self.ids, self.raw = vocabulary(path)
-        self.seed, self.dropout, self.variants = seed, dropout, max(1, variants)
-        self.cache = [_Segments(self, zlib.crc32(f"{seed}/{v}".encode()), CACHE_ENTRIES // self.variants) for v in range(self.variants)]
+        self.seed, self.dropout = seed, dropout
+        self.trees = _Trees(self)
 
-    def encode_segment(self, segment: str, key: int) -> bytes:
+    def ids_of(self, pieces: list[str]) -> list[int]:
         out: list[int] = []
-        for p in merge_segment(segment, self.score, zlib.crc32(segment.encode(), key), self.dropout):
+        for p in pieces:
             i = self.ids.get(p)
             if i is None:  # a character outside the vocabulary: its bytes
                 out += [self.ids[f"<0x{b:02X}>"] for b in p.encode()]
             else:
                 out.append(i)
-        return array("I", out).tobytes()
+        return out
+
+    def keys(self, doc: int, n: int) -> np.ndarray:
+        """The keys of the first n positions of a document."""
+        own = _mix(_mix(self.seed * _STEP + 1) + doc * _C)
+        return _mix_all(np.arange(1, n + 1, dtype=np.uint64) * np.uint64(_STEP) + np.uint64(own))
 
     def encode(self, text: str, doc: int = 0) -> bytes:
         """Ids, little-endian unsigned 32-bit."""
-        if not text:
-            return b""
-        segments = _segments.findall(MARK + text.replace(" ", MARK))
-        if self.variants == 1:
-            return b"".join(map(self.cache[0].__getitem__, segments))
-        own = np.uint64((doc * 0x9E3779B97F4A7C15 ^ self.seed * 0xD6E8FEB86659FD93) & _M)
-        x = (np.arange(len(segments), dtype=np.uint64) + own) * np.uint64(0xC2B2AE3D27D4EB4F)
-        cache = self.cache
-        return b"".join([cache[v][s] for v, s in zip(((x >> np.uint64(40)) % np.uint64(self.variants)).tolist(), segments)])
+        return self.encode_all([text], [doc])[0]
+
+    def encode_all(self, texts: list[str], docs: list[int]) -> list[bytes]:
+        out: list[bytes] = []
+        segments: list[str] = []
+        counts: list[int] = []
+        keys: list[np.ndarray] = []
+        for text, doc in zip(texts, docs):
+            found = _segments.findall(MARK + text.replace(" ", MARK)) if text else []
+            segments += found
+            counts.append(len(found))
+            keys.append(self.keys(doc, len(found)))
+            if len(segments) >= GROUP:
+                out += self._group(segments, counts, np.concatenate(keys))
+                segments, counts, keys = [], [], []
+        return out + (self._group(segments, counts, np.concatenate(keys)) if counts else [])
+
+    def _group(self, segments: list[str], counts: list[int], keys: np.ndarray) -> list[bytes]:
+        if len(self.trees.made) > CACHE_ENTRIES:
+            self.trees = _Trees(self)
+        trees = self.trees
+        at = np.fromiter(map(trees.__getitem__, segments), np.int64, len(segments))
+        trees.flush()
+        if self.dropout > 0:
+            limit = np.uint64(_skip_table(self.dropout))
+            todo = np.flatnonzero(at >= 0)
+            for _ in range(DEPTH):
+                nodes = at[todo]
+                size = trees.size.all[nodes]
+                edges, ends = _ranges(trees.first.all[nodes], size)
+                drawn = _mix_all(np.repeat(keys[todo], size) + trees.mark.all[edges])
+                skipped = np.flatnonzero((drawn >> np.uint64(11)) < limit)
+                who = np.searchsorted(ends, skipped, "right")
+                head = np.flatnonzero(np.diff(who, prepend=-1))
+                who = who[head]
+                todo = todo[who]
+                at[todo] = trees.after(edges[skipped[head]], nodes[who])
+            at[todo[trees.size.all[at[todo]] > 0]] = -1
+        alone = np.flatnonzero(at < 0)
+        apart = [self.ids_of(merge_segment(segments[i], self.score, k, self.dropout)) for i, k in zip(alone.tolist(), keys[alone].tolist())]
+        held = at >= 0
+        size = np.zeros(len(at), np.int64)
+        size[held] = trees.id_size.all[at[held]]
+        size[alone] = list(map(len, apart))
+        ends = np.cumsum(size)
+        ids = np.empty(int(ends[-1]) if len(ends) else 0, "<u4")
+        ids[np.repeat(held, size)] = trees.ids.all[_ranges(trees.id_first.all[at[held]], size[held])[0]]
+        for end, x in zip(ends[alone].tolist(), apart):
+            ids[end - len(x) : end] = x
+        bounds = np.concatenate([[0], ends])[np.cumsum([0, *counts])].tolist()
+        return [ids[a:b].tobytes() for a, b in zip(bounds, bounds[1:])]
 
     def decode(self, ids: bytes) -> str:
         raw = self.raw
@@ -185,12 +342,12 @@ class DropoutEncoder:
 
 
 @functools.lru_cache(1)
-def _coder(path: str, seed: int, dropout: float, variants: int) -> DropoutEncoder:
+def _coder(path: str, seed: int, dropout: float) -> DropoutEncoder:
     """One coder for all tasks of a worker, so that its caches stay warm."""
-    return DropoutEncoder(path, seed, dropout, variants)
+    return DropoutEncoder(path, seed, dropout)
 
 
-def encode_documents(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", seed: int = 0, dropout: float = 0.1, variants: int = 2) -> DataFrame:
+def encode_documents(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", seed: int = 0, dropout: float = 0.1) -> DataFrame:
     """(doc_id, ids binary): pieces of every whole text, little-endian unsigned 32-bit; see `decode_documents`.
 
     Null text counts as empty and has no ids. Null ids count as document 0. Repeated rows get the same
@@ -199,9 +356,9 @@ def encode_documents(docs: DataFrame, path: str, id_col: str = "doc_id", text_co
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        coder = _coder(path, seed, dropout, variants)
+        coder = _coder(path, seed, dropout)
         for b in batches:
-            out = [coder.encode(t, d or 0) for d, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist())]
+            out = coder.encode_all(b.column(1).to_pylist(), [d or 0 for d in b.column(0).to_pylist()])
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out, pa.binary())], ["doc_id", "ids"])
 
     return spread(docs.select(F.col(id_col).cast("long").alias("doc_id"), text_of(text_col).alias("text"))).mapInArrow(run, "doc_id long, ids binary")
@@ -218,15 +375,15 @@ def decode_documents(encoded: DataFrame, path: str) -> DataFrame:
     return encoded.select("doc_id", "ids").mapInArrow(run, "doc_id long, text string")
 
 
-def segmentation_digest(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", seed: int = 0, dropout: float = 0.1, variants: int = 2) -> DataFrame:
+def segmentation_digest(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", seed: int = 0, dropout: float = 0.1) -> DataFrame:
     """(doc_id, n_pieces, ids_crc32, decodes): encoded and decoded again; `decodes` tells whether the whole text came back."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        coder = _coder(path, seed, dropout, variants)
+        coder = _coder(path, seed, dropout)
         for b in batches:
             out = [[], [], []]
-            for d, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
-                ids = coder.encode(t, d or 0)
+            texts = b.column(1).to_pylist()
+            for t, ids in zip(texts, coder.encode_all(texts, [d or 0 for d in b.column(0).to_pylist()])):
                 for c, v in zip(out, (len(ids) // 4, zlib.crc32(ids), coder.decode(ids) == t.replace(MARK, " "))):
                     c.append(v)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out[0], pa.int64()), pa.array(out[1], pa.int64()), pa.array(out[2], pa.bool_())], ["doc_id", "n_pieces", "ids_crc32", "decodes"])
