@@ -4,7 +4,7 @@ A document is a bag of passages of at most PASSAGE bytes; every passage of the w
 passage are shares of character-class pairs (language plays little part in them) and how much its words
 repeat. A hidden layer encodes the passage, a gated attention (tanh times sigmoid) weighs it, and the weighted sum of
 all encodings is scored by a logistic layer. Only document labels train it, by gradient descent on the
-driver, from a bounded sample of labelled rows. Documents score map-side.
+driver, from a bounded sample of labelled rows, each with all its passages. Documents score map-side.
 """
 
 from __future__ import annotations
@@ -20,9 +20,11 @@ from pyspark.sql import functions as F
 from .common import spread, text_of
 
 PASSAGE = 512
-#: Labelled rows that train, at most, and bytes of their texts brought to the driver at once.
+#: Labelled rows that train, at most, and passages that they have together, at most (0.8 KB each on the driver).
 TRAIN_ROWS = 4000
-TRAIN_CHARS = 40_000
+TRAIN_PASSAGES = 100_000
+#: Passages of a step of training, unless one document has more.
+STEP_PASSAGES = 8192
 N_CLASSES = 20
 HIDDEN = 24
 EPOCHS = 60
@@ -124,13 +126,27 @@ class Model:
         return {"w": scaled.T @ gz + decay * self.w, "b": gz.sum(0), "v": z.T @ gt, "u": z.T @ gs, "a": (t * s).T @ ge, "c": m.T @ g + decay * self.c, "d": g.sum(keepdims=True)}
 
 
+def _steps(order: np.ndarray, bags: list[np.ndarray], batch: int) -> Iterator[list[int]]:
+    """`order` in runs of at most `batch` bags and STEP_PASSAGES passages; a larger bag is a run of its own."""
+    rows, count = [], 0
+    for i in order.tolist():
+        if rows and (len(rows) == batch or count + len(bags[i]) > STEP_PASSAGES):
+            yield rows
+            rows, count = [], 0
+        rows.append(i)
+        count += len(bags[i])
+    if rows:
+        yield rows
+
+
 def fit(bags: list[np.ndarray], labels: list[int], epochs: int = EPOCHS, batch: int = 128, rate: float = 0.004, decay: float = 1e-4, seed: int = 0) -> Model:
     """Adam on the log loss of document labels; both classes weigh the same."""
     model = Model(seed)
     if not bags:
         return model
-    everything = np.concatenate(bags)
-    model.mean, model.scale = everything.mean(0), np.maximum(everything.std(0), 0.02)
+    n = sum(map(len, bags))
+    model.mean = sum(b.sum(0, dtype=float) for b in bags) / n
+    model.scale = np.maximum(np.sqrt(sum(((b - model.mean) ** 2).sum(0) for b in bags) / n), 0.02)
     y = np.asarray(labels, float)
     share = np.bincount(y.astype(int), minlength=2) / len(y)
     importance = np.where(y == 1, 0.5 / max(share[1], 1e-9), 0.5 / max(share[0], 1e-9))
@@ -138,8 +154,7 @@ def fit(bags: list[np.ndarray], labels: list[int], epochs: int = EPOCHS, batch:
     first, second, step = {}, {}, 0
     for epoch in range(epochs):
         order = rng.permutation(len(bags))
-        for at in range(0, len(order), batch):
-            rows = order[at : at + batch]
+        for rows in _steps(order, bags, batch):
             sizes = [len(bags[i]) for i in rows]
             g = model.gradient(np.concatenate([bags[i] for i in rows]), np.cumsum([0, *sizes[:-1]]), y[rows], importance[rows], decay)
             step += 1
@@ -172,26 +187,50 @@ def fold(column: str = "doc_id"):
     return F.pmod(F.crc32(F.col(column).cast("string").cast("binary")), F.lit(4))
 
 
-def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", rows: int = TRAIN_ROWS, chars: int = TRAIN_CHARS, condition=None) -> Model:
-    """A model from at most `rows` labelled documents (the least by hash of the id; up to `chars` of a text train, all of it is scored later).
+def _chosen(sizes: list[tuple[int, int]], room: int) -> set[int]:
+    """Ids of (id, passages), in their order, whose passages fit into `room` together; ids that alone exceed it are left out."""
+    out, used = set(), 0
+    for i, n in sizes:
+        if n > room:
+            continue
+        used += n
+        if used > room:
+            break
+        out.add(i)
+    return out
+
+
+def train(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", rows: int = TRAIN_ROWS, room: int = TRAIN_PASSAGES, condition=None) -> Model:
+    """A model from labelled documents, each with its whole text: the least by hash of the id, at most `rows` and `room` passages.
 
-    Rows with a null id or label, or outside `condition`, are left out. Without rows every score is one half or so.
+    A text with more than `room` passages does not train. Rows with a null id or label, or outside `condition`, are left out.
+    Without rows every score is one half or so.
     """
     known = labels.filter(F.col(id_col).isNotNull() & F.col(label_col).isin(0, 1))
     if condition is not None:
         known = known.filter(condition)
-    picked = known.select(F.col(id_col).cast("long").alias("doc_id"), F.col(label_col).cast("int").alias("label")).orderBy(F.xxhash64(F.col("doc_id").cast("long")), "doc_id", "label").limit(rows)
-    texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.substring(text_of(text_col), 1, chars).alias("text"))
+    order = F.xxhash64(F.col("doc_id").cast("long"))
+    picked = known.select(F.col(id_col).cast("long").alias("doc_id"), F.col(label_col).cast("int").alias("label")).orderBy(order, "doc_id", "label").limit(rows)
+    texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_of(text_col).alias("text"))
+    # `picked` has `rows` rows at most, so it may be broadcast and brought to the driver
+    labelled = [(r.doc_id, r.label) for r in picked.collect()]
+    picked = docs.sparkSession.createDataFrame(labelled, "doc_id long, label int")
+    found = texts.join(F.broadcast(picked), "doc_id")
+    passage_count = F.greatest(F.ceil(F.octet_length("text") / PASSAGE), F.lit(1)).cast("long")
+    counts = found.groupBy("doc_id").agg(F.sum(passage_count).alias("n"))
+    size = {r.doc_id: r.n for r in counts.collect()}
+    chosen = _chosen([(i, size[i]) for i in dict.fromkeys(i for i, _ in labelled) if i in size], room)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            bags = [passages(t)[:64].astype(np.float16) for t in b.column(2).to_pylist()]
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([x.tobytes() for x in bags], pa.binary())], ["doc_id", "label", "bag"])
-
-    # `picked` has `rows` rows at most, so it may be broadcast
-    found = texts.join(F.broadcast(picked), "doc_id").select("doc_id", "label", "text").mapInArrow(run, "doc_id long, label int, bag binary")
-    got = sorted(((r.doc_id, r.label, bytes(r.bag)) for r in found.toLocalIterator()))
-    return fit([np.frombuffer(b, np.float16).reshape(-1, WIDTH).astype(np.float32) for *_, b in got], [lab for _, lab, _ in got])
+            for i in range(b.num_rows):  # one row at a time: a bag may be large
+                bag = passages(b.column(2)[i].as_py()).astype(np.float16).tobytes()
+                yield pa.RecordBatch.from_arrays([b.column(0).slice(i, 1), b.column(1).slice(i, 1), pa.array([bag], pa.binary())], ["doc_id", "label", "bag"])
+
+    some = docs.sparkSession.createDataFrame([x for x in labelled if x[0] in chosen], "doc_id long, label int")
+    bags = texts.join(F.broadcast(some), "doc_id").select("doc_id", "label", "text").mapInArrow(run, "doc_id long, label int, bag binary")
+    got = sorted(((r.doc_id, r.label, bytes(r.bag)) for r in bags.toLocalIterator()))
+    return fit([np.frombuffer(b, np.float16).reshape(-1, WIDTH) for *_, b in got], [lab for _, lab, _ in got])
 
 
 def score_documents(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text", threshold: float = 0.7) -> DataFrame:

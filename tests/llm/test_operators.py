@@ -425,3 +425,22 @@ def test_quality_hard_cases(spark, texts):
     assert len(got) == len(texts) and all(0 <= r.score <= 1 for r in got)
     assert quality_model.score_documents(hard(spark, []), model).count() == 0
     assert quality_model.train(hard(spark, texts), spark.createDataFrame([], "doc_id long, quality int")).score(np.zeros((1, quality_model.WIDTH)), np.array([0])).shape == (1,)
+
+
+def test_training_reads_whole_texts(spark, monkeypatch):
+    good = "Stone walls keep warm when the sun goes down, and rivers run on. " * 900
+    rows = [(1, good), (2, good + "\n" + "$$$ !!! ### BUY\n" * 4000), (3, ""), (4, None), (5, "é" * 30_000)]
+    seen = []
+    monkeypatch.setattr(quality_model, "fit", lambda bags, labels: seen.append((bags, labels)))
+    labels = spark.createDataFrame([(i, i % 2) for i, _ in rows] + [(6, 1)], "doc_id long, quality int")
+    quality_model.train(hard(spark, rows), labels)
+    bags, got = seen[0]
+    want = [quality_model.passages(t or "") for _, t in rows]
+    assert got == [1, 0, 1, 0, 1] and [len(b) for b in bags] == [len(w) for w in want]
+    assert all(np.allclose(b.astype(float), w, atol=1e-3) for b, w in zip(bags, want))
+    room = len(want[1])
+    quality_model.train(hard(spark, rows), labels, room=room)
+    assert sum(len(b) for b in seen[1][0]) <= room and all(len(b) in map(len, want) for b in seen[1][0])
+    assert quality_model._chosen([(1, 9), (2, 3), (3, 4), (4, 5)], 8) == {2, 3}
+    order = np.array([2, 0, 1])
+    assert list(quality_model._steps(order, [np.zeros((n, 1)) for n in (5, 9000, 5)], 2)) == [[2, 0], [1]]
