@@ -1,6 +1,7 @@
 """Secret scans: candidate strings by pattern, false positives removed by a random forest.
 
-Candidates are long unbroken runs that are no plain word, and key blocks. The forest judges each by its length,
+Candidates are long unbroken runs that are no plain word, values assigned to or beside a word such as `password` (of any
+length and alphabet), passwords in URLs, and key blocks. The forest judges each by its length,
 character transitions, dictionary coverage, the path of its document and the words beside it. It is trained on
 labelled findings (`labelled_findings` makes a set from stated kinds of secrets and of look-alikes;
 users pass their own), on the driver, from a bounded number of them.
@@ -8,6 +9,7 @@ users pass their own), on the driver, from a bounded number of them.
 
 from __future__ import annotations
 
+import bisect
 import functools
 import hashlib
 import math
@@ -29,7 +31,11 @@ DICTIONARY = (
     "hash header hello help home host http https icon image import index info input insert internal item java job json key label language last layer layout level library line "
     "link list load local lock log login long main manager map master memory menu message meta method mode model module month name net network new node note null number "
     "object offer option order package page panel parent parse password path pattern placeholder plain player plugin point policy port post print private process product profile project "
-    "property public query queue quick random read record redirect region release remote render report request resource response rest result return root row sample save scale scan schema script search"
+    "property public query queue quick random read record redirect region release remote render report request resource response rest result return root row sample save scale scan schema script search "
+    "section select self send sequence server service session setting shared show sign simple single site size skip sort source space spec split stack start state static status "
+    "step stop storage store stream string style submit success suite support switch sync system table target task template test text theme thread time title tool total trace track "
+    "transform tree trigger true type undefined unit unknown update upload user util value variable vector vendor version video view visible wait warning weight widget window word work "
+    "world wrapper write year your zero zone"
 ).split()
 #: Words beside a candidate that speak for a secret, and against.
 FOR = ("token", "secret", "password", "passwd", "pwd", "api", "apikey", "key", "auth", "authorization", "bearer", "credential", "credentials", "access", "private", "client")
@@ -38,14 +44,25 @@ PATH_HINTS = ("test", "example", "sample", "doc", "mock", "fixture", "lock", "ve
 #: Longest part of a candidate and of its surroundings that features look at: transitions use the whole run.
 CONTEXT = 48
 RUN = re.compile(r"[A-Za-z0-9+/_=\-]{16,}(?:\.[A-Za-z0-9_\-]{16,}){0,2}")
-BLOCK = re.compile(r"-----BEGIN [A-Z ]{0,30}PRIVATE KEY-----[A-Za-z0-9+/=\s]*-----END [A-Z ]{0,30}PRIVATE KEY-----")
+BLOCK = re.compile(r"-----BEGIN [A-Z0-9 ]{0,30}PRIVATE KEY(?: BLOCK)?-----[^-]*(?:-(?!----)[^-]*)*-----END [A-Z0-9 ]{0,30}PRIVATE KEY(?: BLOCK)?-----")
+MASK = "[SECRET]"
+#: A word that speaks for a secret (whole, or a part of a name), the rest of the name, what assigns, and the value.
+ASSIGNED = re.compile(
+    r"(?:(?<![A-Za-z])|(?<=[a-z])(?=[A-Z]))(?i:" + "|".join(sorted(FOR, key=len, reverse=True)) + r")s?(?![a-z])(?:[_.\-]?[A-Za-z0-9]{1,40}(?=[\w.\-]*[\"'\]]{0,2}[ \t]{0,3}[:=])){0,4}"
+    r"[\"'\]]{0,2}[ \t]{0,3}(?P<sign>:=|=>|->|[:=]|is(?=[ \t])|)[ \t]{0,3}"
+    r"(?:\"(?P<a>[^\"\n]+)\"|'(?P<b>[^'\n]+)'|`(?P<c>[^`\n]+)`|[\"'`]?(?P<d>[^\s\"'`:=]\S*))"
+)
+IN_URL = re.compile(r"://[^\s/:@]*:([^\s/?#\"'<>]+)@")
+URL_START = re.compile(r"[A-Za-z][A-Za-z0-9+.\-]*://")
+_NAMES = re.compile("(?:" + "|".join(FOR) + r")s?[:=]*", re.IGNORECASE)
+_CAMEL = re.compile(r"(?<=[a-z])(?=[A-Z])")
 _WORDS = re.compile(r"[A-Za-z]+\d*")
 _CLASS = np.full(256, 5, np.int64)
 for _chars, _kind in ((b"abcdef", 0), (b"ghijklmnopqrstuvwxyz", 1), (b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", 2), (b"0123456789", 3), (b"-_", 4)):
     _CLASS[list(_chars)] = _kind
 
 FEATURES = (
-    ["length", "log_length", "entropy", "distinct", "longest_same", "coverage", "vowels", "hex_only", "digits_only", "upper_only", "parts", "dotted", "padded", "length_is_key_size", "block"]
+    ["length", "log_length", "entropy", "distinct", "longest_same", "coverage", "vowels", "hex_only", "digits_only", "upper_only", "parts", "dotted", "padded", "length_is_key_size", "block", "in_url", "placeholder", "spaces"]
     + [f"share_{i}" for i in range(6)]
     + [f"move_{i}_{j}" for i in range(6) for j in range(6)]
     + ["assigned", "quoted", "for", "against", "nearest"]
@@ -53,17 +70,71 @@ FEATURES = (
 )
 
 
+def _mixed(w: str) -> bool:
+    digits = sum(map(w.count, "0123456789"))
+    return 0 < digits < len(w) or re.search(r"[a-z][A-Z]+[a-z]", w) is not None
+
+
+def _assigned(text: str) -> Iterator[tuple[int, int, int]]:
+    """(start of the name, start, end) of values assigned to or beside words that speak for a secret."""
+    at = 0
+    while m := ASSIGNED.search(text, at):
+        group = next(g for g in "abcd" if m[g])
+        a, z = m.span(group)
+        at = z
+        if group == "d":
+            value = m[group]
+            if value.startswith(MASK):
+                continue
+            inner = ASSIGNED.search(text, a, z) if not m["sign"] else None
+            if _NAMES.fullmatch(value) or (inner and inner["sign"]):
+                at = a  # a name, whose value follows
+                continue
+            z = a + len(value.rstrip(",;.)]}>\"'`"))
+            if URL_START.match(value):
+                at = a  # its password is a candidate of its own
+                continue
+        elif m[group] == MASK:
+            continue
+        if a < z:
+            yield m.start(), a, z
+
+
 def find_candidates(text: str) -> list[tuple[int, int]]:
-    """(start, end) of runs that hold digits and letters, or change case inside, and of key blocks; in order, not overlapping."""
-    out = [m.span() for m in BLOCK.finditer(text)]
-    blocks = list(out)
+    """(start, end) of key blocks, passwords in URLs, values beside words that speak for a secret, and runs that hold digits and
+    letters or change case inside; in order, not overlapping."""
+    blocks = [m.span() for m in BLOCK.finditer(text)]
+    taken = [(a, z, a) for a, z in blocks]
+    for m in IN_URL.finditer(text):
+        if m[1] != MASK:
+            taken.append((*m.span(1), m.start(1)))
+    for lead, a, z in _assigned(text):
+        i = bisect.bisect_left(blocks, (z,)) - 1
+        if i < 0 or blocks[i][1] <= a:
+            taken.append((a, z, lead))
+    out: list[tuple[int, int]] = []
+    leads: list[int] = []
+    for a, z, lead in sorted(taken, key=lambda x: (x[0], -x[1])):
+        if out and a < out[-1][1]:
+            if z > out[-1][1]:
+                out[-1] = (out[-1][0], z)  # overlapping values are one
+        else:
+            out.append((a, z))
+            leads.append(lead)
+    runs, i = [], 0
     for m in RUN.finditer(text):
-        w = m[0]
-        digits = sum(map(w.count, "0123456789"))
-        if (digits and digits < len(w)) or re.search(r"[a-z][A-Z]+[a-z]", w):
-            if not any(a < m.end() and m.start() < b for a, b in blocks):
-                out.append(m.span())
-    return sorted(out)
+        a, end = m.span()
+        while i < len(out) and out[i][1] <= a:
+            i += 1
+        j = i
+        while a < end:  # what of the run is before, between and after values and their names
+            z = min(end, max(a, min(leads[j], out[j][0]))) if j < len(out) and out[j][0] < end else end
+            if z - a >= 16 and _mixed(text[a:z]):
+                runs.append((a, z))
+            if z == end:
+                break
+            a, j = max(a, out[j][1]), j + 1
+    return sorted(out + runs)
 
 
 def features(text: str, start: int, end: int, path: str) -> list[float]:
@@ -78,7 +149,7 @@ def features(text: str, start: int, end: int, path: str) -> list[float]:
     same = int(np.diff(np.concatenate([[-1], changes, [n - 1]])).max()) if n > 1 else 1
     low = w.lower()
     covered = sum(len(m) for m in _dictionary().findall(low)) / n
-    before, after = text[max(0, start - CONTEXT) : start].lower(), text[end : end + CONTEXT // 2].lower()
+    before, after = _CAMEL.sub("_", text[max(0, start - CONTEXT) : start]).lower(), text[end : end + CONTEXT // 2].lower()
     near = [x for m in _WORDS.findall(before)[-4:] for x in m.split("_")]
     near_after = _WORDS.findall(after)[:2]
     last = before.rstrip("\"'` ")
@@ -89,6 +160,7 @@ def features(text: str, start: int, end: int, path: str) -> list[float]:
     return [
         n, math.log(n), float(-(p * np.log2(p)).sum()), len(p) / n, same / n, covered, sum(map(low.count, "aeiou")) / n,
         float(re.fullmatch("[0-9a-f]+|[0-9A-F]+", w) is not None), float(w.isdigit()), float(w == w.upper()), len(parts), float("." in w), float(w.endswith("=")), float(n in (20, 32, 36, 40, 64)), float(w.startswith("-----BEGIN")),
+        float(re.search(r"://[^\s/:@]*:$", before) is not None), float(re.search(r"[(\[{<]|\*{3}|\.{3}", w) is not None), w.count(" ") / n,
         *(np.bincount(kinds, minlength=6) / n).tolist(), *moves.tolist(),
         float(last[-1:] in ("=", ":")), float(before[-1:] in "\"'`" and before != ""), float(any(said[0])), float(any(said[1])), nearest,
         *map(float, said[0]), *map(float, said[1]), *(float(h in place) for h in PATH_HINTS),
@@ -120,9 +192,50 @@ def labelled_findings(n: int = 3000, seed: int = 0) -> list[tuple[str, int, int,
         lambda: "x" * int(rng.integers(8, 20)) + chars(digits, 1) + "x" * 8, lambda: "your-" + "-".join(pick(DICTIONARY) for _ in range(3)) + "-here1", lambda: "-".join(pick(DICTIONARY) for _ in range(3)) + "-20" + chars(digits, 2) + "-" + chars(digits, 2),
         lambda: chars(alnum + "+/", int(rng.integers(80, 240))),
     )
+    symbols = "!@#$%&*"
+    passwords = ("password", "passwd", "pwd", "secret", "credential")
+    plain = lambda: pick(DICTIONARY) if rng.random() < 0.5 else word()
+    body = lambda: "\n".join(chars(alnum + "+/", 64) for _ in range(int(rng.integers(2, 12))))
+    near_secrets = (
+        lambda: chars(alnum + symbols, int(rng.integers(7, 16))), lambda: word().title() + chars(digits, int(rng.integers(2, 5))) + pick(symbols), lambda: chars(alnum, int(rng.integers(8, 16))),
+        lambda: word() + pick(symbols) + word() + chars(digits, 3), lambda: chars(lower, int(rng.integers(12, 40))), lambda: chars(upper, int(rng.integers(12, 40))), lambda: chars(digits, int(rng.integers(6, 24))),
+    )
+    near_others = (
+        plain, plain, plain, lambda: pick(("none", "null", "true", "false", "required", "undefined", "nil", "string", "optional")), lambda: chars(digits, int(rng.integers(1, 4))),
+        lambda: pick(("get", "load", "read")) + "_" + pick(FOR) + "(" + pick(("", word())) + ")", lambda: "${" + pick(FOR).upper() + "}", lambda: "<" + pick(("your-", "")) + pick(FOR) + ">", lambda: "*" * int(rng.integers(3, 12)),
+        lambda: "{{ " + pick(FOR) + " }}", lambda: f"{plain()} {plain()} {plain()}",
+    )
     out = []
     for i in range(n):
         label = int(rng.random() < 0.5)
+        special = rng.random()
+        if special < 0.4:
+            close, path = "", pick(("src", "src/app", "config/prod", "docs/example", "tests/fixture", "lib", "web")) + str(int(rng.integers(100)))
+            if special < 0.04:
+                kind = pick(("", "RSA ", "EC ", "OPENSSH ", "ENCRYPTED ", "PGP "))
+                end = " BLOCK" if kind == "PGP " else ""
+                head = pick(("", "", "Proc-Type: 4,ENCRYPTED\nDEK-Info: AES-128-CBC," + chars(hexes, 32).upper() + "\n\n", "Version: 2\nComment: " + word() + "\n\n"))
+                inside = head + body() if label else pick(("...", "<key>", " ".join(plain() for _ in range(12)), "*" * 20))
+                lead, value = pick(("", "key: ", "private ", f"{word()} ")), f"-----BEGIN {kind}PRIVATE KEY{end}-----\n{inside}\n-----END {kind}PRIVATE KEY{end}-----"
+            elif special < 0.08:
+                lead, close = f"{pick(('postgres', 'https', 'mysql', 'ftp', 'amqp'))}://{word()}:", f"@{word()}.{word()}/{word()}"
+                value = pick(near_secrets)() if label else pick((lambda: pick(FOR), lambda: "${" + pick(FOR).upper() + "}", lambda: "<" + pick(FOR) + ">", lambda: "***", lambda: chars(digits, 2)))()
+                value = value.replace("#", "!")
+            elif label:
+                value, named = pick(near_secrets)(), pick(passwords) if rng.random() < 0.7 else pick(FOR)
+                lead = pick((f'{named} = "', f"{named}: '", f"{named}=", f"{named}: ", f"{named} is ", f"db_{named} = '", f"{named.upper()}=", f"{named} "))
+                if lead.endswith(f"{named} ") and re.fullmatch("[a-z]+|[A-Z]+", value):
+                    lead = f"{named}: "
+            else:
+                value, named = pick(near_others)(), pick(FOR)
+                lead = pick((f"{named} ", f"{named} ", f"{named} ", f"{named} is ", f"{named}: ", f"{named} = ", f"{named}=", f'{named} = "', f"{named.title()} "))
+            close = close or {'"': '"', "'": "'"}.get(lead[-1:], "")
+            if rng.random() < 0.15 and "-----" not in value:
+                lead, value = lead.upper(), value.upper()
+            before = " ".join(word() for _ in range(int(rng.integers(0, 8)))) + " "
+            start = len(before) + len(lead)
+            out.append((before + lead + value + close + pick(("", " ", "\n", " ### ", " !! ", ",", ";")) + " ".join(word() for _ in range(3)), start, start + len(value), path, label))
+            continue
         value = pick(secret_kinds if label else other_kinds)()
         named = pick(FOR)
         other = pick(AGAINST)
@@ -246,7 +359,7 @@ def scan_secrets(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     return rows.mapInArrow(run, "doc_id long, start long, length long, sha256 string, score double").withColumn("is_secret", F.col("score") >= threshold)
 
 
-def mask_secrets(docs: DataFrame, text_col: str = "text", path_col: str = "source", threshold: float = 0.5, mask: str = "[SECRET]", forest: Forest | None = None) -> DataFrame:
+def mask_secrets(docs: DataFrame, text_col: str = "text", path_col: str = "source", threshold: float = 0.5, mask: str = MASK, forest: Forest | None = None) -> DataFrame:
     """`docs` with each secret in the text replaced by `mask`; all rows and columns stay, null texts too, n_chars follows the text."""
     model = docs.sparkSession.sparkContext.broadcast(forest or train())
     names = docs.columns
