@@ -20,8 +20,11 @@ LIBRARY = T.StructType([T.StructField(n, T.StringType()) for n in ("surface", "c
 
 @dataclass(frozen=True)
 class KG:
+    """A graph; `memo` holds what was derived from it once: its search index and its library."""
+
     nodes: DataFrame
     edges: DataFrame
+    memo: dict = field(default_factory=dict, compare=False, repr=False)
 
 
 @dataclass(frozen=True)
@@ -111,7 +114,6 @@ class Params:
     revisit: str = "simple_path"  # or dominance, on_discovery
     bound: str = "standard"  # or tight
     m_mode: str = "predset"  # or scan, loose
-    exclude_back: bool = False
     use_estimate: bool = True
     static_cut: bool = True
     topk_prune: bool = False
@@ -121,8 +123,7 @@ class Params:
     fetch_factor: int = 2
     relations: tuple[str, ...] = ("identical", "synonym", "abbreviation")
     batch: int = 1000
-    eager: bool = True  # checkpoint every round; otherwise one lazy plan
-    extra: dict = field(default_factory=dict, compare=False)
+    eager: bool = True  # store every round; otherwise one lazy plan
 
     def but(self, **changes: Any) -> Params:
         return replace(self, **changes)

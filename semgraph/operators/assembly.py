@@ -7,7 +7,14 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..sources.tables import keep
+
 EPS = 1e-9
+#: List entries that the driver reads; deeper lists are bounded as tables.
+MOST_READ = 500_000
+MOST_DEPTH = 2**31 - 1
+#: Pivots that go into a plan as literals.
+MOST_LITERALS = 2_000
 
 
 @dataclass(frozen=True)
@@ -49,7 +56,7 @@ def bounds(matches: DataFrame, subs: list[int], depth: int, k: int, mode: str =
     A list that was not read to its end stands, for pivots unseen in it, for its last score read; one that was, for 0, or for the score
     where the search was cut off (`truncated`). Pivots unseen in every list are bounded by the sum of these.
     """
-    heads = list_heads(matches, subs, depth).persist()
+    heads, _ = keep(list_heads(matches, subs, depth) if depth < MOST_DEPTH else matches.select("sub_id", "pivot_id", "psi"), "heads")
     ends = {r.sub_id: (r.n, r.low) for r in heads.groupBy("sub_id").agg(F.count("*").alias("n"), F.min("psi").alias("low")).collect()}
     current = {}
     for s in subs:
@@ -62,8 +69,8 @@ def bounds(matches: DataFrame, subs: list[int], depth: int, k: int, mode: str =
     top = eligible.orderBy(F.desc("lower"), "pivot_id").limit(k)
     chosen = top.collect()
     kth = chosen[-1].lower if len(chosen) == k else 0.0
-    ids = [r.pivot_id for r in chosen]
-    others = table.filter(~F.col("pivot_id").isin(ids)) if ids else table
+    picked = matches.sparkSession.createDataFrame([(r.pivot_id,) for r in chosen], "pivot_id long")
+    others = table.join(F.broadcast(picked), "pivot_id", "left_anti")  # k rows
     seen_other = others.agg(F.max("upper").alias("u")).first().u or 0.0
     unseen = sum(current.values())
     accesses = sum(n for n, _ in ends.values())
@@ -73,23 +80,84 @@ def bounds(matches: DataFrame, subs: list[int], depth: int, k: int, mode: str =
     return Bounds(depth, table, kth, best_other, accesses, exhausted)
 
 
-def assemble(matches: DataFrame, subs: list[int], k: int, mode: str = "complete", strategy: str = "threshold", step: int | None = None, stats=None, truncated: dict[int, float] | None = None) -> DataFrame:
-    """(rank, pivot_id, score): the k best pivots by sum of psi, ties by id."""
+def read_lists(matches: DataFrame, subs: list[int], k: int, mode: str, depth: int, truncated: dict[int, float], stats=None) -> tuple[list[int] | None, float]:
+    """Sorted access from the driver: (pivots that may be among the k best, score of the k-th), or None where the lists do not prove them.
+
+    Each round reads on from where the last one ended in every list, twice as deep, and closes the bounds: a pivot that a list has not
+    shown yet has there the last score read at most; a list that is read to its end holds no other, or, where the search was cut off,
+    none above `truncated`. In complete mode a pivot that a whole list lacks is no answer.
+    """
+    at: dict[int, tuple[float, int] | None] = {s: None for s in subs}
+    ended = dict.fromkeys(subs, False)
+    seen: dict[int, dict[int, float]] = {}
+    read = 0
+    while True:
+        batch = None
+        for s in (s for s in subs if not ended[s]):
+            own = matches.filter(F.col("sub_id") == s)
+            if at[s] is not None:
+                psi, pivot = at[s]
+                own = own.filter((F.col("psi") < psi) | ((F.col("psi") == psi) & (F.col("pivot_id") > pivot)))
+            own = own.select("sub_id", "pivot_id", "psi").orderBy(F.desc("psi"), "pivot_id").limit(depth - read)
+            batch = own if batch is None else batch.unionByName(own)
+        rows = sorted(batch.collect(), key=lambda r: (r.sub_id, -r.psi, r.pivot_id)) if batch is not None else []
+        fresh = dict.fromkeys(subs, 0)
+        for r in rows:
+            seen.setdefault(r.pivot_id, {})[r.sub_id] = r.psi
+            at[r.sub_id] = (r.psi, r.pivot_id)
+            fresh[r.sub_id] += 1
+        for s in subs:
+            ended[s] = ended[s] or fresh[s] < depth - read
+        if stats is not None:
+            stats.accesses += len(rows)
+        most = {s: truncated.get(s, 0.0) if ended[s] else at[s][0] for s in subs}
+        closed = [s for s in subs if ended[s] and s not in truncated]
+        lost = lambda own: mode == "complete" and any(s not in own for s in closed)
+        lower = {p: sum(own.values()) for p, own in seen.items() if mode != "complete" or len(own) == len(subs)}
+        chosen = sorted(lower, key=lambda p: (-lower[p], p))[:k]
+        kth = lower[chosen[-1]] if len(chosen) == k else 0.0
+        upper = {p: 0.0 if lost(own) else sum(own.get(s, most[s]) for s in subs) for p, own in seen.items()}
+        top = set(chosen)
+        other = max((u for p, u in upper.items() if p not in top), default=0.0)
+        unseen = 0.0 if mode == "complete" and closed else sum(most.values())
+        if len(closed) == len(subs) or max(other, unseen) <= (kth + EPS if len(chosen) == k else 0.0):
+            return [p for p, u in upper.items() if u >= kth - EPS and u > 0], kth
+        if all(ended.values()):
+            return None, kth
+        read, depth = depth, depth * 2
+        if depth * len(subs) > MOST_READ:
+            return None, -1.0
+
+
+def assemble(
+    matches: DataFrame, subs: list[int], k: int, mode: str = "complete", strategy: str = "threshold", step: int | None = None, stats=None, truncated: dict[int, float] | None = None, stored: bool = False,
+) -> DataFrame | None:
+    """(rank, pivot_id, score): the k best pivots by sum of psi, ties by id.
+
+    `truncated` bounds what cut-off lists lack; None is returned where the lists do not prove the answers, so that the search must go on.
+    """
     from pyspark.sql import Window
 
-    if strategy == "full" or len(subs) == 1:
+    truncated = truncated or {}
+    if len(subs) == 1 or (strategy == "full" and not truncated):
         out = full_join(matches, len(subs), k, mode)
     else:
-        matches = matches.persist()
-        depth = step or 2 * k
-        while True:
-            b = bounds(matches, subs, depth, k, mode, truncated)
+        if not stored:
+            matches, _ = keep(matches, "lists")
+        near, kth = read_lists(matches, subs, k, mode, step or 2 * k, truncated, stats)
+        if near is None and kth < 0:  # deeper than a driver should hold: bounds as tables
+            b = bounds(matches, subs, MOST_DEPTH, k, mode, truncated)
+            if truncated and not b.can_stop:
+                return None
+            out = full_join(matches, len(subs), k, mode)
+        elif near is None:
+            return None
+        else:  # candidates that may still tie with the k-th keep their place by id: exact scores by random access
             if stats is not None:
-                stats.accesses = b.accesses
-            if b.can_stop:
-                break
-            depth *= 2
-        # candidates that may still tie with the k-th keep their place by id: exact scores by random access
-        near = b.table.filter(F.col("upper") >= b.kth_lower - EPS).select("pivot_id")
-        out = full_join(matches.join(near, "pivot_id", "left_semi"), len(subs), k, mode)
+                stats.random_accesses += len(near) * len(subs)
+            if len(near) <= MOST_LITERALS:
+                chosen = matches.filter(F.col("pivot_id").isin(near))
+            else:
+                chosen = matches.join(F.broadcast(matches.sparkSession.createDataFrame([(p,) for p in near], "pivot_id long")), "pivot_id", "left_semi")
+            out = full_join(chosen, len(subs), k, mode)
     return out.select("pivot_id", "score").withColumn("rank", F.row_number().over(Window.orderBy(F.desc("score"), "pivot_id"))).select("rank", "pivot_id", "score")

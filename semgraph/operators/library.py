@@ -5,7 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..model import KG, LIBRARY, QueryNode
+from ..model import KG, QueryNode
+from ..sources.tables import keep, local
 
 #: Authored rows (surface, canonical, target, relation).
 AUTHORED = (
@@ -25,7 +26,7 @@ def norm(c: Column | str) -> Column:
 
 
 def authored_library(spark: SparkSession) -> DataFrame:
-    return spark.createDataFrame(list(AUTHORED), LIBRARY)
+    return local(spark, list(AUTHORED), "surface string, canonical string, target string, relation string")
 
 
 def initials_rule(names: DataFrame) -> DataFrame:
@@ -46,18 +47,37 @@ def casefold_rule(names: DataFrame) -> DataFrame:
 
 
 def build_library(kg: KG, authored: DataFrame | None = None, rules: tuple[str, ...] = ("initials",), kinds: tuple[str, ...] = ("Nation", "Region")) -> DataFrame:
-    """Authored rows and rows that rules derive from the names of some node types."""
+    """Authored rows and rows that rules derive from the names of some node types; stored once for a graph, as it is made before any query."""
+    memo = ("library", rules, kinds) if authored is None else None
+    if memo in kg.memo:
+        return kg.memo[memo]
     names = kg.nodes.filter(F.arrays_overlap("types", F.array(*[F.lit(k) for k in kinds]))).select("name").distinct()
     out = authored if authored is not None else authored_library(kg.nodes.sparkSession)
     for rule in rules:
         out = out.unionByName({"initials": initials_rule, "prefix": prefix_rule, "casefold": casefold_rule}[rule](names))
-    return out.distinct()
+    out = out.distinct()
+    if memo:
+        out = kg.memo[memo] = keep(out, "library")[0]
+    return out
+
+
+def resolve_labels(library: DataFrame, asked: list[tuple[str, str]], relations: tuple[str, ...], memo: dict) -> dict[tuple[str, str], dict[str, str]]:
+    """(label, target) -> {normal form: relation} for the labels of a query: a few words each, whatever the size of the library."""
+    held = memo.setdefault(("labels", id(library), relations), {"library": library})
+    for target in ("type", "name"):
+        new = sorted({label for label, t in asked if t == target and (label, t) not in held})
+        if new:
+            for label in new:
+                held[label, target] = {}
+            for r in candidate_labels(library, new, target, relations).collect():
+                held[r.label, target][r.key] = r.relation
+    return {a: held[a] for a in asked}
 
 
 def candidate_labels(library: DataFrame, labels: list[str], target: str, relations: tuple[str, ...]) -> DataFrame:
     """(label, key, relation): normal forms that a query label may stand for, with the weakest relation used."""
     spark = library.sparkSession
-    asked = spark.createDataFrame([(x,) for x in labels], "label string").withColumn("key", norm("label"))
+    asked = local(spark, [(x,) for x in labels], "label string").withColumn("key", norm("label"))
     same = asked.select("label", "key", F.lit("identical").alias("relation"))
     rows = library.filter((F.col("target") == target) & F.col("relation").isin([r for r in relations if r != "identical"] or [""]))
     via = rows.select(norm("surface").alias("s"), norm("canonical").alias("key"), "relation")

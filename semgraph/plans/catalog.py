@@ -16,6 +16,7 @@ from ..operators import metrics as M
 from ..operators import predicate_space as P
 from ..operators import search as S
 from ..sources import builders as G
+from ..sources.index import index_of
 from ..sources.tables import load
 from . import decompose as D
 from . import engine as E
@@ -314,7 +315,7 @@ def semgraph_partial_touched(spark, d):
 def max_adjacent_weight(spark, d):
     kg = G.stored_kg(spark, d, "star")
     prep = S.prepare(kg, [Q1_SUB], _space(spark), Params(), L.build_library(kg))
-    m = prep.info.filter("preds IS NOT NULL").select(F.col("nbr").alias("node"), F.lit(0).alias("sub_id"), F.lit(0).alias("stage"), "preds").withColumn("m", S._best_weight(prep))
+    m = index_of(kg).entities.select(F.col("node_id").alias("node"), "profile").join(F.broadcast(prep.info.filter("m > 0")), "profile")
     return m.groupBy(F.expr(f"node div {G.BASE}").alias("kind"), F.round("m", 6).alias("m")).agg(F.count("*").alias("n"))
 
 

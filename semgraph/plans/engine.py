@@ -2,16 +2,20 @@
 
 from __future__ import annotations
 
+import contextlib
+import threading
 import time
+import uuid
 from collections.abc import Callable
-from dataclasses import dataclass, field
+from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..model import KG, Params, QueryGraph, SubQuery
 from ..operators import search as S
 from ..operators.assembly import assemble
+from ..sources.tables import keep
 from . import decompose as D
 
 
@@ -22,8 +26,7 @@ class QueryResult:
     subs: list[SubQuery]
     stats: S.Stats
     completed: bool = True
-    resume: Callable[[int], QueryResult] | None = None
-    extra: dict = field(default_factory=dict)
+    resume: Callable[[float], QueryResult] | None = None
 
 
 def plan_subs(kg: KG, gq: QueryGraph, space: dict[str, list[float]], params: Params, library: DataFrame | None = None, objective: str = "min", stats: D.GraphStats | None = None, pivot: str | None = None) -> list[SubQuery]:
@@ -39,7 +42,11 @@ def exact_query(
     kg: KG, gq: QueryGraph, space: dict[str, list[float]], params: Params = Params(), library: DataFrame | None = None, engine: str = "layered", assembly: str = "complete", strategy: str = "threshold",
     construct: str = "partial", decomposition: str = "min", subs: list[SubQuery] | None = None, graph_stats: D.GraphStats | None = None, measured: bool = False, pivot: str | None = None,
 ) -> QueryResult:
-    """The k best answers. `construct='complete'` weighs the whole neighbourhood before it searches."""
+    """The k best answers. `construct='complete'` weighs the whole neighbourhood before it searches.
+
+    Where an engine cuts its lists off (top-k pruning, best first, local heap), the search goes on with longer lists until the bounds
+    of what is missing prove the answers. `measured` stores each component's result, so that its time is its own.
+    """
     stats = S.Stats()
     began = time.monotonic()
     subs = subs or plan_subs(kg, gq, space, params, library, decomposition, graph_stats, pivot)
@@ -47,27 +54,62 @@ def exact_query(
     began = time.monotonic()
     if construct == "complete":
         whole = S.semantic_graph(kg, subs, space, params, "complete", library)
-        adj = whole.select("node", "nbr", "predicate").distinct()
-        if measured:
-            adj = adj.persist()
-            stats.component_ms["edges_weighted"] = adj.count()
+        adj = whole.select("node", "slot", "nbr", "profile", "degree", "predicate").distinct()
+        adj, seen = keep(adj, "semantic-graph", F.count("*").alias("n"))
+        stats.edges_weighted += seen["n"]
         prep = S.prepare(kg, subs, space, params.but(static_cut=False), library, adj)
     else:
         prep = S.prepare(kg, subs, space, params, library)
     stats.add("construct", began)
-    began = time.monotonic()
-    matches = S.ENGINES[engine](prep, stats if measured else None)
-    if measured:
-        matches = matches.persist()
-        stats.list_rows = matches.count()
-    stats.add("search", began)
-    began = time.monotonic()
-    answers = assemble(matches, [s.sub_id for s in subs], params.k, assembly, strategy, stats=stats)
-    if measured:
-        answers = answers.persist()
-        answers.count()
-    stats.add("assemble", began)
-    return QueryResult(answers, matches, subs, stats)
+    ids, state = [s.sub_id for s in subs], {}
+    factor = params.fetch_factor if len(subs) > 1 else 1
+    while True:
+        began = time.monotonic()
+        options = {"state": state} if engine == "best_first" else {}
+        found = S.ENGINES[engine](prep, stats if measured else None, params.k * factor, **options)
+        stats.searches += 1
+        matches = found.matches
+        if measured or len(subs) > 1:
+            matches, seen = keep(matches, "lists", F.count("*").alias("n"))
+            stats.list_rows = seen["n"]
+        stats.add("search", began)
+        began = time.monotonic()
+        lists = matches if measured or len(subs) > 1 or found.scores is None else found.scores
+        answers = assemble(lists, ids, params.k, assembly, strategy, stats=stats, truncated=found.missing if len(subs) > 1 else None, stored=True)
+        if answers is not None and measured:
+            answers, _ = keep(answers, "answers")
+        stats.add("assemble", began)
+        if answers is not None:
+            return QueryResult(answers, matches, subs, stats)
+        factor *= 4
+
+
+class Deadline:
+    """Cancels the jobs of a block when its time is over; `over` tells whether that happened. The block's partial work is dropped."""
+
+    def __init__(self, spark: SparkSession, ms: float) -> None:
+        self.spark, self.ms, self.over = spark, ms, False
+        self.tag = f"deadline-{uuid.uuid4().hex}"
+
+    def __enter__(self) -> Deadline:
+        self.spark.addTag(self.tag)
+        self.stopped = threading.Event()
+
+        def watch() -> None:
+            wait = max(self.ms, 0.0) / 1000
+            while not self.stopped.wait(wait):
+                self.over, wait = True, 0.02
+                self.spark.interruptTag(self.tag)
+
+        self.thread = threading.Thread(target=watch, daemon=True)
+        self.thread.start()
+        return self
+
+    def __exit__(self, kind, error, trace) -> bool:
+        self.stopped.set()
+        self.thread.join()
+        self.spark.removeTag(self.tag)
+        return self.over and kind is not None and issubclass(kind, Exception)
 
 
 class ExecutionClock:
@@ -76,18 +118,25 @@ class ExecutionClock:
     def __init__(self, bound_ms: float, alert_ratio: float = 0.8, assembly_ms_per_match: float = 0.01) -> None:
         self.bound_ms, self.alert_ratio, self.per_match = bound_ms, alert_ratio, assembly_ms_per_match
         self.began = time.monotonic()
-        self.last = 0.0
         self.estimate_ms = 0.0
 
-    def should_assemble(self, elapsed_ms: list[float], early: list[int], growth: float = 1.0) -> bool:
+    def elapsed(self) -> float:
+        return (time.monotonic() - self.began) * 1000
+
+    def should_assemble(self, elapsed_ms: list[float], early: list[int]) -> bool:
         self.estimate_ms = max(elapsed_ms, default=0.0) + sum(early) * self.per_match
         return self.estimate_ms >= self.bound_ms * self.alert_ratio
 
-    def tick(self, n_subs: int, early: int) -> bool:
-        """After a round: the next one is expected to take as long as this one did."""
-        now = (time.monotonic() - self.began) * 1000
-        step, self.last = now - self.last, now
-        return self.should_assemble([now] * n_subs, [early]) or now + step > self.bound_ms
+    def tick(self, early: dict[int, int]) -> bool:
+        """After a round: all sub-queries share a frontier, so their search times are one."""
+        return self.should_assemble([self.elapsed()] * len(early), list(early.values()))
+
+    def left(self, early: dict[int, int]) -> float:
+        """Milliseconds until the alert, within which the next round must end."""
+        return self.bound_ms * self.alert_ratio - sum(early.values()) * self.per_match - self.elapsed()
+
+    def again(self, extra: float) -> ExecutionClock:
+        return ExecutionClock(extra, self.alert_ratio, self.per_match)
 
 
 class LogicalClock:
@@ -97,10 +146,16 @@ class LogicalClock:
         self.rounds = rounds
         self.seen = 0
 
-    def tick(self, n_subs: int, early: int) -> bool:
+    def tick(self, early: dict[int, int]) -> bool:
         self.seen += 1
         return self.seen >= self.rounds
 
+    def left(self, early: dict[int, int]) -> None:
+        return None
+
+    def again(self, extra: float) -> LogicalClock:
+        return LogicalClock(int(extra))
+
 
 def bounded_query(
     kg: KG, gq: QueryGraph, space: dict[str, list[float]], params: Params = Params(), clock: ExecutionClock | LogicalClock | None = None, time_bound_ms: float = 1000.0, alert_ratio: float = 0.8,
@@ -108,46 +163,42 @@ def bounded_query(
 ) -> QueryResult:
     """Approximate answers within a time bound: every target counts as soon as it is discovered; more time refines.
 
-    `result.resume(extra_ms)` goes on from the queue that was left. `completed` tells that nothing was left to expand that could
-    change the answer.
+    Rounds take the `batch` best states. Under an execution clock a round that is still running at the alert is cancelled and the
+    answers are those of the rounds before (the first round always ends). `result.resume(extra)` goes on from the queue that was left.
+    `completed` tells that nothing was left to expand.
     """
     clock = clock or ExecutionClock(time_bound_ms, alert_ratio, assembly_ms_per_match)
-    stats = S.Stats()
     subs = subs or plan_subs(kg, gq, space, params, library)
-    prep = S.prepare(kg, subs, space, params, library)
-    return _bounded_rounds(prep, params, clock, stats, subs, assembly, prep.start, None)
+    prep = S.prepare(kg, subs, space, params.but(topk_prune=False), library)
+    return _bounded_rounds(prep, clock, S.Stats(), assembly, {})
 
 
-def _bounded_rounds(prep: S.Prepared, params: Params, clock, stats: S.Stats, subs: list[SubQuery], assembly: str, states: DataFrame, done: DataFrame | None) -> QueryResult:
-    from ..sources.tables import cut
+def _bounded_rounds(prep: S.Prepared, clock, stats: S.Stats, assembly: str, state: dict) -> QueryResult:
+    spark = prep.kg.edges.sparkSession
 
-    hops = max(params.root(s) for s in subs)
-    completed = False
-    while True:
-        began = time.monotonic()
-        best = states.orderBy(F.desc("psi_hat"), "path_nodes").limit(params.batch) if params.extra.get("pop") else states
-        fresh = cut(S.expand(prep, best))
-        rest = states.join(best.select("sub_id", "path_nodes", "path_preds", "stage"), ["sub_id", "path_nodes", "path_preds", "stage"], "left_anti").select(states.columns) if params.extra.get("pop") else None
-        own = fresh.filter("done")
-        done = own if done is None else cut(done.unionByName(own))
-        states = fresh.filter("NOT done") if rest is None else cut(rest.unionByName(fresh.filter("NOT done")))
-        seen = fresh.agg(F.count("*").alias("n"), F.sum(F.col("done").cast("int")).alias("d")).first()
-        early = done.count()
-        stats.rounds.append({"round": len(stats.rounds) + 1, "produced": seen.n, "matched": early, "ms": (time.monotonic() - began) * 1000})
-        left = states.count() if params.extra.get("pop") else seen.n - (seen.d or 0)
-        if not left or (not params.extra.get("pop") and len(stats.rounds) >= hops):
-            completed = True
-            break
-        if clock.tick(len(subs), early):
-            break
-    matches = S.best_matches(done)
-    answers = assemble(matches, [s.sub_id for s in subs], params.k, assembly, stats=stats)
-
-    def resume(extra: float) -> QueryResult:
-        again = LogicalClock(int(extra)) if isinstance(clock, LogicalClock) else ExecutionClock(extra, clock.alert_ratio, clock.per_match)
-        return _bounded_rounds(prep, params, again, stats, subs, assembly, states, done) if not completed else QueryResult(answers, matches, subs, stats, True)
-
-    return QueryResult(answers, matches, subs, stats, completed, resume)
+    def guard():
+        wait = clock.left(state["early"])
+        return Deadline(spark, wait) if wait is not None and stats.rounds else contextlib.nullcontext()
+
+    found = S.best_first(prep, stats, prep.params.k, on_round=clock.tick, state=state, guard=guard)
+    stats.early = dict(state["early"])
+    answers = assemble(found.matches, [s.sub_id for s in prep.subs], prep.params.k, assembly, stats=stats)
+    # what a later call goes on from; this result keeps its own
+    later = {"queue": state["queue"], "done": state["done"], "early": state["early"]}
+    resume = lambda extra: _bounded_rounds(prep, clock.again(extra), stats, assembly, later)
+    return QueryResult(answers, found.matches, prep.subs, stats, state["completed"], resume)
+
+
+def relative_bound(kg: KG, gq: QueryGraph, space: dict[str, list[float]], params: Params, ratio: float = 0.9, library: DataFrame | None = None, **options) -> tuple[QueryResult, QueryResult, float, float]:
+    """(bounded result, exact result, bound in ms, its time in ms): the bound is a share of the time that the exact search takes, measured just before."""
+    began = time.monotonic()
+    exact = exact_query(kg, gq, space, params, library, **options)
+    exact.answers, _ = keep(exact.answers, "exact")
+    bound = (time.monotonic() - began) * 1000 * ratio
+    began = time.monotonic()
+    result = bounded_query(kg, gq, space, params, ExecutionClock(bound), library=library, **options)
+    result.answers, _ = keep(result.answers, "bounded")
+    return result, exact, bound, (time.monotonic() - began) * 1000
 
 
 def answer_schemas(matches: DataFrame, kg: KG) -> DataFrame:

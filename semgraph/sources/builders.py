@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..model import KG, KG_EDGES, KG_NODES
+from .index import both_ways, read_index, write_index
 from .tables import cut, load, scratch
 
 KINDS = {
@@ -197,26 +198,32 @@ def build_kg(spark: SparkSession, sf_dir: str, kind: str, **options) -> KG:
 
 
 _stored: dict[tuple, str] = {}
+_opened: dict[tuple, KG] = {}
 
 
 def stored_kg(spark: SparkSession, sf_dir: str, kind: str, **options) -> KG:
-    """The graph as tables in the session's shared folder: built once for an application, read by every query on it."""
+    """The graph and its search index as tables in the session's shared folder: built once for an application, read by every query on it."""
     key = (spark.sparkContext.applicationId, sf_dir, kind, tuple(sorted(options.items())))
-    if key not in _stored:
-        kg = build_kg(spark, sf_dir, kind, **options)
+    kg = _opened.get(key)
+    if kg is not None and kg.nodes.sparkSession is spark:
+        return kg
+    path = _stored.get(key)
+    if path is None:
+        built = build_kg(spark, sf_dir, kind, **options)
         path = scratch(spark, f"kg-{kind}")
-        kg.nodes.write.parquet(f"{path}/nodes")
-        kg.edges.write.parquet(f"{path}/edges")
+        built.nodes.write.parquet(f"{path}/nodes")
+        built.edges.write.parquet(f"{path}/edges")
+    kg = KG(spark.read.schema(KG_NODES).parquet(f"{path}/nodes"), spark.read.schema(KG_EDGES).parquet(f"{path}/edges"))
+    if key not in _stored:
+        write_index(kg, path)
         _stored[key] = path
-    path = _stored[key]
-    return KG(spark.read.schema(KG_NODES).parquet(f"{path}/nodes"), spark.read.schema(KG_EDGES).parquet(f"{path}/edges"))
+    kg.memo["index"] = read_index(spark, path)
+    _opened[key] = kg
+    return kg
 
 
 def adjacency(edges: DataFrame) -> DataFrame:
-    """(node, nbr, predicate, forward): direction plays no part in matches, so each edge counts both ways."""
-    return edges.select(F.col("src").alias("node"), F.col("dst").alias("nbr"), "predicate", F.lit(True).alias("forward")).unionByName(
-        edges.select(F.col("dst").alias("node"), F.col("src").alias("nbr"), "predicate", F.lit(False).alias("forward"))
-    )
+    return both_ways(edges)
 
 
 def restrict_entities(kg: KG, names: DataFrame) -> KG:

@@ -5,7 +5,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -24,20 +24,28 @@ def register_views(spark: SparkSession, sf_dir: str, tables: tuple[str, ...] = T
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The session's `spark.checkpoint.dir`; where it is unset (one machine), a temporary folder becomes it."""
+    """The session's `spark.checkpoint.dir`. Unset, a temporary folder becomes it where all runs on one machine; a cluster must name one."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if found:
         return found.rstrip("/")
     current = spark.sparkContext._jsc.sc().getCheckpointDir()
     if current.isDefined():
         return current.get().rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     folder = f"file://{tempfile.mkdtemp(prefix='semgraph-checkpoint-')}"
     spark.sparkContext.setCheckpointDir(folder)
     return folder
 
 
 def scratch(spark: SparkSession, name: str) -> str:
-    return f"{shared_dir(spark)}/semgraph-{name}-{uuid.uuid4().hex}"
+    """A new folder in the shared one; it goes when the application ends."""
+    path = f"{shared_dir(spark)}/semgraph-{name}-{uuid.uuid4().hex}"
+    hadoop = spark._jvm.org.apache.hadoop.fs.Path(path)
+    files = hadoop.getFileSystem(spark._jsc.hadoopConfiguration())
+    files.mkdirs(hadoop)
+    files.deleteOnExit(hadoop)
+    return path
 
 
 def cut(df: DataFrame) -> DataFrame:
@@ -46,6 +54,24 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+def local(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
+    """A small table of the driver's rows that needs no job to be read."""
+    import pyarrow as pa
+    from pyspark.sql.pandas.types import to_arrow_schema
+
+    fields = to_arrow_schema(T._parse_datatype_string(schema))
+    columns = list(zip(*rows)) if rows else [()] * len(fields)
+    return spark.createDataFrame(pa.Table.from_arrays([pa.array(c, f.type) for c, f in zip(columns, fields)], schema=fields), T._parse_datatype_string(schema))
+
+
+def keep(df: DataFrame, name: str, *measures: Column) -> tuple[DataFrame, dict]:
+    """(the rows as a stored table, measures of them): one job writes and measures; the table ends the lineage."""
+    seen = Observation()
+    path = f"{scratch(df.sparkSession, name)}/rows"
+    (df.observe(seen, *measures) if measures else df).write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path), seen.get if measures else {}
+
+
 def write_triples(edges: DataFrame, path: str) -> None:
     """subject<TAB>predicate<TAB>object lines."""
     edges.select("src", "predicate", "dst").write.mode("overwrite").option("sep", "\t").csv(path)
@@ -78,7 +104,7 @@ def read_query_graphs(spark: SparkSession, path: str) -> DataFrame:
 
 def round_trip(df: DataFrame, kind: str) -> DataFrame:
     """Write in a format and read back with the same schema."""
-    path = scratch(df.sparkSession, kind)
+    path = f"{scratch(df.sparkSession, kind)}/rows"
     df.write.format(kind).save(path)
     return df.sparkSession.read.schema(df.schema).format(kind).load(path)
 

@@ -49,6 +49,7 @@ def brute(weights, sources, targets, n_hat, tau):
 
 
 def scores(df):
+    df = df.matches if isinstance(df, S.Found) else df
     return {r.pivot_id: r.psi for r in df.collect()}
 
 
@@ -98,7 +99,7 @@ def test_engines_agree_with_brute_force(spark, seed):
     for engine in ("layered", "best_first", "local"):
         got = scores(S.search(kg, [sub], space, p, engine))
         assert got == pytest.approx(want), engine
-    for change in ({"bound": "tight"}, {"m_mode": "loose"}, {"use_estimate": False}, {"static_cut": False}, {"topk_prune": True}):
+    for change in ({"bound": "tight"}, {"m_mode": "loose"}, {"use_estimate": False}, {"static_cut": False}, {"topk_prune": True}, {"m_mode": "scan"}):
         assert scores(S.search(kg, [sub], space, p.but(**change))) == pytest.approx(want), change
     walks = scores(S.search(kg, [sub], space, p.but(revisit="dominance")))
     assert all(walks[t] >= s - 1e-9 for t, s in want.items())
@@ -140,3 +141,106 @@ def test_unseen_pivot_trap(spark):
     data = lists(spark, [(1, 0.9), (3, 0.89)], [(2, 0.9), (3, 0.89)])
     got = A.assemble(data, [0, 1], 2, "partial", "threshold", step=1).collect()
     assert [(r.pivot_id, round(r.score, 2)) for r in got] == [(3, 1.78), (1, 0.9)]
+
+
+def two_sided(spark, *sides):
+    """A graph with a source for each side: (pivot, weight) is an edge from it, (pivot, weight, weight) two by way of a node of its own."""
+    nodes, edges, fresh = [(i + 1, f"s{i}", [f"S{i}"], None) for i in range(len(sides))], [], 1000
+    pivots = sorted({row[0] for side in sides for row in side})
+    nodes += [(p, f"n{p}", ["T"], None) for p in pivots]
+    for i, side in enumerate(sides):
+        for p, *ws in side:
+            at = i + 1
+            for w in ws[:-1]:
+                fresh += 1
+                nodes.append((fresh, f"n{fresh}", ["N"], None))
+                edges.append((at, f"w{w}", fresh))
+                at = fresh
+            edges.append((at, f"w{ws[-1]}", p))
+    kg = KG(spark.createDataFrame(nodes, KG_NODES), spark.createDataFrame(sorted(set(edges)), KG_EDGES))
+    space = {"q": [1.0, 0.0]} | {p: [float(p[1:]), math.sqrt(1 - float(p[1:]) ** 2)] for _, p, _ in edges}
+    subs = [SubQuery(i, (QueryNode("s", (f"S{i}",), f"s{i}"), QueryNode("t", ("T",))), ("q",), 1) for i in range(len(sides))]
+    return kg, subs, space
+
+
+VARIANTS = [("layered", {}), ("layered", {"topk_prune": True}), ("best_first", {"batch": 1}), ("best_first", {"batch": 50}), ("local", {})]
+
+
+def test_lists_whose_tops_do_not_overlap(spark):
+    """The best answer is last in both lists: an engine that stops at a list's k-th score must go on."""
+    from semgraph.plans import engine as E
+
+    kg, subs, space = two_sided(spark, [(10, 0.95), (11, 0.94), (14, 0.9, 0.9)], [(12, 0.95), (13, 0.94), (14, 0.9)])
+    for engine, change in VARIANTS:
+        got = E.exact_query(kg, None, space, Params(k=1, max_hops=2, fetch_factor=1, **change), engine=engine, subs=subs)
+        assert [(r.pivot_id, round(r.score, 6)) for r in got.answers.collect()] == [(14, 1.8)], (engine, change)
+
+
+def test_ties_go_by_id_in_every_engine(spark):
+    from semgraph.plans import engine as E
+
+    same = [(p, 0.9) for p in range(10, 40)]
+    kg, subs, space = two_sided(spark, same, same[5:])
+    for i, (engine, change) in enumerate(VARIANTS):
+        got = E.exact_query(kg, None, space, Params(k=3, max_hops=2, fetch_factor=1, **change), engine=engine, subs=subs, assembly=("complete", "partial")[i % 2]).answers.collect()
+        assert [(r.rank, r.pivot_id, round(r.score, 6)) for r in got] == [(1, 15, 1.8), (2, 16, 1.8), (3, 17, 1.8)], (engine, change)
+
+
+@pytest.mark.parametrize("seed", [3, 4])
+def test_engines_agree_on_three_random_lists(spark, seed):
+    from semgraph.plans import engine as E
+
+    rng = random.Random(seed)
+    sides = [[(p, *[round(rng.uniform(0.5, 1), 1) for _ in range(rng.choice([1, 1, 2]))]) for p in rng.sample(range(10, 40), 20)] for _ in range(3)]
+    kg, subs, space = two_sided(spark, *sides)
+    p = Params(k=4, max_hops=2, tau=0.5, fetch_factor=1)
+    mode = ("complete", "partial")[seed % 2]
+    want = E.exact_query(kg, None, space, p, subs=subs, assembly=mode, strategy="full").answers.collect()
+    for engine, change in [v for v in VARIANTS if v[1] != {"batch": 1}]:
+        assert E.exact_query(kg, None, space, p.but(**change), engine=engine, subs=subs, assembly=mode).answers.collect() == want, (engine, change, mode)
+
+
+def test_hubs_are_split_and_large_frontiers_shuffled(spark, monkeypatch):
+    """With slots of two rows and no broadcast, answers stay the same."""
+    from semgraph.sources import index as X
+
+    rng = random.Random(9)
+    pairs = sorted({tuple(sorted(rng.sample(range(14), 2))) for _ in range(45)})
+    weights = [(a, b, round(rng.uniform(0.4, 1.0), 3)) for a, b in pairs]
+    want = brute(weights, {0}, {10, 11, 12, 13}, 3, 0.5)
+    monkeypatch.setattr(X, "SLOT_ROWS", 2)
+    monkeypatch.setattr(X, "SLOTS", "CAST(greatest(1, ceil(degree / 2)) AS INT)")
+    monkeypatch.setattr(S, "SLOTS", X.SLOTS)
+    monkeypatch.setattr(S, "BROADCAST_STATES", -1)
+    monkeypatch.setattr(X, "MOST_PROFILES", 1)
+    kg, sub, space = graph(spark, weights, {0}, {10, 11, 12, 13})
+    prep = S.prepare(kg, [sub], space, Params(tau=0.5, max_hops=3))
+    assert X.index_of(kg).adj.agg(F.max("slot")).first()[0] > 0 and not prep.small_info
+    assert scores(S.layered(prep)) == pytest.approx(want)
+    plan = S.expand(prep, prep.start)._jdf.queryExecution().executedPlan().toString()
+    assert "slot" in plan
+
+
+def test_a_hop_reads_the_adjacency_once_and_aggregates_nothing(spark):
+    kg, sub, space = graph(spark, TRACE, {1}, {7, 12})
+    prep = S.prepare(kg, [sub], space, Params(tau=0.5))
+    physical = S.expand(prep, prep.start, None, 1, prep.start_span)._jdf.queryExecution().executedPlan().toString()
+    assert "PartitionFilters: [predicate" in physical and "PushedFilters" in physical and "node" in physical.split("PushedFilters")[1][:120]
+    assert physical.count("FileScan parquet") == 1 and "Aggregate" not in physical and "SortMergeJoin" not in physical
+
+
+def test_running_example(spark):
+    """A car made in Germany: an assembly and a country edge score .891; a second list that scores 1 makes 1.891."""
+    from semgraph.plans import engine as E
+
+    nodes = [(1, "Germany", ["Country"], None), (2, "Regensburg", ["City"], None), (3, "Roadster", ["Automobile"], None), (4, "Maker", ["Company"], None)]
+    edges = [(3, "assembly", 2), (2, "country", 1), (3, "manufacturer", 4)]
+    kg = KG(spark.createDataFrame(nodes, KG_NODES), spark.createDataFrame(edges, KG_EDGES))
+    country = 0.891**2 / 0.98
+    space = {"product": [1.0, 0.0, 0.0], "assembly": [0.98, math.sqrt(1 - 0.98**2), 0.0], "country": [country, math.sqrt(1 - country**2), 0.0], "manufacturer": [0.0, 0.0, 1.0]}
+    car = QueryNode("v", ("Automobile",))
+    subs = [SubQuery(0, (QueryNode("g", ("Country",), "Germany"), car), ("product",), 1), SubQuery(1, (QueryNode("m", ("Company",), "Maker"), car), ("manufacturer",), 1)]
+    first = scores(S.search(kg, subs[:1], space, Params(k=1)))
+    assert round(first[3], 3) == 0.891
+    answer = E.exact_query(kg, None, space, Params(k=1), subs=subs).answers.first()
+    assert answer.pivot_id == 3 and round(answer.score, 3) == 1.891
