@@ -7,15 +7,15 @@ import threading
 import time
 import uuid
 from collections.abc import Callable
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..model import KG, Params, QueryGraph, SubQuery
 from ..operators import search as S
 from ..operators.assembly import assemble
-from ..sources.tables import keep
+from ..sources.tables import keep, local
 from . import decompose as D
 
 
@@ -33,9 +33,10 @@ def plan_subs(kg: KG, gq: QueryGraph, space: dict[str, list[float]], params: Par
     """Sub-queries of the least (or greatest) estimated cost; a single edge needs no statistics."""
     if len(gq.edges) == 1:
         return D.decompose(gq, lambda *_: 1.0, pivot)[0]
+    longest = params.max_hops if params.hop_scope == "match" else D.MOST_EDGES
     stats = stats or D.collect_stats(kg)
     counts = D.source_counts(kg, gq, library, params)
-    return D.decompose(gq, lambda source, preds: D.path_cost(counts[source], preds, stats, space, params), pivot, objective)[0]
+    return D.decompose(gq, lambda source, preds: D.path_cost(counts[source], preds, stats, space, params), pivot, objective, longest)[0]
 
 
 def exact_query(
@@ -201,6 +202,52 @@ def relative_bound(kg: KG, gq: QueryGraph, space: dict[str, list[float]], params
     return result, exact, bound, (time.monotonic() - began) * 1000
 
 
+def plan_many(kg: KG, queries: dict[int, QueryGraph], space: dict[str, list[float]], params: Params, library: DataFrame | None = None, objective: str = "min") -> tuple[list[SubQuery], dict[int, int]]:
+    """(sub-queries, query of each) of many queries, which one frontier can serve."""
+    subs, owner = [], {}
+    for query_id, gq in queries.items():
+        for s in plan_subs(kg, gq, space, params, library, objective):
+            owner[len(subs)] = query_id
+            subs.append(replace(s, sub_id=len(subs)))
+    return subs, owner
+
+
+def answers_of_many(scores: DataFrame, owner: dict[int, int], k: int, mode: str = "complete", ascending: bool = False) -> DataFrame:
+    """(query_id, rank, pivot_id, score): the k best pivots of each query from scores(sub_id, pivot_id, psi) of its sub-queries."""
+    spark = scores.sparkSession
+    parts: dict[int, int] = {}
+    for q in owner.values():
+        parts[q] = parts.get(q, 0) + 1
+    table = local(spark, [(s, q, parts[q]) for s, q in owner.items()], "sub_id int, query_id int, of long")
+    own = scores.join(F.broadcast(table), "sub_id")
+    total = own.groupBy("query_id", "pivot_id", "of").agg(F.round(F.sum("psi"), 9).alias("score"), F.count("*").alias("parts"))
+    if mode == "complete":
+        total = total.filter("parts = of")
+    order = Window.partitionBy("query_id").orderBy(F.asc("score") if ascending else F.desc("score"), "pivot_id")
+    return total.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= k).select("query_id", "rank", "pivot_id", "score")
+
+
+def exact_many(kg: KG, queries: dict[int, QueryGraph], space: dict[str, list[float]], params: Params = Params(), library: DataFrame | None = None, decomposition: str = "min", mode: str = "complete", stats: S.Stats | None = None) -> tuple[DataFrame, S.Found]:
+    """(answers(query_id, rank, pivot_id, score), lists) of many queries at once: each hop is one job for all."""
+    subs, owner = plan_many(kg, queries, space, params, library, decomposition)
+    found = S.layered(S.prepare(kg, subs, space, params.but(topk_prune=False), library), stats)
+    return answers_of_many(found.scores, owner, params.k, mode), found
+
+
+def bounded_many(kg: KG, queries: dict[int, QueryGraph], space: dict[str, list[float]], params: Params, clock: ExecutionClock | LogicalClock, library: DataFrame | None = None) -> DataFrame:
+    """(query_id, rank, pivot_id, score) of many queries within one bound."""
+    subs, owner = plan_many(kg, queries, space, params, library)
+    prep = S.prepare(kg, subs, space, params.but(topk_prune=False), library)
+    rounds, state = [0], {}
+
+    def guard():
+        rounds[0] += 1
+        wait = clock.left(state["early"])
+        return Deadline(kg.edges.sparkSession, wait) if wait is not None and rounds[0] > 1 else contextlib.nullcontext()
+
+    return answers_of_many(S.best_first(prep, None, params.k, on_round=clock.tick, state=state, guard=guard).scores, owner, params.k)
+
+
 def answer_schemas(matches: DataFrame, kg: KG) -> DataFrame:
     """(sub_id, schema, matches, best_psi): type-predicate-type strings of the matched paths."""
     first = kg.nodes.select("node_id", F.get("types", F.lit(0)).alias("type"))

@@ -106,5 +106,36 @@ ranked AS (SELECT CAST(row_number() OVER (ORDER BY score DESC, pivot_id) AS INTE
 SELECT rank, pivot_id, round(score, 6) AS score FROM ranked WHERE rank <= {k}"""
 
 
+def many(queries: list[tuple[int, str, str]], target: str, tau: float, root: int, k: int) -> str:
+    """Views of many queries of one edge: `ranked_many(q, rank, pv, score)` with the k best of each.
+
+    queries: (number, SQL of the source's id, query predicate); target: SQL of the nodes that end all of them.
+    """
+    cut = tau**root - 1e-12
+    rows = ", ".join(f"({q}, {node}, '{predicate}')" for q, node, predicate in queries)
+    return f"""
+asked(q, node, pred) AS (VALUES {rows}), ends AS ({target}),
+usable AS (SELECT a AS pred, b AS predicate, sim AS w FROM sims WHERE sim > 0 AND sim >= {cut} AND a IN (SELECT pred FROM asked)),
+walk_many(q, pred, node, hops, wp, path, done) AS (
+    SELECT q, pred, CAST(node AS BIGINT), 0, CAST(1 AS DOUBLE), [CAST(node AS BIGINT)], false FROM asked
+    UNION ALL
+    SELECT x.q, x.pred, a.nbr, x.hops + 1, x.wp * w.w, list_append(x.path, a.nbr), e.node IS NOT NULL
+    FROM walk_many x JOIN adj a ON a.node = x.node JOIN usable w ON w.pred = x.pred AND w.predicate = a.predicate LEFT JOIN ends e ON e.node = a.nbr
+    WHERE NOT x.done AND x.hops < {root} AND NOT list_contains(x.path, a.nbr) AND x.wp * w.w >= {cut}
+),
+scored AS (SELECT q, node AS pv, max(round(pow(wp, 1.0 / hops), 9)) AS score FROM walk_many WHERE done AND pow(wp, 1.0 / hops) >= {tau} - 1e-12 GROUP BY 1, 2),
+ranked_many AS (SELECT * FROM (SELECT q, row_number() OVER (PARTITION BY q ORDER BY score DESC, pv) AS rank, pv, score FROM scored) WHERE rank <= {k})"""
+
+
+def quality(ranked: str, truth: str, ks: tuple[int, ...]) -> str:
+    """SELECT of (k, precision, recall, f1): means over the queries of a view `ranked`(q, rank, pv), against SQL of truth(q, node)."""
+    grid = ", ".join(f"({k})" for k in ks)
+    return f"""SELECT k, round(avg(precision), 6) AS precision, round(avg(recall), 6) AS recall, round(avg(f1), 6) AS f1 FROM (
+    SELECT t.q, g.k, coalesce(correct / nullif(returned, 0), 0) AS precision, coalesce(correct / nullif(total, 0), 0) AS recall, coalesce(2.0 * correct / nullif(returned + total, 0), 0) AS f1
+    FROM (SELECT q, count(*) AS total FROM ({truth}) GROUP BY 1) t CROSS JOIN (VALUES {grid}) g(k)
+    LEFT JOIN (SELECT r.q, h.k, count(*) AS returned, count(y.node) AS correct FROM {ranked} r JOIN (VALUES {grid}) h(k) ON r.rank <= h.k LEFT JOIN ({truth}) y ON y.q = r.q AND y.node = r.pv GROUP BY 1, 2) c ON c.q = t.q AND c.k = g.k
+) GROUP BY k"""
+
+
 def with_star(body: str) -> str:
     return f"WITH RECURSIVE {STAR},{SPACE} {body}"
