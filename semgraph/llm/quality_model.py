@@ -250,7 +250,10 @@ def score_documents(docs: DataFrame, model: Model, id_col: str = "doc_id", text_
 
 
 def keep_good(docs: DataFrame, model: Model, text_col: str = "text", threshold: float = 0.7) -> DataFrame:
-    """Rows of `docs` that the model does not reject, with all their columns."""
+    """Rows of `docs` that the model does not reject, with all their columns as they are.
+
+    A null text is judged as the empty one. Repeated rows are judged alike, so all stay or go. An empty table gives an empty one.
+    """
     shared = docs.sparkSession.sparkContext.broadcast(model)
     at = docs.columns.index(text_col)
 

@@ -41,6 +41,8 @@ SEED = 42
 #: Pairs compared at once in a task, and rows of a block of a hot key.
 PAIRS_AT_ONCE = 2_000_000
 HOT_ROWS = 50_000
+#: A fingerprint with this share of all rows is joined by broadcast; there are no more than this many of them.
+HOT_SHARE = 1000
 #: Shingles hashed at once, so that a very long text needs bounded memory.
 SHINGLES_AT_ONCE = 100_000
 
@@ -73,14 +75,15 @@ def fingerprint(text: str, k: int = SHINGLE, seed: int = SEED) -> int:
 
 
 def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = SHINGLE, seed: int = SEED) -> DataFrame:
-    """(doc_id, fp long): a row for each row of `docs`; null text counts as empty, null ids stay."""
+    """(doc_id, fp long, text_key long): a row for each row of `docs`; null text counts as empty, null ids stay. text_key is a hash of the whole text."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             fps = [fingerprint(t, k, seed) for t in b.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.array(fps, np.uint64).view(np.int64))], ["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.array(fps, np.uint64).view(np.int64)), b.column(2)], ["doc_id", "fp", "text_key"])
 
-    return spread(docs.select(F.col(id_col).cast("long").alias("doc_id"), text_of(text_col).alias("text"))).mapInArrow(run, "doc_id long, fp long")
+    own = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_of(text_col).alias("text"), F.xxhash64(text_of(text_col)).alias("text_key"))
+    return spread(own).mapInArrow(run, "doc_id long, fp long, text_key long")
 
 
 @functools.cache
@@ -308,30 +311,39 @@ def fingerprint_links(fps: DataFrame, max_bits: int = MAX_BITS) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", max_bits: int = MAX_BITS, k: int = SHINGLE) -> DataFrame:
-    """(doc_id, fp long, component_id): one row for each row of `docs`; component_id is the least doc_id linked to it.
+    """(doc_id, fp long, text_key long, component_id, root): one row for each row of `docs`; component_id is the least doc_id linked to it, and
+    root a fingerprint that names the component (two components that share a repeated id have the same component_id).
 
     Null text counts as empty (fingerprint 0). Null ids stay and are never a component_id unless all ids of
     the component are null. Repeated rows each give a row. An empty table gives an empty result. Other
     columns of `docs` play no part.
     """
     fps = materialize(fingerprints(docs, id_col, text_col, k), "fingerprints")
-    own = fps.groupBy("fp").agg(F.min("doc_id").alias("first"))
+    own = fps.groupBy("fp").agg(F.min("doc_id").alias("first"), F.count("*").alias("rows"))
     links = fingerprint_links(own.select("fp"), max_bits)
     roots = connected_components(links, "a", "b")
     linked = own.join(roots, own.fp == roots.node).select("fp", "first", "root")
     least = linked.groupBy("root").agg(F.min("first").alias("least"))
-    named = linked.join(least, "root").select("fp", "least")
-    label = own.join(named, "fp", "left").select("fp", F.coalesce("least", "first").alias("component_id"))
-    label = materialize(label, "labels")  # a plain scan on either side of the last join, so that a hot fingerprint can be split
-    return fps.join(label, "fp").select("doc_id", "fp", "component_id")
+    named = linked.join(least, "root").select("fp", "least", "root")
+    label = own.join(named, "fp", "left").select("fp", F.coalesce("least", "first").alias("component_id"), F.coalesce("root", "fp").alias("root"), "rows")
+    label = materialize(label, "labels")
+    # a fingerprint of a thousandth of all rows or more is hot; there are a thousand of these at most, so they are broadcast and their rows stay where they are
+    hot = F.broadcast(label.filter(F.col("rows") * HOT_SHARE >= max(HOT_SHARE, fps.count())).select("fp", "component_id", "root"))
+    columns = ["doc_id", "fp", "text_key", "component_id", "root"]
+    rare = fps.join(hot, "fp", "left_anti").join(label.join(hot, "fp", "left_anti"), "fp").select(*columns)
+    return fps.join(hot, "fp").select(*columns).unionByName(rare)
 
 
 def keep_one_of_each(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Rows of `docs` less near-duplicates: of each component the row with the least id stays (one of it, if repeated).
+    """Rows of `docs` less near-duplicates: of each component one row stays, that with the least id.
 
-    Rows without an id cannot be named as a copy of another and stay.
+    Where that id is repeated inside the component, one of its texts stays (the least by hash), once. A repeated id whose texts
+    belong to different components stays in each. Rows without an id cannot be named as a copy of another and stay. An empty
+    table gives an empty one; other columns are kept as they are.
     """
-    found = near_duplicates(docs, id_col, text_col).select(F.col("component_id").alias(id_col)).distinct()
+    found = near_duplicates(docs, id_col, text_col).filter("doc_id IS NOT NULL")
+    first = found.groupBy("root").agg(F.min(F.struct("doc_id", "text_key")).alias("one")).select(F.col("one.doc_id").alias("__one_id"), F.col("one.text_key").alias("__one_key"))
     named = docs.filter(F.col(id_col).isNotNull())
-    kept = named.join(found, id_col, "left_semi").dropDuplicates([id_col])
+    own = [F.col(id_col).cast("long") == F.col("__one_id"), F.xxhash64(text_of(text_col)) == F.col("__one_key")]
+    kept = named.join(first, own[0] & own[1]).dropDuplicates(["__one_id", "__one_key"]).select(*[named[c] for c in named.columns])
     return kept.unionByName(docs.filter(F.col(id_col).isNull()))

@@ -199,6 +199,39 @@ def test_near_duplicates_hard_cases(spark, texts):
     assert sum(r.doc_id == 3 for r in kept.collect()) == 1 and kept.columns == [c.split()[0] for c in HARD.split(", ")]
 
 
+def test_repeated_ids_lose_no_text(spark):
+    """An id with two texts that are nobody's copy keeps both; repeats of a row, and copies under other ids, go."""
+    rng = random.Random(5)
+    a, b, c = (" ".join(rng.choice("abcdefghijklmnop") * rng.randrange(1, 9) for _ in range(80)) for _ in range(3))
+    rows = [(3, a), (3, b), (5, c), (5, c), (9, b), (None, a), (None, a)]
+    kept = sorted((str(r.doc_id), r.text) for r in simhash.keep_one_of_each(hard(spark, rows)).collect())
+    assert kept == sorted([("3", a), ("3", b), ("5", c), ("None", a), ("None", a)])
+    assert simhash.keep_one_of_each(hard(spark, [])).count() == 0
+
+
+def test_components_take_repeats_loops_and_nothing(spark):
+    edges = spark.createDataFrame([(1, 2), (2, 1), (1, 2), (3, 3), (5, 4), (4, 2), (8, 9)], "a long, b long")
+    got = {r.node: r.root for r in connected_components(edges, "a", "b").collect()}
+    assert got == {1: 1, 2: 1, 4: 1, 5: 1, 8: 8, 9: 8}
+    assert connected_components(edges.limit(0), "a", "b").count() == 0
+
+
+def test_empty_tables_and_long_texts(spark):
+    """Operators that had no such test: formatting, norm search, secrets, pages, dropout, quality."""
+    none = hard(spark, [])
+    assert secret_scan.scan_secrets(none).count() == 0 and secret_scan.mask_secrets(none).columns == none.columns
+    assert norm_search.top_products(spark.createDataFrame([], "vec_id long, embedding array<float>"), "vec_id", "embedding", F.col("id") % 100 == 0).count() == 0
+    assert html_extract.extract_text(spark.createDataFrame([], "page_id long, url string, html string")).count() == 0
+    long = "words and more words " * 40_000
+    key = "9233a8ecf7c5b09fe5949719b6b82bc439e9329b"
+    rows = [(1, long + f' token = "{key}"'), (1, long + f' token = "{key}"'), (2, long)]
+    found = [(r.doc_id, r.is_secret) for r in secret_scan.scan_secrets(hard(spark, rows)).collect()]
+    assert sorted(found) == [(1, True), (1, True)]  # a repeated row is judged each time
+    page = "<html><body><article>" + "<p>One line of the text.</p>" * 20_000 + "</article></body></html>"
+    text = html_extract.extract_text(spark.createDataFrame([(1, "http://h/a", page), (1, "http://h/a", page), (2, None, None)], "page_id long, url string, html string")).collect()
+    assert len(text) == 3 and {r.text.count("One line") for r in text if r.page_id == 1} == {20_000}
+
+
 # ---- vectors ----
 
 
