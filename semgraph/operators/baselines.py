@@ -31,8 +31,10 @@ def identity_weights(subs: list[SubQuery]) -> dict[tuple[int, int], dict[str, fl
 
 
 def exact_schema_scores(kg: KG, subs: list[SubQuery], library: DataFrame | None = None, relations: tuple[str, ...] = ("identical",)) -> DataFrame:
-    """(sub_id, pivot_id, psi = 1): matches whose every query edge is one edge of the same predicate."""
-    one_each = Params(tau=0.0, max_hops=1, hop_scope="query_edge", use_estimate=False, relations=relations)
+    """(sub_id, pivot_id, psi = 1): matches whose every query edge is one edge of the same predicate. As in a join, a node may stand for two query nodes;
+    states that end alike are one, so a level is as large as the graph at most.
+    """
+    one_each = Params(tau=0.0, max_hops=1, hop_scope="query_edge", use_estimate=False, revisit="dominance", relations=relations)
     return S.layered(S.prepare(kg, subs, {}, one_each, library, maps=identity_weights(subs))).scores
 
 

@@ -595,9 +595,9 @@ def baseline_pattern_mining(spark, d):
 
 _mined_answers = O.with_star(f""", {_mining(50, 20, 3)},
 best AS (SELECT string_split(pattern, ' ') AS preds, score FROM mined ORDER BY round(score, 9) DESC, pattern LIMIT 3),
-chase(preds, score, node, h, path) AS (
-    SELECT preds, score, 2 * {O.B} + 7, 0, [CAST(2 * {O.B} + 7 AS BIGINT)] FROM best UNION ALL
-    SELECT DISTINCT preds, score, a.nbr, h + 1, list_append(path, a.nbr) FROM chase JOIN adj a ON a.node = chase.node AND a.predicate = preds[h + 1] WHERE h < len(preds) AND NOT list_contains(path, a.nbr)
+chase(preds, score, node, h) AS (
+    SELECT preds, score, CAST(2 * {O.B} + 7 AS BIGINT), 0 FROM best UNION
+    SELECT preds, score, a.nbr, h + 1 FROM chase JOIN adj a ON a.node = chase.node AND a.predicate = preds[h + 1] WHERE h < len(preds) AND a.nbr <> 2 * {O.B} + 7
 ), found_by AS (SELECT node AS pivot_id, max(score) AS score FROM chase WHERE h = len(preds) AND node // {O.B} = 6 GROUP BY 1)
 SELECT CAST(row_number() OVER (ORDER BY round(score, 9) DESC, pivot_id) AS INTEGER) AS rank, pivot_id, round(score, 6) AS score FROM found_by QUALIFY rank <= 100""")
 
