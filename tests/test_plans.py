@@ -137,3 +137,55 @@ def test_translation_embedding_learns(spark):
 def test_noise_and_json():
     noisy = W.add_node_noise([W.origin("NATION_1", "Order")] * 10, {"Order": ["Sale"]}, 40)
     assert sum(q.node("o").types == ("Sale",) for q in noisy) == 4
+
+
+def test_noise_share_is_exact_at_any_count():
+    for n in (3, 10, 25):
+        assert [len(W.noisy_of(n, p)) for p in (0, 20, 40, 100)] == [0, round(n * 0.2), round(n * 0.4), n]
+    near = W.add_edge_noise([W.origin("NATION_1", "Order")] * 25, SPACE, 40)
+    assert sum(q.edges[0].predicate != "originNation" for q in near) == 10 and len({q.edges[0].predicate for q in near}) > 3
+
+
+def test_covers_hold_the_planners_choice():
+    cost = lambda source, preds: float(len(preds) ** 2)
+    for gq in (W.two_lists(), W.cycle(), W.flower()):
+        costs = [sum(cost(*p) for p in used) for _, used in D.covers(gq, 4)]
+        assert D.decompose(gq, cost, longest=4)[2] == min(costs) and D.decompose(gq, cost, objective="max", longest=4)[2] == max(costs)
+
+
+def test_paths_longer_than_a_match_are_not_planned(spark, sf):
+    kg = G.stored_kg(spark, sf, "star")
+    subs = E.plan_subs(kg, W.flower(), SPACE, Params(max_hops=2))
+    assert max(s.stages for s in subs) <= 2
+
+
+def test_a_deadline_cancels_a_round_and_the_rest_resumes(spark, sf):
+    import time
+
+    kg = G.stored_kg(spark, sf, "star")
+    with E.Deadline(spark, 300) as limit:
+        began = time.monotonic()
+        spark.range(10**12).selectExpr("sum(id % 7)").collect()
+    assert limit.over and time.monotonic() - began < 60
+    with E.Deadline(spark, 60_000) as limit:
+        assert spark.range(10).count() == 10
+    assert not limit.over
+    tight = E.bounded_query(kg, W.origin("NATION_7", "Order"), SPACE, Params(k=20, batch=5), E.ExecutionClock(1.0))
+    assert not tight.completed and len(tight.stats.rounds) == 1
+    whole = tight.resume(600_000.0)
+    assert whole.completed and whole.answers.collect() == E.exact_query(kg, W.origin("NATION_7", "Order"), SPACE, Params(k=20)).answers.collect()
+
+
+def test_answers_are_presented_with_names_and_paths(spark, sf):
+    kg = G.stored_kg(spark, sf, "star")
+    r = E.present(E.exact_query(kg, W.origin("NATION_7", "Order"), SPACE, Params(k=3, max_hops=2)), kg).orderBy("rank").collect()
+    assert [x.rank for x in r] == [1, 2, 3] and all(x.name.startswith("Order#") and x.parts[0].path_preds for x in r)
+
+
+def test_batches_of_streams_replace_their_own_folder(spark, tmp_path):
+    from semgraph.streaming import edges as SE
+
+    spark.range(5).write.parquet(str(tmp_path / "in"))
+    stream = spark.readStream.schema("id long").parquet(str(tmp_path / "in"))
+    SE.each_batch(stream, str(tmp_path / "out"), str(tmp_path / "check"))
+    assert spark.read.parquet(str(tmp_path / "out")).count() == 5
