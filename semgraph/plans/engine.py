@@ -89,18 +89,18 @@ class Deadline:
     """Cancels the jobs of a block when its time is over; `over` tells whether that happened. The block's partial work is dropped."""
 
     def __init__(self, spark: SparkSession, ms: float) -> None:
-        self.spark, self.ms, self.over = spark, ms, False
+        self.context, self.ms, self.over = spark.sparkContext, ms, False
         self.tag = f"deadline-{uuid.uuid4().hex}"
 
     def __enter__(self) -> Deadline:
-        self.spark.addTag(self.tag)
+        self.context.addJobTag(self.tag)
         self.stopped = threading.Event()
 
         def watch() -> None:
             wait = max(self.ms, 0.0) / 1000
             while not self.stopped.wait(wait):
                 self.over, wait = True, 0.02
-                self.spark.interruptTag(self.tag)
+                self.context.cancelJobsWithTag(self.tag)
 
         self.thread = threading.Thread(target=watch, daemon=True)
         self.thread.start()
@@ -109,7 +109,7 @@ class Deadline:
     def __exit__(self, kind, error, trace) -> bool:
         self.stopped.set()
         self.thread.join()
-        self.spark.removeTag(self.tag)
+        self.context.removeJobTag(self.tag)
         return self.over and kind is not None and issubclass(kind, Exception)
 
 

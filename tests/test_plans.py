@@ -170,7 +170,7 @@ def test_a_deadline_cancels_a_round_and_the_rest_resumes(spark, sf):
     with E.Deadline(spark, 60_000) as limit:
         assert spark.range(10).count() == 10
     assert not limit.over
-    tight = E.bounded_query(kg, W.origin("NATION_7", "Order"), SPACE, Params(k=20, batch=5), E.ExecutionClock(1.0))
+    tight = E.bounded_query(kg, W.origin("NATION_7", "Order"), SPACE, Params(k=20, batch=100), E.ExecutionClock(1.0))
     assert not tight.completed and len(tight.stats.rounds) == 1
     whole = tight.resume(600_000.0)
     assert whole.completed and whole.answers.collect() == E.exact_query(kg, W.origin("NATION_7", "Order"), SPACE, Params(k=20)).answers.collect()
