@@ -939,7 +939,7 @@ def decomposition_times(spark, d):
 def shape_report(spark, d):
     """Shapes and sizes extracted from the graph, decomposed and searched: one graph each here; `workloads.shape_report` takes five."""
     kg = G.stored_kg(spark, d, "star")
-    return W.shape_report(kg, _space(spark), Params(k=100, max_hops=1, hop_scope="query_edge", tau=0.6), {"S": 3, "L": 6}, 1, L.build_library(kg))
+    return W.shape_report(kg, _space(spark), Params(k=100, max_hops=1, hop_scope="query_edge", tau=0.8, revisit="dominance"), {"S": 3, "L": 5}, 1, L.build_library(kg))
 
 
 @query("relpath_questions", O.answers([O.walk(0, f"SELECT 1 * {O.B} + r_regionkey AS node FROM region WHERE r_name = 'ASIA'", [("inRegion", O.NATION), ("originNation", O.ORDER)], 2, 0.8, 3)], 50))
