@@ -44,7 +44,7 @@ def scan_pruned(spark, d):
 def scan_json(spark, d):
     from . import workloads as W
 
-    path = scratch(spark, "queries")
+    path = f"{scratch(spark, 'queries')}/rows"
     lines = W.queries_as_json([W.origin("N1"), W.origin("N2"), W.cycle()])
     spark.createDataFrame([(x,) for x in lines], "value string").write.text(path)
     return read_query_graphs(spark, path).select("label", F.size("nodes").alias("n_nodes"), F.size("edges").alias("n_edges"), F.col("edges")[0]["predicate"].alias("predicate"))
