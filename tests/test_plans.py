@@ -189,3 +189,10 @@ def test_batches_of_streams_replace_their_own_folder(spark, tmp_path):
     stream = spark.readStream.schema("id long").parquet(str(tmp_path / "in"))
     SE.each_batch(stream, str(tmp_path / "out"), str(tmp_path / "check"))
     assert spark.read.parquet(str(tmp_path / "out")).count() == 5
+
+
+def test_query_graphs_come_back_from_json(spark, sf):
+    from semgraph.plans import catalog
+
+    rows = catalog.QUERIES["scan_json"](spark, sf).collect()
+    assert {(r.label, r.n_nodes, r.n_edges) for r in rows} == {("origin N1", 2, 1), ("origin N2", 2, 1), ("cycle", 3, 3)}
