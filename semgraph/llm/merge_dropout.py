@@ -5,17 +5,14 @@ turn, is skipped for good if a 64-bit hash keyed by seed, document, position of
 cover is under the dropout rate. Every occurrence of a segment so draws its own segmentation; all decode to the same text.
 
 No piece of the vocabulary has a space mark after another character, so no merge crosses the start of a word:
-a text falls into segments (space marks, then other characters) that are encoded apart. What follows from a
-set of skipped candidates depends on the segment alone and is cached: a node of a segment's tree holds the candidates
-that come up while none is skipped, the ids if none is, and for each candidate the node that follows its skip. Which are
-skipped is drawn anew for each occurrence.
+a text falls into segments (space marks, then other characters) that are encoded apart. Nothing is cached: the agendas of
+many segments advance together, one candidate of each segment a step, as columns of arrays of integers.
 """
 
 from __future__ import annotations
 
 import functools
 import heapq
-import re
 import zlib
 from collections.abc import Iterator
 
@@ -27,14 +24,16 @@ from pyspark.sql import functions as F
 from .common import spread, text_of
 
 MARK = "▁"
-#: Nodes that a worker's cache holds, at most, before it starts anew.
-CACHE_ENTRIES = 600_000
-#: Segments whose candidates are drawn at once.
-GROUP = 60_000
-#: Skips of an occurrence that the trees follow; an occurrence with more is merged alone, with the same result.
-DEPTH = 3
-#: Segments longer than this use a heap and no cache; both ways give the same pieces.
-SHORT = 24
+#: Characters whose segments are encoded together; a longer text is a batch of its own.
+GROUP = 1_000_000
+#: Places of segments in one array of agendas.
+CELLS = 1 << 17
+#: Lengths up to which segments share an array. Longer segments use a heap; both ways give the same pieces.
+WIDTHS = (2, 4, 6, 8, 11, 16, 24, 40, 64)
+SHORT = WIDTHS[-1]
+#: An agenda's place holds an offer's rank and, in its lowest bits, the place itself, so the least is the best and leftmost.
+PLACE_BITS = 6
+NONE = np.iinfo(np.int32).max
 _M = (1 << 64) - 1
 _STEP, _B, _C = 0x9E3779B97F4A7C15, 0xBF58476D1CE4E5B9, 0x94D049BB133111EB
 
@@ -152,119 +151,143 @@ def _long(segment: str, score: dict[str, float], key: int, skip: int | None) ->
     return out
 
 
-def _follow(segment: str, score: dict[str, float], skipped: tuple[tuple[int, int], ...]) -> tuple[list[tuple[int, int]], list[str]]:
-    """(candidates not decided yet, in their order; pieces if all of these are taken), once `skipped` have been skipped.
+class _Offers:
+    """Characters and pieces as part numbers, and the merge of each pair of parts that has one.
 
-    Candidates before the last of `skipped` are those that its ancestors took, so they are decided.
+    Pieces have their ids as part numbers, characters that only occur inside longer pieces the numbers after, and any other
+    character `other` plus its code point. Pairs are found in an open hash table, at most a quarter full.
     """
-    none = float("-inf")
-    parts = list(segment)
-    at = list(range(len(parts) + 1))
-    get = score.get
-    offers = [get(a + b, none) for a, b in zip(parts, parts[1:])]
-    known, last = set(skipped), skipped[-1] if skipped else None
-    open_: list[tuple[int, int]] = []
-    while offers:
-        best = max(offers)
-        if best == none:
-            break
-        i = offers.index(best)
-        span = at[i], at[i + 2]
-        if span in known:
-            if span == last:
-                open_, last = [], None
-            offers[i] = none
-            continue
-        open_.append(span)
-        parts[i : i + 2] = [parts[i] + parts[i + 1]]
-        del at[i + 1], offers[i]
-        if i < len(offers):
-            offers[i] = get(parts[i] + parts[i + 1], none)
-        if i:
-            offers[i - 1] = get(parts[i - 1] + parts[i], none)
-    return open_, parts
-
-
-_segments = re.compile(f"{MARK}*[^{MARK}]+|{MARK}+")
-
 
-class _Column:
-    """An array that grows at its end."""
-
-    def __init__(self, kind: type) -> None:
-        self.all, self.n = np.zeros(4096, kind), 0
-
-    def extend(self, values: list[int]) -> None:
-        end = self.n + len(values)
-        if end > len(self.all):
-            self.all = np.concatenate([self.all, np.zeros(max(end, len(self.all)), self.all.dtype)])
-        self.all[self.n : end] = values
-        self.n = end
+    def __init__(self, score: dict[str, float], ids: dict[str, int]) -> None:
+        number = {p: ids[p] for p in score}
+        top = max(ids.values()) + 1
+        for c in sorted({c for p in score for c in p} - number.keys()):
+            number[c] = top = top + 1
+        self.pieces, self.other = max(ids.values()) + 1, top + 1
+        self.of_char = np.arange(0x110000, dtype=np.int32) + np.int32(self.other)
+        for p, n in number.items():
+            if len(p) == 1:
+                self.of_char[ord(p)] = n
+        self.bytes_of = {n: [ids[f"<0x{b:02X}>"] for b in p.encode()] for p, n in number.items() if n >= self.pieces}
+        self.byte_ids = ids
+        rank = {v: i for i, v in enumerate(sorted({-v for v in score.values()}))}
+        if len(rank) << PLACE_BITS >= NONE:
+            raise ValueError("too many scores for the ranks of offers")
+        pairs = [(number[p[:i]], number[p[i:]], rank[-v], number[p]) for p, v in score.items() for i in range(1, len(p)) if p[:i] in number and p[i:] in number]
+        left, right, ranks, into = (np.array(x, np.int64) for x in zip(*pairs)) if pairs else [np.zeros(0, np.int64)] * 4
+        bits = max(4, (4 * len(pairs)).bit_length())
+        self.shift, self.last = np.uint64(64 - bits), (1 << bits) - 1
+        self.pair = np.full(1 << bits, _M, np.uint64)
+        self.rank, self.into = np.full(1 << bits, NONE, np.int32), np.zeros(1 << bits, np.int32)
+        pair = left.astype(np.uint64) << np.uint64(32) | right.astype(np.uint64)
+        for k, slot, r, m in zip(pair.tolist(), self._slot(pair).tolist(), ranks.tolist(), into.tolist()):
+            while self.pair[slot] != _M:
+                slot = slot + 1 & self.last
+            self.pair[slot], self.rank[slot], self.into[slot] = k, r << PLACE_BITS, m
+
+    def _slot(self, pair: np.ndarray) -> np.ndarray:
+        return (pair * np.uint64(_STEP) >> self.shift).astype(np.int64)
+
+    def find(self, left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(rank of each pair above the bits of a place, NONE if the pair does not merge; part that it becomes)."""
+        pair = left.astype(np.uint64) << np.uint64(32) | right.astype(np.uint64)
+        slot = self._slot(pair)
+        held = self.pair[slot]
+        on = np.flatnonzero((held != pair) & (held != _M))
+        while len(on):
+            slot[on] = slot[on] + 1 & self.last
+            held = self.pair[slot[on]]
+            on = on[(held != pair[on]) & (held != _M)]
+        return self.rank[slot], self.into[slot]
+
+    def ids_of(self, parts: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of the parts: those without an id become their bytes; how many for each of the segments that have `counts` parts)."""
+        raw = np.flatnonzero(parts >= self.pieces)
+        if not len(raw):
+            return parts, counts
+        kinds, which = np.unique(parts[raw], return_inverse=True)
+        spelled = [self.bytes_of.get(k) or [self.byte_ids[f"<0x{b:02X}>"] for b in chr(k - self.other).encode()] for k in kinds.tolist()]
+        size = np.ones(len(parts), np.int64)
+        size[raw] = np.array([len(x) for x in spelled])[which]
+        ends = np.cumsum(size)
+        out = np.repeat(parts, size)
+        table = np.array([x + [0] * (4 - len(x)) for x in spelled], np.int32)
+        for b in range(4):
+            has = size[raw] > b
+            out[(ends - size)[raw[has]] + b] = table[which[has], b]
+        return out, np.diff(np.concatenate([[0], ends])[np.cumsum(np.concatenate([[0], counts]))])
 
 
-class _Trees(dict):
-    """segment -> root of its tree, -1 if it is too long for one. New nodes can be read after `flush`."""
+def _agendas(offers: _Offers, part: np.ndarray, size: np.ndarray, keys: np.ndarray, skip: int | None) -> None:
+    """Merges the columns of `part` (one part number a character, -1 beyond a segment's end) in place.
 
-    def __init__(self, coder: DropoutEncoder) -> None:
-        self.coder = coder
-        self.made: list[tuple[str, tuple[tuple[int, int], ...]]] = []  # segment and skipped candidates of each node
-        self.first, self.size, self.id_first, self.id_size = (_Column(np.int64) for _ in range(4))
-        self.mark, self.child, self.ids = _Column(np.uint64), _Column(np.int32), _Column(np.uint32)
-        self.spans: list[tuple[int, int]] = []
-        self.new: tuple[list[int], ...] = ([], [], [], [], [])
+    A merged part stands where it begins; -1 stands at its other places. Each step takes the best offer of each column.
+    """
+    height, width = part.shape
+    part = part.reshape(-1)
+    place = np.arange(height, dtype=np.int32)[:, None]
+    end = np.repeat(place + 1, width, 1).reshape(-1)  # of the part that begins here
+    before = end - 2  # where the part before this one begins
+    into = np.empty_like(part)
+    agenda = np.full((height, width), NONE, np.int32)
+    flat = agenda.reshape(-1)
+    some = np.flatnonzero((place < size - 1).reshape(-1))
+    rank, into[some] = offers.find(part[some], part[some + width])
+    flat[some] = rank | (some // width).astype(np.int32)
+    column = np.arange(width)
+    while len(column):
+        best = agenda.min(0)
+        live = np.flatnonzero(best != NONE)
+        if 2 * len(live) < len(column):  # most are done: go on with the others
+            agenda = np.ascontiguousarray(agenda[:, live])
+            flat, column, best, live = agenda.reshape(-1), column[live], best[live], np.arange(len(live))
+        if not len(live):
+            break
+        wide = len(column)
+        own = column[live]
+        at = best[live].astype(np.int64) & (1 << PLACE_BITS) - 1
+        i = at * width + own
+        middle = end[i].astype(np.int64)
+        j = middle * width + own
+        stop = end[j].astype(np.int64)
+        if skip is not None:
+            drawn = _mix_all(keys[own] + (at << 32 | stop).astype(np.uint64) * np.uint64(_STEP)) >> np.uint64(11)
+            kept = drawn >= np.uint64(skip)
+            flat[(at * wide + live)[~kept]] = NONE
+            live, own, at, i, middle, j, stop = (x[kept] for x in (live, own, at, i, middle, j, stop))
+        part[i] = into[i]
+        part[j] = -1
+        end[i] = stop
+        flat[at * wide + live] = NONE
+        flat[middle * wide + live] = NONE
+        right = np.flatnonzero(stop < size[own])
+        left = np.flatnonzero(at > 0)
+        after = stop[right] * width + own[right]
+        before[after] = at[right]
+        start = before[i[left]].astype(np.int64)
+        first = np.concatenate([i[right], start * width + own[left]])
+        rank, into[first] = offers.find(part[first], part[np.concatenate([after, i[left]])])
+        at = np.concatenate([at[right], start])
+        flat[at * wide + live[np.concatenate([right, left])]] = rank | at.astype(np.int32)
+
+
+def _ranges(first: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """All elements of the ranges, one after another."""
+    ends = np.cumsum(size)
+    return np.repeat(first - (ends - size), size) + np.arange(ends[-1] if len(ends) else 0)
 
-    def __missing__(self, segment: str) -> int:
-        if len(segment) > SHORT:
-            return -1
-        self[segment] = out = self.node(segment, ())
-        return out
 
-    def node(self, segment: str, skipped: tuple[tuple[int, int], ...]) -> int:
-        spans, pieces = _follow(segment, self.coder.score, skipped)
-        ids = self.coder.ids_of(pieces)
-        first, size, id_first, id_size, id_values = self.new
-        first.append(len(self.spans))
-        size.append(len(spans))
-        id_first.append(self.ids.n + len(id_values))
-        id_size.append(len(ids))
-        id_values += ids
-        self.spans += spans
-        self.made.append((segment, skipped))
-        return len(self.made) - 1
-
-    def flush(self) -> None:
-        for column, values in zip((self.first, self.size, self.id_first, self.id_size, self.ids), self.new):
-            column.extend(values)
-            values.clear()
-        fresh = self.spans[self.mark.n :]
-        self.mark.extend([_mark(*x) for x in fresh])
-        self.child.extend([-1] * len(fresh))
-
-    def after(self, edges: np.ndarray, owners: np.ndarray) -> np.ndarray:
-        """The nodes that follow when the candidates `edges` of the nodes `owners` are skipped."""
-        lacking = np.flatnonzero(self.child.all[edges] < 0)
-        if len(lacking):
-            fresh, one = np.unique(edges[lacking], return_index=True)
-            nodes = []
-            for e, o in zip(fresh.tolist(), owners[lacking[one]].tolist()):
-                segment, skipped = self.made[o]
-                nodes.append(self.node(segment, (*skipped, self.spans[e])))
-            self.flush()
-            self.child.all[fresh] = nodes
-        return self.child.all[edges]
-
-
-def _ranges(first: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(all elements of the ranges, one after another; where each range ends among them)."""
-    ends = np.cumsum(size)
-    return np.repeat(first - (ends - size), size) + np.arange(ends[-1] if len(ends) else 0), ends
+@functools.lru_cache(2)
+def _offers(path: str) -> _Offers:
+    score, ids, _ = vocabulary(path)
+    return _Offers(score, ids)
 
 
 class DropoutEncoder:
     def __init__(self, path: str, seed: int = 0, dropout: float = 0.1) -> None:
         self.score, self.ids, self.raw = vocabulary(path)
         self.seed, self.dropout = seed, dropout
-        self.trees = _Trees(self)
+        self.offers = _offers(path)
 
     def ids_of(self, pieces: list[str]) -> list[int]:
         out: list[int] = []
@@ -287,53 +310,62 @@ class DropoutEncoder:
 
     def encode_all(self, texts: list[str], docs: list[int]) -> list[bytes]:
         out: list[bytes] = []
-        segments: list[str] = []
-        counts: list[int] = []
-        keys: list[np.ndarray] = []
-        for text, doc in zip(texts, docs):
-            found = _segments.findall(MARK + text.replace(" ", MARK)) if text else []
-            segments += found
-            counts.append(len(found))
-            keys.append(self.keys(doc, len(found)))
-            if len(segments) >= GROUP:
-                out += self._group(segments, counts, np.concatenate(keys))
-                segments, counts, keys = [], [], []
-        return out + (self._group(segments, counts, np.concatenate(keys)) if counts else [])
-
-    def _group(self, segments: list[str], counts: list[int], keys: np.ndarray) -> list[bytes]:
-        if len(self.trees.made) > CACHE_ENTRIES:
-            self.trees = _Trees(self)
-        trees = self.trees
-        at = np.fromiter(map(trees.__getitem__, segments), np.int64, len(segments))
-        trees.flush()
-        if self.dropout > 0:
-            limit = np.uint64(_skip_table(self.dropout))
-            todo = np.flatnonzero(at >= 0)
-            for _ in range(DEPTH):
-                nodes = at[todo]
-                size = trees.size.all[nodes]
-                edges, ends = _ranges(trees.first.all[nodes], size)
-                drawn = _mix_all(np.repeat(keys[todo], size) + trees.mark.all[edges])
-                skipped = np.flatnonzero((drawn >> np.uint64(11)) < limit)
-                who = np.searchsorted(ends, skipped, "right")
-                head = np.flatnonzero(np.diff(who, prepend=-1))
-                who = who[head]
-                todo = todo[who]
-                at[todo] = trees.after(edges[skipped[head]], nodes[who])
-            at[todo[trees.size.all[at[todo]] > 0]] = -1
-        alone = np.flatnonzero(at < 0)
-        apart = [self.ids_of(merge_segment(segments[i], self.score, k, self.dropout)) for i, k in zip(alone.tolist(), keys[alone].tolist())]
-        held = at >= 0
-        size = np.zeros(len(at), np.int64)
-        size[held] = trees.id_size.all[at[held]]
-        size[alone] = list(map(len, apart))
-        ends = np.cumsum(size)
-        ids = np.empty(int(ends[-1]) if len(ends) else 0, "<u4")
-        ids[np.repeat(held, size)] = trees.ids.all[_ranges(trees.id_first.all[at[held]], size[held])[0]]
-        for end, x in zip(ends[alone].tolist(), apart):
-            ids[end - len(x) : end] = x
-        bounds = np.concatenate([[0], ends])[np.cumsum([0, *counts])].tolist()
-        return [ids[a:b].tobytes() for a, b in zip(bounds, bounds[1:])]
+        first = held = 0
+        for i, t in enumerate(texts):
+            held += len(t) + 1
+            if held >= GROUP or i == len(texts) - 1:
+                out += self._group(texts[first : i + 1], docs[first : i + 1])
+                first, held = i + 1, 0
+        return out
+
+    def _group(self, texts: list[str], docs: list[int]) -> list[bytes]:
+        marked = [MARK + t.replace(" ", MARK) if t else "" for t in texts]
+        points = np.frombuffer("".join(marked).encode("utf-32-le"), "<u4")
+        if not len(points):
+            return [b""] * len(texts)
+        is_mark = points == ord(MARK)
+        begins = is_mark.copy()
+        begins[1:] &= ~is_mark[:-1]
+        lengths = np.array([len(m) for m in marked])
+        text_first = np.cumsum(lengths) - lengths
+        begins[text_first[lengths > 0]] = True
+        first = np.flatnonzero(begins)
+        size = np.diff(first, append=len(points))
+        bounds = np.searchsorted(first, np.append(text_first, len(points)))  # segments of each text
+        keys = np.concatenate([self.keys(d, n) for d, n in zip(docs, np.diff(bounds).tolist())])
+        ids, counts = self._segments(points, first, size, keys)
+        ends = 4 * np.concatenate([[0], np.cumsum(counts)])[bounds]
+        data = memoryview(ids.astype("<u4")).cast("B")
+        return [bytes(data[a:b]) for a, b in zip(ends.tolist(), ends[1:].tolist())]
+
+    def _segments(self, points: np.ndarray, first: np.ndarray, size: np.ndarray, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all segments, how many of each)."""
+        skip = _skip_table(self.dropout) if self.dropout > 0 else None
+        done: list[tuple[np.ndarray, np.ndarray]] = []  # segments, ids
+        counts = np.zeros(len(first), np.int64)
+        under = 0
+        for height in WIDTHS:
+            rows = np.flatnonzero((size > under) & (size <= height))
+            under = height
+            for some in np.split(rows, range(CELLS // height + 1, len(rows), CELLS // height + 1)):
+                place = np.arange(height)[:, None]
+                at = np.minimum(first[some] + place, len(points) - 1)
+                part = np.where(place < size[some], self.offers.of_char[points[at]], np.int32(-1))
+                _agendas(self.offers, part, size[some], keys[some], skip)
+                across = part.T
+                held = across >= 0
+                ids, counts[some] = self.offers.ids_of(across[held], held.sum(1))
+                done.append((some, ids))
+        for i in np.flatnonzero(size > SHORT).tolist():
+            segment = points[first[i] : first[i] + size[i]].tobytes().decode("utf-32-le")
+            ids = self.ids_of(merge_segment(segment, self.score, int(keys[i]), self.dropout))
+            counts[i] = len(ids)
+            done.append((np.array([i]), np.array(ids)))
+        begin = np.cumsum(counts) - counts
+        out = np.empty(int(counts.sum()), np.uint32)
+        for some, ids in done:
+            out[_ranges(begin[some], counts[some])] = ids
+        return out, counts
 
     def decode(self, ids: bytes) -> str:
         raw = self.raw
@@ -343,7 +375,7 @@ class DropoutEncoder:
 
 @functools.lru_cache(1)
 def _coder(path: str, seed: int, dropout: float) -> DropoutEncoder:
-    """One coder for all tasks of a worker, so that its caches stay warm."""
+    """One coder for all tasks of a worker, so that its tables are built once."""
     return DropoutEncoder(path, seed, dropout)
 
 

@@ -2,6 +2,7 @@
 
 import hashlib
 import random
+import re
 import zlib
 from collections import Counter, defaultdict
 
@@ -100,10 +101,21 @@ def test_both_agendas_agree():
         assert merge_dropout._short(s, d.score, key, skip) == merge_dropout._long(s, d.score, key, skip)
 
 
+def untouched_spans(segment, score):
+    """The candidates that come up while none is skipped."""
+    parts, out = list(segment), []
+    while offers := [(-score[a + b], i) for i, (a, b) in enumerate(zip(parts, parts[1:])) if a + b in score]:
+        i = min(offers)[1]
+        begin = sum(map(len, parts[:i]))
+        parts[i : i + 2] = [parts[i] + parts[i + 1]]
+        out.append((begin, begin + len(parts[i])))
+    return out
+
+
 def test_each_occurrence_draws_its_own_dropout(monkeypatch):
     d = merge_dropout.DropoutEncoder(PIECES, seed=3, dropout=0.1)
     forms = Counter(tuple(merge_dropout.merge_segment("▁something", d.score, k, 0.1)) for k in d.keys(7, 20_000).tolist())
-    spans = merge_dropout._follow("▁something", d.score, ())[0]
+    spans = untouched_spans("▁something", d.score)
     limit = merge_dropout._skip_table(0.1)
     untouched = sum(all(merge_dropout._place(k, *x) >= limit for x in spans) for k in d.keys(7, 20_000).tolist()) / 20_000
     assert len(forms) > 10 and abs(untouched - 0.9 ** len(spans)) < 0.02
@@ -111,17 +123,16 @@ def test_each_occurrence_draws_its_own_dropout(monkeypatch):
     whole = np.frombuffer(d.encode(text, 7), "<u4").tolist()
     assert len(whole) == sum(len(f) * n for f, n in forms.items()) and d.decode(d.encode(text, 7)) == text
     assert d.encode("something", 7) == d.encode("something", 7) and len({d.encode("something", i) for i in range(500)}) > 5
-    # the trees against merges of each occurrence alone, with little room and with little depth
+    # the agendas of many segments together against merges of each occurrence alone, in small and large arrays
     rng = random.Random(5)
     words = ["the", "Thing", "stone,", "naïve", "日本", "unbelievably", "ab" * 30, "▁", "", "😀x"]
     texts = [" ".join(rng.choice(words) for _ in range(rng.randrange(0, 80))) for _ in range(60)]
-    for depth, room, rate in ((3, 40, 0.3), (1, 600_000, 0.5), (3, 600_000, 1.0)):
-        monkeypatch.setattr(merge_dropout, "DEPTH", depth)
-        monkeypatch.setattr(merge_dropout, "CACHE_ENTRIES", room)
-        monkeypatch.setattr(merge_dropout, "GROUP", 100)
+    for group, cells, rate in ((100, 40, 0.3), (1, 1, 0.1), (1_000_000, 1 << 17, 0.5), (100, 1 << 17, 1.0)):
+        monkeypatch.setattr(merge_dropout, "GROUP", group)
+        monkeypatch.setattr(merge_dropout, "CELLS", cells)
         d = merge_dropout.DropoutEncoder(PIECES, seed=9, dropout=rate)
         for i, (t, got) in enumerate(zip(texts, d.encode_all(texts, list(range(60))))):
-            found = merge_dropout._segments.findall("▁" + t.replace(" ", "▁")) if t else []
+            found = re.findall("▁*[^▁]+|▁+", "▁" + t.replace(" ", "▁")) if t else []
             want = [x for s, k in zip(found, d.keys(i, len(found)).tolist()) for x in d.ids_of(merge_dropout.merge_segment(s, d.score, k, rate))]
             assert np.frombuffer(got, "<u4").tolist() == want
 
