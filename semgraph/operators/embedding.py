@@ -7,8 +7,6 @@ from dataclasses import dataclass
 from typing import Protocol
 
 import numpy as np
-from pyspark.ml.functions import array_to_vector, vector_to_array
-from pyspark.ml.stat import Summarizer
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -27,8 +25,8 @@ class TranslationEmbedding:
     """g(h, r) = h + r, margin ranking loss against corrupted triples, L1 or L2.
 
     Entities are a table and stay one: each epoch joins the triples with the vectors of their ends, makes gradients as
-    arrays, sums them by entity and updates by a join. Predicate vectors are few: they are broadcast and
-    summed each epoch. Corrupted ends are chosen by hash, so results repeat.
+    arrays, sums them by entity and by predicate in one aggregate and updates by a join. Predicate vectors are few: they are
+    broadcast each epoch. Corrupted ends are chosen by hash, so results repeat.
     """
 
     dim: int = 32
@@ -49,6 +47,7 @@ class TranslationEmbedding:
     def fit(self, edges: DataFrame) -> tuple[DataFrame, DataFrame]:
         spark = edges.sparkSession
         edges = cut(edges.select("src", "predicate", "dst"))
+        tasks = max(spark.sparkContext.defaultParallelism, edges.rdd.getNumPartitions())
         ids = edges.select(F.col("src").alias("id")).unionByName(edges.select(F.col("dst").alias("id"))).distinct()
         entities = cut(self._numbered(ids))
         n = entities.count()
@@ -57,15 +56,14 @@ class TranslationEmbedding:
         self.losses: list[float] = []
         for epoch in range(self.epochs):
             table = spark.createDataFrame([(p, [float(x) for x in v]) for p, v in predicates.items()], PREDICATE_VECTORS)
-            pairs = self._pairs(edges, entities, n, epoch)
-            grads = cut(self._gradients(pairs, vectors, table))
-            summed = grads.select(F.explode(F.array(*[F.struct(F.col(c).alias("id"), F.col(f"g_{c}").alias("g")) for c in ("src", "dst", "src_2", "dst_2")])).alias("x")).select("x.*")
-            total = summed.groupBy("id").agg(vector_to_array(Summarizer.sum(array_to_vector("g"))).alias("g"))
-            moved = vectors.join(total, "id", "left").select("id", _unit(F.when(F.col("g").isNull(), F.col("vec")).otherwise(F.zip_with("vec", "g", lambda v, g: v - self.rate * g))).alias("vec"))
-            by_predicate = grads.groupBy("predicate").agg(vector_to_array(Summarizer.mean(array_to_vector("g_pred"))).alias("g"), F.sum("loss").alias("loss"), F.count("*").alias("n")).collect()
+            # a triple costs far more work than bytes, and the join may follow the few files of the entities
+            pairs = self._pairs(edges, entities, n, epoch).repartition(tasks, "src", "dst")
+            total = cut(self._gradients(pairs, vectors, table))
+            moved = vectors.join(total.where("predicate IS NULL").select("id", "g"), "id", "left").select("id", _unit(F.when(F.col("g").isNull(), F.col("vec")).otherwise(F.zip_with("vec", "g", lambda v, g: v - self.rate * g))).alias("vec"))
+            by_predicate = total.where("predicate IS NOT NULL").collect()
             vectors = cut(moved)
             for r in by_predicate:
-                predicates[r.predicate] = predicates[r.predicate] - self.rate * min(r.n, 50) * np.array(r.g)
+                predicates[r.predicate] = predicates[r.predicate] - self.rate * min(r.n, 50) / r.n * np.array(r.g)
             self.losses.append(sum(r.loss for r in by_predicate) / max(1, sum(r.n for r in by_predicate)))
         return vectors, spark.createDataFrame([(p, [float(x) for x in v]) for p, v in predicates.items()], PREDICATE_VECTORS)
 
@@ -80,19 +78,23 @@ class TranslationEmbedding:
         return own.join(F.broadcast(first), "pid").select("id", (F.col("first") + F.col("own")).cast("long").alias("at"))
 
     def _pairs(self, edges: DataFrame, entities: DataFrame, n: int, epoch: int) -> DataFrame:
-        """Each triple with a corrupted one: another head or another tail."""
+        """Each triple with the entity that replaces its head or its tail in the corrupted one."""
         drawn = edges.select("*", F.explode(F.sequence(F.lit(1), F.lit(self.negatives))).alias("draw"))
         h = F.xxhash64("src", "predicate", "dst", "draw", F.lit(self.seed), F.lit(epoch))
         drawn = drawn.withColumn("at", F.pmod(h, F.lit(n)).cast("long")).withColumn("head", F.pmod(F.shiftright(h, 40), F.lit(2)) == 0)
-        other = drawn.join(entities.withColumnRenamed("id", "other"), "at")
-        return other.select("src", "predicate", "dst", F.when(F.col("head"), F.col("other")).otherwise(F.col("src")).alias("src_2"), F.when(F.col("head"), F.col("dst")).otherwise(F.col("other")).alias("dst_2"))
+        return drawn.join(entities.withColumnRenamed("id", "other"), "at").select("src", "predicate", "dst", "other", "head")
 
     def _gradients(self, pairs: DataFrame, vectors: DataFrame, table: DataFrame) -> DataFrame:
+        """(predicate, id, g, loss, n): sums for each entity (its predicate is null) and each predicate (its id is null).
+
+        One aggregate holds both, so that gradients of single triples are summed before a shuffle and never stored.
+        """
         x = pairs.join(F.broadcast(table.withColumnRenamed("vec", "v_pred")), "predicate")
-        for c in ("src", "dst", "src_2", "dst_2"):
+        for c in ("src", "dst", "other"):
             x = x.join(vectors.select(F.col("id").alias(c), F.col("vec").alias(f"v_{c}")), c)
         gap = lambda a, b: F.zip_with(F.zip_with(a, "v_pred", lambda p, q: p + q), b, lambda p, q: p - q)
-        x = x.withColumns({"d": gap("v_src", "v_dst"), "e": gap("v_src_2", "v_dst_2")})
+        head_2, tail_2 = F.when(F.col("head"), F.col("v_other")).otherwise(F.col("v_src")), F.when(F.col("head"), F.col("v_dst")).otherwise(F.col("v_other"))
+        x = x.select("src", "predicate", "dst", "other", "head", gap("v_src", "v_dst").alias("d"), gap(head_2, tail_2).alias("e"))
         if self.norm == 1:
             size = lambda c: F.aggregate(c, F.lit(0.0), lambda s, v: s + F.abs(v))
             slope = lambda c, _: F.transform(c, lambda v: F.signum(v))
@@ -100,15 +102,28 @@ class TranslationEmbedding:
             size = lambda c: F.sqrt(F.aggregate(c, F.lit(1e-12), lambda s, v: s + v * v))
             slope = lambda c, n: F.transform(c, lambda v: v / F.col(n))
         x = x.withColumns({"nd": size("d"), "ne": size("e")})
-        loss = F.greatest(F.lit(0.0), F.lit(self.margin) + F.col("nd") - F.col("ne"))
-        x = x.withColumn("loss", loss)
-        on = F.when(F.col("loss") > 0, 1.0).otherwise(0.0)
-        x = x.withColumns({"gd": F.transform(slope("d", "nd"), lambda v: v * on), "ge": F.transform(slope("e", "ne"), lambda v: v * on)})
+        x = x.withColumn("loss", F.greatest(F.lit(0.0), F.lit(self.margin) + F.col("nd") - F.col("ne")))
+        x = x.withColumns({"gd": slope("d", "nd"), "ge": slope("e", "ne")})
         minus = lambda c: F.transform(c, lambda v: -v)
-        return x.select("predicate", "src", "dst", "src_2", "dst_2", "loss", F.col("gd").alias("g_src"), minus("gd").alias("g_dst"), minus("ge").alias("g_src_2"), F.col("ge").alias("g_dst_2"), F.zip_with("gd", "ge", lambda a, b: a - b).alias("g_pred"))
+        less = F.zip_with("gd", "ge", lambda a, b: a - b)
+        part = lambda predicate, id_, g, loss: F.struct(predicate.alias("predicate"), id_.alias("id"), g.alias("g"), loss.alias("loss"))
+        entity = lambda c, g: part(F.lit(None).cast("string"), F.col(c), g, F.lit(0.0))
+        # a corrupted triple shares one end with its own: that end takes both gradients
+        moved = F.array(
+            part(F.col("predicate"), F.lit(None).cast("long"), less, F.col("loss")),
+            entity("src", F.when(F.col("head"), F.col("gd")).otherwise(less)),
+            entity("dst", F.when(F.col("head"), minus(less)).otherwise(minus("gd"))),
+            entity("other", F.when(F.col("head"), minus("ge")).otherwise(F.col("ge"))),
+        )
+        still = F.array(part(F.col("predicate"), F.lit(None).cast("long"), F.transform("gd", lambda _: F.lit(0.0)), F.col("loss")))
+        parts = x.select(F.explode(F.when(F.col("loss") > 0, moved).otherwise(still)).alias("x")).select("x.*")
+        # a sum for each axis is a hash aggregate; one of whole vectors would sort all parts
+        summed = parts.groupBy("predicate", "id").agg(*[F.sum(F.col("g")[i]).alias(f"g{i}") for i in range(self.dim)], F.sum("loss").alias("loss"), F.count("*").alias("n"))
+        return summed.select("predicate", "id", F.array(*[f"g{i}" for i in range(self.dim)]).alias("g"), "loss", "n")
 
 
 def _unit(c):
     c = F.col(c) if isinstance(c, str) else c
     size = F.sqrt(F.aggregate(c, F.lit(1e-12), lambda s, v: s + v * v))
-    return F.transform(c, lambda v: v / size)
+    # an array of one, so that the size is found once and not for each element
+    return F.transform(F.array(size), lambda z: F.transform(c, lambda v: v / z))[0]
