@@ -38,6 +38,8 @@ TIE = 1e-8
 MOST_WEIGHTS = 1_000_000
 #: States of a frontier that are broadcast (some 300 bytes each).
 BROADCAST_STATES = 100_000
+#: Adjacency rows of a round beyond which they are dealt to all tasks; a task then weighs about as many.
+SPREAD_ROWS = 200_000
 #: Source and named nodes of a query that the driver holds.
 MOST_NAMED = 10_000
 MOST_LOCAL_EDGES = 2_000_000
@@ -271,10 +273,11 @@ def _next_weight(prep: Prepared) -> str:
     return "coalesce(CASE WHEN moves THEN m_next ELSE m END, 0D)"
 
 
-def expand(prep: Prepared, states: DataFrame, theta: dict[int, float] | None = None, size: int | None = None, span: tuple[int, int] | None = None, weighed=None) -> DataFrame:
+def expand(prep: Prepared, states: DataFrame, theta: dict[int, float] | None = None, size: int | None = None, span: tuple[int, int] | None = None, weighed=None, fanout: int | None = None) -> DataFrame:
     """One hop of states that are not done: new states and matches (done, with psi as psi_hat), bounded and pruned.
 
-    `theta` cuts off states that stay below the k-th score by more than a tie. `weighed` observes the edges that were weighed.
+    `fanout`: the adjacency rows of the states, if known. States that wait at the same few nodes meet their edges in one task, so
+    where there are many rows these are dealt to all tasks before they are weighed. `theta` cuts off states that stay below the k-th score by more than a tie. `weighed` observes the edges that were weighed.
     Expressions are SQL text: a hop is planned in a few calls.
     """
     p = prep.params
@@ -287,7 +290,10 @@ def expand(prep: Prepared, states: DataFrame, theta: dict[int, float] | None = N
         kept.append(f"stage_hops < {p.max_hops}")
     if p.use_estimate and p.tau > 0:  # before anything is known of the neighbour: its weight is one at most
         kept.append(f"w_prod * w >= {by_sub(prep, lambda s: p.tau ** p.root(s) - EPS)}")
-    x, at_end = _with_ends(prep, x.filter(" AND ".join(kept)))
+    x = x.filter(" AND ".join(kept))
+    if fanout is not None and fanout > SPREAD_ROWS:
+        x = x.repartition(max(states.sparkSession.sparkContext.defaultParallelism, fanout // SPREAD_ROWS), "nbr", "path_nodes")
+    x, at_end = _with_ends(prep, x)
     x = x.selectExpr("*", f"{at_end} AS at_end").selectExpr("*", f"at_end AND stage < {last} AS moves", f"at_end AND stage = {last} AS ends_all", f"at_end AND stage + 1 = {by_sub(prep, lambda s: s.pivot_pos)} AS at_pivot")
     if p.through_target:  # a neighbour that ends a stage also stays in it
         x = x.withColumn("passes", F.expr("explode(CASE WHEN at_end THEN array(false, true) ELSE array(false) END)"))
@@ -383,7 +389,7 @@ def layered(prep: Prepared, stats: Stats | None = None, k_list: int | None = Non
         began = time.monotonic()
         weighed = Observation() if stats is not None else None
         h += 1
-        fresh = expand(prep, states, theta, size, span, weighed)
+        fresh = expand(prep, states, theta, size, span, weighed, fanout)
         fresh, seen = store_round(prep, fresh, fanout)
         done.append(fresh.filter("done"))
         states, size, fanout = fresh.filter("NOT done"), seen["n"] - seen["d"], seen["fanout"]

@@ -20,6 +20,11 @@ from ..model import KG
 SLOT_ROWS = 100_000
 #: SQL of the number of slots of a node with `degree` rows.
 SLOTS = f"CAST(greatest(1, ceil(degree / {SLOT_ROWS})) AS INT)"
+#: Adjacency rows of a file: at least (so that a small graph is spread over all tasks) and at most.
+FILE_ROWS = (50_000, 4_000_000)
+#: Files for each task that runs at once, where the graph has rows enough: states gather in few ranges of nodes, and small files of a
+#: range are dealt to many tasks.
+FILES_A_TASK = 8
 #: Profiles that are held on the driver and broadcast; a graph with more joins them as a table.
 MOST_PROFILES = 50_000
 #: Hubs that are broadcast when the index is built.
@@ -77,7 +82,9 @@ def write_index(kg: KG, path: str) -> None:
     hubs = F.broadcast(hubs) if hubs.count() <= MOST_HUBS else hubs
     adj = both.join(known.select(F.col("node_id").alias("nbr"), "profile", "degree"), "nbr").join(hubs, "node", "left")
     adj = adj.select("node", F.when(F.col("slots").isNull(), 0).otherwise(F.pmod(F.xxhash64("nbr"), F.col("slots"))).cast("int").alias("slot"), "nbr", "profile", "degree", "predicate")
-    adj.repartitionByRange("predicate", "node", "nbr").sortWithinPartitions("predicate", "node", "nbr").write.partitionBy("predicate").parquet(f"{path}/adj")
+    rows = known.agg(F.sum("degree")).first()[0] or 0
+    files = max(1, rows // FILE_ROWS[1], min(FILES_A_TASK * spark.sparkContext.defaultParallelism, rows // FILE_ROWS[0]))
+    adj.repartitionByRange(files, "predicate", "node", "nbr").sortWithinPartitions("predicate", "node", "nbr").write.partitionBy("predicate").parquet(f"{path}/adj")
 
 
 def read_index(spark: SparkSession, path: str) -> GraphIndex:
