@@ -137,6 +137,17 @@ def test_each_occurrence_draws_its_own_dropout(monkeypatch):
             assert np.frombuffer(got, "<u4").tolist() == want
 
 
+def test_merge_dropout_of_nothing_and_of_long_segments():
+    d = merge_dropout.DropoutEncoder(PIECES, seed=1, dropout=0.2)
+    assert d.encode_all([], []) == [] and d.encode_all(["", ""], [1, 2]) == [b"", b""]
+    for n in (63, 64, 65, 5000):  # with the mark, on both sides of the longest segment that shares an array
+        text = ("abcé日😀" * n)[: n - 1]
+        assert d.decode(d.encode(text, 3)) == text
+        want = d.ids_of(merge_dropout._long("▁" + text, d.score, int(d.keys(3, 1)[0]), merge_dropout._skip_table(0.2)))
+        assert np.frombuffer(d.encode(text, 3), "<u4").tolist() == want
+    assert d.encode_all(["", "a b", ""], [1, 2, 3]) == [b"", d.encode("a b", 2), b""]
+
+
 # ---- near-duplicates ----
 
 
