@@ -9,6 +9,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from ..sources.tables import scratch
+
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
 
@@ -76,10 +78,19 @@ def streaming_topk(edges: DataFrame, k: int = 3) -> DataFrame:
 
 
 def drain(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Run a stream over all that is there into a table in memory, and give the table."""
+    """Run a stream over all that is there, and give its rows as a table.
+
+    Rows that are appended go to files in the shared folder: there may be as many as events. Other modes end in a table in memory.
+    """
+    spark = stream.sparkSession
+    if mode == "append":
+        path = scratch(spark, f"stream-{name}")
+        q = stream.writeStream.format("parquet").option("path", f"{path}/rows").option("checkpointLocation", f"{path}/state").outputMode(mode).trigger(availableNow=True).start()
+        q.awaitTermination()
+        return spark.read.schema(stream.schema).parquet(f"{path}/rows")
     q = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
     q.awaitTermination()
-    return stream.sparkSession.table(name)
+    return spark.table(name)
 
 
 def each_batch(stream: DataFrame, path: str, checkpoint: str) -> None:
