@@ -54,10 +54,11 @@ def node_library_query(kg: KG, subs: list[SubQuery], k: int, library: DataFrame)
     return exact_schema_query(kg, subs, k, library, ("identical", "synonym", "abbreviation"))
 
 
-def _levels(near: DataFrame, states: DataFrame, max_hops: int, size: int | None = None) -> DataFrame:
+def _levels(near: DataFrame, states: DataFrame, max_hops: int, size: int | None = None, settled=None) -> DataFrame:
     """(sub_id, node, degree, profile, pivot_id, value, h) of nodes by least distance from states(sub_id, node, degree, pivot_id, value).
 
-    A node keeps its least distance, and the best value at it, so that a level is as large as the graph at most.
+    A node keeps its least distance, and the best value at it, so that a level is as large as the graph at most. `settled(level)` gives
+    the sub-queries that need no further level.
     """
     keys = ["sub_id", "node", "pivot"]
     level = states.withColumn("pivot", F.coalesce("pivot_id", F.lit(-1)))
@@ -75,19 +76,22 @@ def _levels(near: DataFrame, states: DataFrame, max_hops: int, size: int | None
             break
         seen = seen.unionByName(level.select(*keys))
         out.append(level.withColumn("h", F.lit(h)))
+        if settled is not None and h < max_hops:
+            over = settled(out[-1])
+            level = level.filter(~F.col("sub_id").isin(sorted(over) or [-1]))
     found = out[0]
     for o in out[1:]:
         found = found.unionByName(o)
     return found.withColumn("pivot_id", F.when(F.col("pivot") >= 0, F.col("pivot"))).drop("pivot")
 
 
-def _stagewise(prep: S.Prepared, states: DataFrame, max_hops: int, ends, gain, size: int | None = None) -> DataFrame:
+def _stagewise(prep: S.Prepared, states: DataFrame, max_hops: int, ends, gain, size: int | None = None, settled=None) -> DataFrame:
     """(sub_id, pivot_id, value): chase each sub-query's edges by distance. `ends(stage, levels)` keeps the nodes that may end a stage, with
     `gained`; `gain` is the SQL of a state's new value.
     """
     out = None
     for i in range(max(s.stages for s in prep.subs)):
-        found = ends(i, _levels(prep.adj, states, max_hops, size))
+        found = ends(i, _levels(prep.adj, states, max_hops, size, settled))
         at = [s.sub_id for s in prep.subs if i + 1 == s.pivot_pos]
         pivot = F.when(F.col("sub_id").isin(at or [-1]), F.col("node")).otherwise(F.col("pivot_id"))
         states = found.withColumns({"pivot_id": pivot, "value": F.expr(gain)}).groupBy("sub_id", "node", "degree", "pivot_id").agg(F.max("value").alias("value"))
@@ -104,8 +108,12 @@ def _any_edge(kg: KG, subs: list[SubQuery], params: Params, library: DataFrame |
     return S.prepare(kg, subs, {}, params.but(tau=0.0), library, maps={(s.sub_id, i): every for s in subs for i in range(s.stages)})
 
 
-def hop_bounded_scores(kg: KG, subs: list[SubQuery], max_hops: int = 4, library: DataFrame | None = None) -> DataFrame:
-    """(sub_id, pivot_id, psi): sums of 1 / hops over query edges, each of which takes any path of at most `max_hops` edges."""
+def hop_bounded_scores(kg: KG, subs: list[SubQuery], max_hops: int = 4, library: DataFrame | None = None, k: int | None = None) -> DataFrame:
+    """(sub_id, pivot_id, psi): sums of 1 / hops over query edges, each of which takes any path of at most `max_hops` edges.
+
+    `k`: only the k best pivots of each sub-query and their ties are wanted. Where all have one edge, what a further level finds scores less than
+    what is there, so a sub-query that has k pivots goes no further.
+    """
     prep = _any_edge(kg, subs, Params(max_hops=max_hops), library)
 
     def ends(stage: int, found: DataFrame) -> DataFrame:
@@ -113,13 +121,20 @@ def hop_bounded_scores(kg: KG, subs: list[SubQuery], max_hops: int = 4, library:
         x, at_end = S._with_ends(prep, x)
         return x.filter(at_end).withColumnRenamed("nbr", "node")
 
+    counts: dict[int, int] = {}
+
+    def settled(level: DataFrame) -> list[int]:
+        for r in ends(0, level).groupBy("sub_id").count().collect():
+            counts[r.sub_id] = counts.get(r.sub_id, 0) + r["count"]
+        return [s for s, n in counts.items() if n >= k]
+
     states = prep.start.select("sub_id", "node", "degree", "pivot_id", F.lit(0.0).alias("value"))
-    return _stagewise(prep, states, max_hops, ends, "value + 1D / h", S.MOST_NAMED if prep.start_span else None).withColumnRenamed("value", "psi")
+    return _stagewise(prep, states, max_hops, ends, "value + 1D / h", S.MOST_NAMED if prep.start_span else None, settled if k and all(s.stages == 1 for s in subs) else None).withColumnRenamed("value", "psi")
 
 
 def hop_bounded_query(kg: KG, subs: list[SubQuery], k: int, max_hops: int = 4, library: DataFrame | None = None) -> DataFrame:
     """Each query edge matches any path of at most `max_hops` edges; only lengths rank."""
-    return _joined(hop_bounded_scores(kg, subs, max_hops, library), len(subs), k)
+    return _joined(hop_bounded_scores(kg, subs, max_hops, library, k if len(subs) == 1 else None), len(subs), k)
 
 
 def mined_patterns(kg: KG, pairs: DataFrame, query_predicate: str, max_hops: int = 3, min_support: int = 1) -> DataFrame:
