@@ -147,16 +147,19 @@ def mined_patterns(kg: KG, pairs: DataFrame, query_predicate: str, max_hops: int
     pairs = pairs.select("source", "target").withColumn("pair", F.monotonically_increasing_id())
     pairs, told = keep(pairs, "prior", F.count("*").alias("n"))
 
-    def walk(start: str, other: str, hops: int) -> list[DataFrame]:
+    def walk(start: str, other: str, hops: int, meet: list[DataFrame] | None = None) -> list[DataFrame]:
         x = pairs.select("pair", F.col(other).alias("other"), F.col(start).alias("node"), F.array(start).alias("path"), F.array().cast("array<string>").alias("preds"))
         out = [x]
-        for _ in range(hops):
+        for h in range(1, hops + 1):
             x = x.join(adj, "node").filter("NOT array_contains(path, nbr) AND node != other").select("pair", "other", F.col("nbr").alias("node"), F.concat("path", F.array("nbr")).alias("path"), F.concat("preds", F.array("predicate")).alias("preds"))
+            if meet and h == hops:  # a hub's last step is only stored where the other side has come
+                x = x.join(S._union([m.select("pair", "node") for m in meet]).distinct(), ["pair", "node"], "left_semi").select(*out[0].columns)
             x, _ = keep(x, "walk")
             out.append(x)
         return out
 
-    ahead, back = walk("source", "target", (max_hops + 1) // 2), walk("target", "source", max_hops // 2)
+    back = walk("target", "source", max_hops // 2)
+    ahead = walk("source", "target", (max_hops + 1) // 2, back)
     found = None
     for n in range(1, max_hops + 1):
         a, b = ahead[(n + 1) // 2], back[n // 2].select("pair", "node", F.col("path").alias("path_b"), F.col("preds").alias("preds_b"))
@@ -169,13 +172,20 @@ def mined_patterns(kg: KG, pairs: DataFrame, query_predicate: str, max_hops: int
     return supported.select("pattern", "support", near.alias("similarity"), (F.col("support") / told["n"] * near).alias("score"))
 
 
-def pattern_miner_scores(kg: KG, subs: list[SubQuery], patterns: list[tuple[str, float]], library: DataFrame | None = None, relations: tuple[str, ...] = ("identical", "synonym", "abbreviation")) -> DataFrame:
-    """(sub_id, pivot_id, psi): what mined patterns (predicates, score) find from the sources of sub-queries of one edge."""
+def pattern_miner_scores(kg: KG, subs: list[SubQuery], patterns: list[tuple[str, float]], library: DataFrame | None = None, relations: tuple[str, ...] = ("identical", "synonym", "abbreviation"), held: dict[str, DataFrame] | None = None) -> DataFrame:
+    """(sub_id, pivot_id, psi): what mined patterns (predicates, score) find from the sources of sub-queries of one edge. `held` keeps what a pattern finds, for
+    further calls with the same sub-queries.
+    """
     out = None
     for pattern, score in patterns:
         preds = tuple(pattern.split(" "))
         longer = [replace(s, path=(s.path[0], *[QueryNode(f"x{i}") for i in range(len(preds) - 1)], s.path[-1]), predicates=preds, pivot_pos=len(preds)) for s in subs]
-        own = exact_schema_scores(kg, longer, library, relations).select("sub_id", "pivot_id", F.lit(float(score)).alias("psi"))
+        ends = held.get(pattern) if held is not None else None
+        if ends is None:
+            ends = exact_schema_scores(kg, longer, library, relations).select("sub_id", "pivot_id")
+            if held is not None:
+                ends = held[pattern] = keep(ends, "pattern")[0]
+        own = ends.select("sub_id", "pivot_id", F.lit(float(score)).alias("psi"))
         out = own if out is None else out.unionByName(own)
     if out is None:
         return kg.nodes.sparkSession.createDataFrame([], "sub_id int, pivot_id long, psi double")
