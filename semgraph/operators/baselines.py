@@ -172,19 +172,27 @@ def mined_patterns(kg: KG, pairs: DataFrame, query_predicate: str, max_hops: int
     return supported.select("pattern", "support", near.alias("similarity"), (F.col("support") / told["n"] * near).alias("score"))
 
 
-def pattern_miner_scores(kg: KG, subs: list[SubQuery], patterns: list[tuple[str, float]], library: DataFrame | None = None, relations: tuple[str, ...] = ("identical", "synonym", "abbreviation"), held: dict[str, DataFrame] | None = None) -> DataFrame:
+def pattern_miner_scores(kg: KG, subs: list[SubQuery], patterns: list[tuple[str, float]], library: DataFrame | None = None, relations: tuple[str, ...] = ("identical", "synonym", "abbreviation"), held: dict[str, DataFrame] | None = None, k: int | None = None) -> DataFrame:
     """(sub_id, pivot_id, psi): what mined patterns (predicates, score) find from the sources of sub-queries of one edge. `held` keeps what a pattern finds, for
-    further calls with the same sub-queries.
+    further calls with the same sub-queries. `k`: only the k best pivots of each sub-query and their ties are wanted, so one that has k from better patterns
+    takes no other.
     """
-    out = None
-    for pattern, score in patterns:
+    out, left = None, list(subs)
+    for i, (pattern, score) in enumerate(patterns):
+        if k and i and score < patterns[i - 1][1] - S.TIE:  # patterns come best first
+            over = {r.sub_id for r in out.groupBy("sub_id").agg(F.countDistinct("pivot_id").alias("n")).filter(F.col("n") >= k).collect()}
+            left = [s for s in subs if s.sub_id not in over]
+        if not left:
+            break
         preds = tuple(pattern.split(" "))
-        longer = [replace(s, path=(s.path[0], *[QueryNode(f"x{i}") for i in range(len(preds) - 1)], s.path[-1]), predicates=preds, pivot_pos=len(preds)) for s in subs]
+        longer = [replace(s, path=(s.path[0], *[QueryNode(f"x{i}") for i in range(len(preds) - 1)], s.path[-1]), predicates=preds, pivot_pos=len(preds)) for s in left]
         ends = held.get(pattern) if held is not None else None
         if ends is None:
             ends = exact_schema_scores(kg, longer, library, relations).select("sub_id", "pivot_id")
+            if held is not None or k:
+                ends = keep(ends, "pattern")[0]
             if held is not None:
-                ends = held[pattern] = keep(ends, "pattern")[0]
+                held[pattern] = ends
         own = ends.select("sub_id", "pivot_id", F.lit(float(score)).alias("psi"))
         out = own if out is None else out.unionByName(own)
     if out is None:
@@ -199,7 +207,7 @@ def best_patterns(patterns: DataFrame, top_patterns: int = 3) -> list[tuple[str,
 def pattern_miner_query(kg: KG, sub: SubQuery, prior_pairs: DataFrame, k: int, top_patterns: int = 3, min_support: int = 1, max_hops: int = 3, library: DataFrame | None = None) -> DataFrame:
     """Mine predicate sequences between prior instance pairs, then answer with the best; a wrong prior gives wrong patterns."""
     best = best_patterns(mined_patterns(kg, prior_pairs, sub.predicates[0], max_hops, min_support), top_patterns)
-    return _joined(pattern_miner_scores(kg, [sub], best, library), 1, k)
+    return _joined(pattern_miner_scores(kg, [sub], best, library, k=k), 1, k)
 
 
 def prior_with_noise(pairs: DataFrame, noise_percent: int) -> DataFrame:
@@ -214,11 +222,12 @@ def prior_with_noise(pairs: DataFrame, noise_percent: int) -> DataFrame:
     return dealt.withColumn("other", F.when(noisy, (F.col("pair_id") + 1) % F.col("n")).otherwise(F.col("pair_id"))).join(moved, "other").select("pair_id", "source", F.col("wrong").alias("target"))
 
 
-def keyword_scores(kg: KG, terms: dict[int, list[str]], answer_keys: dict[int, set[str]], max_hops: int = 4) -> DataFrame:
+def keyword_scores(kg: KG, terms: dict[int, list[str]], answer_keys: dict[int, set[str]], max_hops: int = 4, k: int | None = None) -> DataFrame:
     """(query_id, pivot_id, score): sums of the distances from a node of an answer type to every keyword's group.
 
     A keyword's group holds the nodes whose name or type contains it and the ends of edges whose predicate does. Distances are found
-    once for a keyword, whatever the number of queries that use it.
+    once for a keyword, whatever the number of queries that use it. `k`: only the k best pivots of each query and their ties are wanted. What a level
+    has not reached scores more than its number, so a keyword whose queries all have k pivots up to it goes no further.
     """
     spark = kg.nodes.sparkSession
     words = sorted({w for own in terms.values() for w in own})
@@ -232,13 +241,23 @@ def keyword_scores(kg: KG, terms: dict[int, list[str]], answer_keys: dict[int, s
     first = by_label.unionByName(by_edge).distinct().join(index.entities.select(F.col("node_id").alias("node"), "degree", "profile"), "node")
     first, told = keep(first, "keywords", F.count("*").alias("n"))
     states = first.select("sub_id", "node", "degree", F.lit(None).cast("long").alias("pivot_id"), F.lit(0.0).alias("value"))
-    near = _levels(index.adj, states, max_hops, told["n"]).select("sub_id", "node", "profile", F.col("h").cast("double").alias("d"))
-    dist = near.unionByName(first.select("sub_id", "node", "profile", F.lit(0.0).alias("d")))
     at = {w: i for i, w in enumerate(words)}
-    asked = local(spark, [(q, at[w], len(set(own))) for q, own in terms.items() for w in sorted(set(own))], "query_id int, sub_id int, groups long")
-    kinds = local(spark, [(q, p) for q, wanted in answer_keys.items() for p, keys, _ in index.profile_rows() or [] if keys & wanted], "query_id int, profile long")
-    whole = dist.join(F.broadcast(asked), "sub_id").join(F.broadcast(kinds), ["query_id", "profile"]).groupBy("query_id", "node", "groups").agg(F.sum("d").alias("score"), F.count("*").alias("n"))
-    return whole.filter("n = groups").select("query_id", F.col("node").alias("pivot_id"), "score")
+    asked = F.broadcast(local(spark, [(q, at[w], len(set(own))) for q, own in terms.items() for w in sorted(set(own))], "query_id int, sub_id int, groups long"))
+    kinds = F.broadcast(local(spark, [(q, p) for q, wanted in answer_keys.items() for p, keys, _ in index.profile_rows() or [] if keys & wanted], "query_id int, profile long"))
+    dist = [first.select("sub_id", "node", "profile", F.lit(0.0).alias("d"))]
+
+    def complete() -> DataFrame:
+        whole = S._union(dist).join(asked, "sub_id").join(kinds, ["query_id", "profile"]).groupBy("query_id", "node", "groups").agg(F.sum("d").alias("score"), F.count("*").alias("n"))
+        return whole.filter("n = groups").select("query_id", F.col("node").alias("pivot_id"), "score")
+
+    def settled(level: DataFrame) -> list[int]:
+        dist.append(level.select("sub_id", "node", "profile", F.col("h").cast("double").alias("d")))
+        over = {r.query_id for r in complete().filter(F.col("score") <= len(dist) - 1).groupBy("query_id").count().filter(F.col("count") >= k).collect()}
+        return [i for w, i in at.items() if all(q in over for q, own in terms.items() if w in own)]
+
+    near = _levels(index.adj, states, max_hops, told["n"], settled if k else None)
+    dist[1:] = [near.select("sub_id", "node", "profile", F.col("h").cast("double").alias("d"))]
+    return complete()
 
 
 def keyword_terms(gq: QueryGraph, labels: dict[tuple[str, str], dict[str, str]]) -> tuple[list[str], set[str]]:
@@ -251,7 +270,7 @@ def keyword_terms(gq: QueryGraph, labels: dict[tuple[str, str], dict[str, str]])
 def keyword_query(kg: KG, keywords: list[str], answer_types: tuple[str, ...], k: int, max_hops: int = 3, library: DataFrame | None = None) -> DataFrame:
     """Keywords match names, types and predicates by containment; answers are near to all groups: the least sum of distances."""
     labels = S.resolve_labels(library if library is not None else S.authored_library(kg.nodes.sparkSession), [(t, "type") for t in answer_types], ("identical", "synonym", "abbreviation"), {})
-    found = keyword_scores(kg, {0: [w.lower().replace("_", " ") for w in keywords]}, {0: {x for t in answer_types for x in labels[t, "type"]}}, max_hops)
+    found = keyword_scores(kg, {0: [w.lower().replace("_", " ") for w in keywords]}, {0: {x for t in answer_types for x in labels[t, "type"]}}, max_hops, k)
     return ranked(found.select("pivot_id", "score"), k, ascending=True)
 
 
@@ -278,8 +297,15 @@ def homomorphism_scores(kg: KG, subs: list[SubQuery], threshold: float = 0.5, ma
         s = (F.col("s_name") + F.col("s_type")) / 2 if q.types else F.col("s_name")
         return own.select("node", "degree", s.alias("s")).filter(F.col("s") >= threshold)
 
+    # a sub-query with a node that no type of the graph is like has no match: it is not walked
+    asked = {q for s in subs for q in s.path[1:] if q.types and not q.specific}
+    lost = {q for q in asked if not by_type(q).filter(F.col("s_type") >= threshold).limit(1).count()}
+    live = [s for s in subs if not lost & set(s.path[1:])]
+    if not live:
+        return spark.createDataFrame([], "sub_id int, pivot_id long, psi double")
+
     states, forms = None, {}
-    for s in subs:
+    for s in live:
         forms.setdefault(s.path[0], []).append(s.sub_id)
     for q, ids in forms.items():
         own = similar(q).select(F.explode(F.array(*[F.lit(i) for i in ids])).alias("sub_id"), "node", "degree", F.lit(None).cast("long").alias("pivot_id"), F.col("s").alias("value"))
